@@ -23,10 +23,16 @@ from pyspark.sql import DataFrame
 from levelrank.llm.common import arrow_rows, texts
 
 JSON_FILE, RANK_FILE = "byte_bpe_50k.json", "byte_bpe_50k.tiktoken"
-#: Pieces that a task remembers.
-REMEMBERED = 400_000
-#: A blank or newline that is not between two visible characters.
-IRREGULAR = re.compile(r"(?:^|[^!-~\w])[ \n]|[ \n](?:[^!-~\w]|$)")
+#: Pieces that a worker process remembers, from one task to the next.
+REMEMBERED = 800_000
+_WORKER: dict[str, Pieces] = {}
+#: Characters that some pattern engines take for white space and Python does not, and the cutting mark.
+DOUBTFUL = re.compile("[\\x00\u180e\u200b\ufeff]")
+
+
+def regular(text: str) -> bool:
+    """Whether all white space is single blanks and newlines between visible characters."""
+    return " ".join(text.split()) == text.replace("\n", " ") and not DOUBTFUL.search(text)
 
 
 def byte_characters() -> list[str]:
@@ -76,30 +82,53 @@ class Pieces:
 
         self.tokenizer = Tokenizer.from_str(spec)
         self.tokenizer.encode_special_tokens = True  # their names in a text are ordinary text
-        self.known: dict[str, bytes] = {}
-
-    def _library(self, pieces: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(pieces, add_special_tokens=False)]
+        self.size = np.array([len(t) for t in Bytes(spec).table])
+        self.fixed = {"": b"", "\n": self._library(["\n"])[0]}
+        self.known: dict[str, bytes] = dict(self.fixed)
+
+    def _library(self, bodies: list[str]) -> list[bytes]:
+        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(bodies, add_special_tokens=False)]
+
+    def _learn(self, pieces: list[str], lead: str) -> None:
+        """Encode many pieces as one text. ``lead`` stands before each piece that has no blank of
+        its own and is a token by itself; pieces end where the tokens' bytes say."""
+        for k in range(0, len(pieces), 20_000):
+            part = pieces[k : k + 20_000]
+            ids = np.frombuffer(self._library([lead + lead.join(part)])[0], "<u4")
+            ends = np.cumsum([len(p.encode()) + len(lead) for p in part])
+            at = np.searchsorted(np.cumsum(self.size[ids]), ends) + 1
+            raw, skip = ids.tobytes(), len(lead)
+            starts = np.r_[0, at[:-1]] + skip
+            self.known.update(zip(part, (raw[i:j] for i, j in zip((4 * starts).tolist(), (4 * at).tolist()))))
 
     def batch(self, bodies: list[str]) -> list[bytes]:
         if len(self.known) > REMEMBERED:
-            self.known.clear()
+            self.known = dict(self.fixed)
         cut, whole = {}, []
         for i, text in enumerate(bodies):
-            if "\0" in text or IRREGULAR.search(text):
-                whole.append(i)
-            else:
+            if regular(text):
                 cut[i] = text.replace("\n", "\0\n\0").replace(" ", "\0 ").split("\0")
-        missing = list(set().union(*cut.values()).difference(self.known)) if cut else []
-        for k in range(0, len(missing), 20_000):
-            part = missing[k : k + 20_000]
-            self.known.update(zip(part, self._library(part)))
+            else:
+                whole.append(i)
+        missing = set().union(*cut.values()).difference(self.known) if cut else ()
+        self._learn([p for p in missing if p[0] == " "], "")
+        self._learn([p for p in missing if p[0] != " "], "\n")
         known = self.known.__getitem__
         out = {i: b"".join(map(known, parts)) for i, parts in cut.items()}
         out.update(zip(whole, self._library([bodies[i] for i in whole])))
         return [out[i] for i in range(len(bodies))]
 
 
+def pieces_of(spec: str) -> Pieces:
+    """The worker's encoder for a tokenizer; Spark reuses worker processes, so what one task
+    has learned serves the next."""
+    key = hashlib.sha256(spec.encode()).hexdigest()
+    if key not in _WORKER:
+        _WORKER.clear()
+        _WORKER[key] = Pieces(spec)
+    return _WORKER[key]
+
+
 def blocks(bodies: list[str], chars: int = 4_000_000) -> Iterator[tuple[int, int]]:
     """Slices of a batch of about so many characters: very long texts go alone."""
     start = held = 0
@@ -148,7 +177,7 @@ def round_trip(docs: DataFrame, spec: str | None = None) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast(spec)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pieces, table = Pieces(shared.value), Bytes(shared.value)
+        pieces, table = pieces_of(shared.value), Bytes(shared.value)
         for b in batches:
             body, ids = texts(b), b.column("doc_id")
             for start, end in blocks(body):
@@ -169,7 +198,7 @@ def encoded(docs: DataFrame, spec: str | None = None) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast(spec)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pieces, table = Pieces(shared.value), Bytes(shared.value)
+        pieces, table = pieces_of(shared.value), Bytes(shared.value)
         for b in batches:
             body, ids = texts(b), b.column("doc_id")
             for start, end in blocks(body):

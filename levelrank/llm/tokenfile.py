@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from levelrank.llm.bpe import JSON_FILE, Pieces, blocks, json_of_file
+from levelrank.llm.bpe import JSON_FILE, blocks, json_of_file, pieces_of
 from levelrank.llm.common import arrow_rows, texts
 from levelrank.plans.staging import shared_path, small_rows
 
@@ -122,7 +122,7 @@ def write_tokens(docs: DataFrame, path: str, spec: str | None = None) -> None:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        part, pieces = TaskContext.get().partitionId(), Pieces(shared.value)
+        part, pieces = TaskContext.get().partitionId(), pieces_of(shared.value)
         keys, held, n, seq = [], [], 0, 0
         end = np.array([END_ID], "<u4").tobytes()
 
