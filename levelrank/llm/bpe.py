@@ -24,7 +24,7 @@ from levelrank.llm.common import arrow_rows, texts
 
 JSON_FILE, RANK_FILE = "byte_bpe_50k.json", "byte_bpe_50k.tiktoken"
 #: Pieces that a worker process remembers, from one task to the next.
-REMEMBERED = 800_000
+REMEMBERED = 1_000_000
 _WORKER: dict[str, Pieces] = {}
 #: Characters that some pattern engines take for white space and Python does not, and the cutting mark.
 DOUBTFUL = re.compile("[\\x00\u180e\u200b\ufeff]")
@@ -82,24 +82,36 @@ class Pieces:
 
         self.tokenizer = Tokenizer.from_str(spec)
         self.tokenizer.encode_special_tokens = True  # their names in a text are ordinary text
-        self.size = np.array([len(t) for t in Bytes(spec).table])
         self.fixed = {"": b"", "\n": self._library(["\n"])[0]}
+        self.stops = dict(zip(",.", self._library([",", "."])))
         self.known: dict[str, bytes] = dict(self.fixed)
 
     def _library(self, bodies: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(bodies, add_special_tokens=False)]
 
-    def _learn(self, pieces: list[str], lead: str) -> None:
-        """Encode many pieces as one text. ``lead`` stands before each piece that has no blank of
-        its own and is a token by itself; pieces end where the tokens' bytes say."""
-        for k in range(0, len(pieces), 20_000):
-            part = pieces[k : k + 20_000]
-            ids = np.frombuffer(self._library([lead + lead.join(part)])[0], "<u4")
-            ends = np.cumsum([len(p.encode()) + len(lead) for p in part])
-            at = np.searchsorted(np.cumsum(self.size[ids]), ends) + 1
-            raw, skip = ids.tobytes(), len(lead)
-            starts = np.r_[0, at[:-1]] + skip
-            self.known.update(zip(part, (raw[i:j] for i, j in zip((4 * starts).tolist(), (4 * at).tolist()))))
+    def _learn(self, pieces: list[str]) -> None:
+        """Encode many pieces as one text with a newline before each: it is a token by itself
+        there, and no piece holds one, so it marks where a piece's tokens begin."""
+        mark = np.frombuffer(self.fixed["\n"], "<u4")[0]
+        for k in range(0, len(pieces), 4_000):
+            part = pieces[k : k + 4_000]
+            raw = self._library(["\n" + "\n".join(part)])[0]
+            at = 4 * np.flatnonzero(np.frombuffer(raw, "<u4") == mark)
+            self.known.update(zip(part, [raw[i:j] for i, j in zip((at + 4).tolist(), [*at[1:].tolist(), len(raw)])]))
+
+    def _learn_all(self, missing) -> None:
+        """A full stop or comma after a letter or digit, at a piece's end, is a token of its own: such pieces are put together."""
+        tails, bare = [], set()
+        for p in missing:
+            if p[-1] in self.stops and p[-2:-1].isalnum():
+                tails.append(p)
+                bare.add(p[:-1])
+            else:
+                bare.add(p)
+        bare.difference_update(self.known)
+        self._learn(list(bare))
+        for p in tails:
+            self.known[p] = self.known[p[:-1]] + self.stops[p[-1]]
 
     def batch(self, bodies: list[str]) -> list[bytes]:
         if len(self.known) > REMEMBERED:
@@ -111,8 +123,7 @@ class Pieces:
             else:
                 whole.append(i)
         missing = set().union(*cut.values()).difference(self.known) if cut else ()
-        self._learn([p for p in missing if p[0] == " "], "")
-        self._learn([p for p in missing if p[0] != " "], "\n")
+        self._learn_all(missing)
         known = self.known.__getitem__
         out = {i: b"".join(map(known, parts)) for i, parts in cut.items()}
         out.update(zip(whole, self._library([bodies[i] for i in whole])))
