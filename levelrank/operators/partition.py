@@ -31,7 +31,7 @@ def numbered(vertices: pd.DataFrame, edges: pd.DataFrame) -> tuple[np.ndarray, n
 
 def in_one_task(g: Graph, make, schema: str) -> DataFrame:
     """``make(vertices, edges)`` over the whole graph in one task. The caller has checked the size."""
-    v, e = g.vertices.groupBy(F.lit(0)), g.edges.groupBy(F.lit(0))
+    v, e = (x.withColumn("task", F.lit(0)).groupBy("task") for x in (g.vertices, g.edges))
     return v.cogroup(e).applyInPandas(make, schema)
 
 

@@ -1,4 +1,240 @@
 """Registered queries of the graph engine and their SQL oracles."""
 
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from levelrank.functions import kernels as K
+from levelrank.functions import measures as M
+from levelrank.operators import groups as GR
+from levelrank.operators import rank as R
+from levelrank.operators.model import Graph, Partition, build_graph, normalise, rescale
+from levelrank.operators.partition import contract, partition, scc, scc_levels
+from levelrank.plans import blocks as B
+from levelrank.plans import oracles as O
+from levelrank.plans.staging import materialise
+from levelrank.sources import generate as GEN
+from levelrank.sources import tables as T
+from levelrank.streaming import edges as S
+
+TIGHT = 1e-15
+FIGURE = ((1, 2), (1, 3), (2, 4), (3, 5), (3, 6), (2, 6), (5, 6), (7, 8), (4, 2), (8, 7), (2, 7))
+
 QUERIES: dict = {}
-ORACLES: dict = {}
+ORACLES: dict[str, str] = {}
+
+
+def add(name: str, run, sql: str | None = None) -> None:
+    QUERIES[name] = run
+    if sql:
+        ORACLES[name] = sql
+
+
+def edges(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    if name == "figure_example":
+        return spark.createDataFrame(FIGURE, "src long, dst long")
+    if name in ("pa_sparse", "pa_dense"):
+        return GEN.generated(spark, T.table(spark, sf_dir, "part").count(), name == "pa_dense")[1]
+    if name.endswith("_x10_bridged"):
+        one = materialise(edges(spark, sf_dir, name[: -len("_x10_bridged")]).distinct(), "one")
+        return GEN.bridge(GEN.replicate(one), one)
+    if name.endswith("_x10"):
+        return GEN.replicate(edges(spark, sf_dir, name[:-4]).distinct())
+    return T.edges(spark, sf_dir, name)
+
+
+def graph(spark: SparkSession, sf_dir: str, name: str, **how) -> Graph:
+    ids = spark.range(T.table(spark, sf_dir, "part").count()) if name.startswith("pa_") else None
+    g = build_graph(edges(spark, sf_dir, name), ids, **how)
+    return Graph(materialise(g.vertices, "vertices"), materialise(g.edges, "graph"))
+
+
+def parted(spark: SparkSession, sf_dir: str, name: str) -> Partition:
+    p = partition(graph(spark, sf_dir, name))
+    return Partition(p.graph, materialise(p.vertices, "partition"))
+
+
+def out(ranks: DataFrame) -> DataFrame:
+    return ranks.select("id", F.floor(F.col("rank") * 1e6 + 0.2718281).alias("rank_e6"))
+
+
+def on_graph(name: str, make):
+    return lambda spark, sf_dir: make(graph(spark, sf_dir, name))
+
+
+def on_parts(name: str, make):
+    return lambda spark, sf_dir: make(parted(spark, sf_dir, name))
+
+
+# ---------------------------------------------------------------- graphs
+ALL = (*T.GRAPHS, "pa_sparse", "pa_dense")
+for _n in ALL:
+    add(f"edges_{_n}", lambda s, d, n=_n: edges(s, d, n).distinct(), f"SELECT DISTINCT CAST(src AS BIGINT) AS src, CAST(dst AS BIGINT) AS dst FROM ({O.edge_sql(_n)}) q")
+for _n in ("basket_flow_x10", "basket_flow_x10_bridged"):
+    add(f"edges_{_n}", lambda s, d, n=_n: edges(s, d, n), f"SELECT CAST(src AS BIGINT) AS src, CAST(dst AS BIGINT) AS dst FROM ({O.edge_sql(_n)}) q")
+for _n in ("basket_flow", "web_anchor", "pa_sparse"):
+    add(f"degrees_{_n}", on_graph(_n, GR.degrees), O.base(O.edge_sql(_n), O.vertex_sql(_n)) + " SELECT v.id, coalesce(o.n, 0) AS out_degree, coalesce(i.n, 0) AS in_degree FROM v LEFT JOIN (SELECT src, count(*) AS n FROM e GROUP BY src) o ON o.src = v.id LEFT JOIN (SELECT dst, count(*) AS n FROM e GROUP BY dst) i ON i.dst = v.id")
+add("degree_ccdf", on_graph("pa_dense", lambda g: M.degree_distribution(g).select("degree", "n", F.floor(F.col("ccdf") * 1e6 + 0.2718281).alias("ccdf_e6"))), O.base(O.edge_sql("pa_dense"), O.vertex_sql("pa_dense")) + ", d AS (SELECT degree, count(*) AS n FROM (SELECT dst, count(*) AS degree FROM e GROUP BY dst) t GROUP BY degree) SELECT degree, n, CAST(floor(sum(n) OVER (ORDER BY degree DESC) / sum(n) OVER ()::DOUBLE * 1e6 + 0.2718281) AS BIGINT) AS ccdf_e6 FROM d")
+add("tail_exponent", on_graph("pa_dense", M.tail_exponent))
+add("edge_probabilities", on_graph("basket_flow", lambda g: g.edges.select("src", "dst", F.floor(F.col("prob") * 1e6 + 0.2718281).alias("prob_e6"))), O.base(O.edge_sql("basket_flow")) + " SELECT src, dst, CAST(floor(1e6::DOUBLE / count(*) OVER (PARTITION BY src) + 0.2718281) AS BIGINT) AS prob_e6 FROM e")
+
+_WEIGHTED = "SELECT l_partkey AS src, dst, CAST(sum(q) AS DOUBLE) AS w FROM (SELECT l_partkey, LEAD(l_partkey) OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_quantity) AS dst, l_quantity AS q FROM lineitem) t WHERE dst IS NOT NULL AND q <= 4 AND dst <> l_partkey GROUP BY l_partkey, dst"
+_WPROB = f"SELECT src, dst, w / sum(w) OVER (PARTITION BY src) AS p FROM ({_WEIGHTED}) z"
+
+
+def weighted_graph(spark: SparkSession, sf_dir: str) -> Graph:
+    T.table(spark, sf_dir, "lineitem").createOrReplaceTempView("lineitem")
+    ends = edges(spark, sf_dir, "basket_flow").select(F.explode(F.array("src", "dst")).alias("id")).distinct()
+    return build_graph(spark.sql(_WEIGHTED), ends, edge_weight="w")
+
+
+add("weighted_probabilities", lambda s, d: weighted_graph(s, d).edges.select("src", "dst", F.floor(F.col("prob") * 1e6 + 0.2718281).alias("prob_e6")), f"SELECT src, dst, CAST(floor(p * 1e6 + 0.2718281) AS BIGINT) AS prob_e6 FROM ({_WPROB}) y")
+
+# ---------------------------------------------------------------- structure
+PARTED = ("figure_example", "basket_flow", "trade_loop", "fk_forest", "square_map", "affine_map", "event_handoff", "turn_chain", "doc_copy", "web_anchor", "page_paths", "knn1", "knn2", "pa_sparse", "pa_dense")
+_PART = "SELECT id, component, kind, size, level, scc, scc_level FROM part"
+for _n in PARTED:
+    add(f"partition_{_n}", on_parts(_n, lambda p: p.vertices), O.partition_sql(O.edge_sql(_n), _PART, O.vertex_sql(_n)))
+    add(f"census_{_n}", on_parts(_n, M.component_census), O.partition_sql(O.edge_sql(_n), ", c AS (SELECT component, any_value(kind) AS kind, count(*) AS size FROM part GROUP BY component) SELECT CAST(sum(size) AS BIGINT) AS n_vertices, count(*) FILTER (kind = 'scc') AS n_scc, count(*) FILTER (kind = 'cac') AS n_cac, count(*) FILTER (kind = 'cac' AND size = 1) AS n_single, CAST(coalesce(sum(size) FILTER (kind = 'cac'), 0) AS BIGINT) AS cac_vertices, max(size) AS largest FROM c", O.vertex_sql(_n)))
+    add(f"level_reduction_{_n}", on_parts(_n, M.level_reduction), O.partition_sql(O.edge_sql(_n), "SELECT CAST(max(level) + 1 AS BIGINT) AS levels, CAST(max(scc_level) + 1 AS BIGINT) AS scc_levels FROM part", O.vertex_sql(_n)))
+for _n in ("basket_flow", "trade_loop", "web_anchor"):
+    add(f"scc_distributed_{_n}", on_graph(_n, lambda g: scc(g, local_edges=500)), O.partition_sql(O.edge_sql(_n), "SELECT id, scc FROM part"))
+for _n in ("trade_loop", "web_anchor"):
+    add(f"scc_levels_{_n}", on_graph(_n, lambda g: scc_levels(g, materialise(scc(g), "scc")).select(F.col("node").alias("scc"), "level")), O.partition_sql(O.edge_sql(_n), "SELECT DISTINCT scc, scc_level AS level FROM part"))
+    add(f"partition_distributed_{_n}", on_graph(_n, lambda g: partition(g, "distributed").vertices), O.partition_sql(O.edge_sql(_n), _PART))
+_N = "knn2"
+add("level_profile", on_parts(_N, B.level_profile), O.partition_sql(O.edge_sql(_N), ", c AS (SELECT component, any_value(kind) AS kind, any_value(level) AS level, count(*) AS size FROM part GROUP BY component) SELECT level, CAST(sum(size) AS BIGINT) AS n_vertices, count(*) AS n_components, count(*) FILTER (kind = 'scc') AS n_scc, count(*) FILTER (size = 1) AS n_single, max(size) AS largest FROM c GROUP BY level"))
+_GROUP = "CASE WHEN {five} WHEN o = 0 AND i = 0 THEN 1 WHEN i = 0 THEN 2 WHEN o = 0 THEN 3 ELSE 4 END"
+add("vertex_groups", on_parts("trade_loop", GR.vertex_groups), O.partition_sql(O.edge_sql("trade_loop"), "SELECT p.id, CAST(" + _GROUP.format(five="kind = 'scc' THEN 5") + " AS INTEGER) AS grp FROM (SELECT part.id, kind, (SELECT count(*) FROM e WHERE e.src = part.id) AS o, (SELECT count(*) FROM e WHERE e.dst = part.id) AS i FROM part) p"))
+add("component_groups", on_parts("trade_loop", GR.component_groups), O.partition_sql(O.edge_sql("trade_loop"), "SELECT scc, CAST(" + _GROUP.format(five="false THEN 5") + " AS INTEGER) AS grp FROM (SELECT scc, (SELECT count(*) FROM dag WHERE dag.a = nodes.scc) AS o, (SELECT count(*) FROM dag WHERE dag.b = nodes.scc) AS i FROM nodes) p"))
+add("peel_groups", on_graph("web_anchor", GR.peel_groups), O.base(O.edge_sql("web_anchor")) + """, reach(a, b) AS (SELECT src, dst FROM e UNION SELECT r.a, e.dst FROM reach r JOIN e ON r.b = e.src),
+ cyc AS (SELECT DISTINCT a AS id FROM reach WHERE a = b), down AS (SELECT id FROM cyc UNION SELECT r.a FROM reach r JOIN cyc ON r.b = cyc.id), up AS (SELECT id FROM cyc UNION SELECT r.b FROM reach r JOIN cyc ON r.a = cyc.id)
+ SELECT id, id NOT IN (SELECT src FROM e) AS dangling, id NOT IN (SELECT dst FROM e) AS root, id NOT IN (SELECT id FROM down) AS rec_dangling, id NOT IN (SELECT id FROM up) AS rec_root, id IN (SELECT id FROM down) AND id IN (SELECT id FROM up) AS rest FROM v""")
+add("contracted_dag", on_parts("knn2", lambda p: contract(p.graph.edges, p.vertices.select("id", "scc"))), O.partition_sql(O.edge_sql("knn2"), "SELECT x.scc AS a, y.scc AS b, count(*) AS n_edges FROM e JOIN sets x ON e.src = x.id JOIN sets y ON e.dst = y.id WHERE x.scc <> y.scc GROUP BY x.scc, y.scc"))
+_CLASS = "SELECT e.src, e.dst, CASE WHEN x.component = y.component THEN 'inside' ELSE 'between' END AS edge_class, x.level AS src_level, y.level AS dst_level, x.component AS src_component, y.component AS dst_component FROM e JOIN part x ON x.id = e.src JOIN part y ON y.id = e.dst"
+add("edge_classes", on_parts("knn2", lambda p: B.classify_edges(p).drop("prob")), O.partition_sql(O.edge_sql("knn2"), _CLASS))
+add("noniterated_share", on_parts("knn2", M.noniterated_edge_share), O.partition_sql(O.edge_sql("knn2"), "SELECT count(*) AS edges, count(*) FILTER (x.component <> y.component OR x.kind = 'cac') AS noniterated FROM e JOIN part x ON x.id = e.src JOIN part y ON y.id = e.dst"))
+_INSIDE = ", ins AS (SELECT e.src, e.dst FROM e JOIN part x ON x.id = e.src JOIN part y ON y.id = e.dst WHERE x.component = y.component)"
+add("cac_roles", on_parts("basket_flow", GR.cac_roles), O.partition_sql(O.edge_sql("basket_flow"), _INSIDE + " SELECT id, id NOT IN (SELECT src FROM ins) AS leaf, id IN (SELECT src FROM ins) AS head FROM part WHERE kind = 'cac'"))
+add("component_shapes", on_parts("basket_flow", GR.component_shapes), O.partition_sql(O.edge_sql("basket_flow"), _INSIDE + """, d AS (SELECT component, kind, size, (SELECT count(*) FROM ins WHERE ins.src = part.id) AS o, (SELECT count(*) FROM ins WHERE ins.dst = part.id) AS i FROM part),
+ c AS (SELECT component, kind, size, sum(o) AS e, max(i) AS mi, max(o) AS mo FROM d GROUP BY component, kind, size)
+ SELECT component, kind, size, CASE WHEN size = 1 THEN 'single' WHEN size = 2 THEN 'pair' WHEN e = size - 1 AND mi = size - 1 THEN 'star_in' WHEN e = size - 1 AND mo = size - 1 THEN 'star_out' WHEN e = size - 1 AND mi = 1 AND mo = 1 THEN 'chain' ELSE 'general' END AS shape FROM c"""))
+_ORDER = ", cs AS (SELECT component, any_value(level) AS level, count(*) AS size FROM part GROUP BY component), co AS (SELECT *, row_number() OVER (ORDER BY level DESC, size DESC, component) - 1 AS ordinal, CAST(coalesce(sum(size) OVER (ORDER BY level DESC, size DESC, component ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS first FROM cs)"
+_POS = _ORDER + ", pos AS (SELECT part.id, co.first + row_number() OVER (PARTITION BY part.component ORDER BY part.id) - 1 AS position FROM part JOIN co ON co.component = part.component)"
+add("component_order", on_parts("knn2", B.order_components), O.partition_sql(O.edge_sql("knn2"), _ORDER + " SELECT component, level, size, ordinal, first FROM co"))
+add("permutation", on_parts("knn2", B.reorder), O.partition_sql(O.edge_sql("knn2"), _POS + " SELECT id, position FROM pos"))
+_CELLS = " SELECT CAST(floor(a.position * 64 / n) AS INTEGER) AS row_bin, CAST(floor(b.position * 64 / n) AS INTEGER) AS col_bin, count(*) AS n FROM e JOIN {p} a ON a.id = e.src JOIN {p} b ON b.id = e.dst, (SELECT max(position) + 1 AS n FROM {p}) s GROUP BY 1, 2"
+add("density_after", on_parts("knn2", lambda p: B.density_map(p.graph, B.reorder(p))), O.partition_sql(O.edge_sql("knn2"), _POS + _CELLS.format(p="pos").replace("* 64 / n", "* 64.0 / n")))
+add("density_before", on_graph("knn2", lambda g: B.density_map(g, g.vertices.select("id", F.col("id").alias("position")))), O.base(O.edge_sql("knn2")) + ", pos AS (SELECT id, id AS position FROM v)" + _CELLS.format(p="pos").replace("* 64 / n", "* 64.0 / n"))
+add("block_bins", on_parts("knn2", lambda p: B.plan_blocks(p, bin_edges=40)))
+add("merge_small_levels", on_parts("knn2", B.merge_small_levels))
+
+# ---------------------------------------------------------------- ranks
+RANKED = ("figure_example", "basket_flow", "trade_loop", "fk_forest", "square_map", "affine_map", "event_handoff", "turn_chain", "doc_copy", "web_anchor", "page_paths", "knn1", "knn2", "pa_sparse", "pa_dense", "basket_flow_x10", "basket_flow_x10_bridged")
+for _n in RANKED:
+    add(f"rank_{_n}", on_graph(_n, lambda g: out(R.levelwise_rank(g, tol=TIGHT))), O.rank_sql(_n))
+_FORMS = {
+    "rank_serial": lambda g: R.levelwise_rank(g, tol=TIGHT, parallel=False),
+    "rank_scc_only": lambda g: R.levelwise_rank(g, tol=TIGHT, kind="scc"),
+    "rank_merged_levels": lambda g: R.levelwise_rank(g, tol=TIGHT, merge_below=100),
+    "rank_handover_component": lambda g: R.levelwise_rank(g, tol=TIGHT, handover="component"),
+    "rank_handover_pull": lambda g: R.levelwise_rank(g, tol=TIGHT, handover="pull"),
+    "rank_large_gauss_seidel": lambda g: R.levelwise_rank(g, tol=TIGHT, policy=K.Policy(large="gauss_seidel")),
+    "rank_large_adaptive": lambda g: R.levelwise_rank(g, tol=TIGHT, policy=K.Policy(large="adaptive")),
+    "rank_all_series": lambda g: R.levelwise_rank(g, tol=TIGHT, policy=K.Policy(dense_below=0, acyclic="series")),
+    "rank_series": lambda g: R.series_rank(g, tol=TIGHT),
+    "rank_adaptive": lambda g: R.series_rank(g, tol=TIGHT, freeze=True),
+    "rank_power": lambda g: R.power_rank(g, tol=1e-17),
+    "rank_jacobi": lambda g: R.local_variant(g, "jacobi", tol=1e-14),
+    "rank_gauss_seidel": lambda g: R.local_variant(g, "gauss_seidel", tol=1e-14),
+    "rank_dangling_last": lambda g: R.dangling_last(g, tol=TIGHT),
+    "rank_roots_first": lambda g: R.roots_first(g, tol=TIGHT),
+    "rank_permuted": lambda g: R.solve_permuted(g, tol=1e-14),
+    "rank_permuted_scc": lambda g: R.solve_permuted(g, tol=1e-14, kind="scc"),
+}
+for _k, _f in _FORMS.items():
+    add(_k, on_graph("basket_flow", lambda g, f=_f: out(f(g))), O.rank_sql("basket_flow"))
+add("rank_recursive_dangling", on_graph("web_anchor", lambda g: out(R.recursive_dangling(g, tol=TIGHT))), O.rank_sql("web_anchor"))
+add("rank_distributed", on_graph("web_anchor", lambda g: out(R.levelwise_rank(g, tol=TIGHT, engine="distributed"))), O.rank_sql("web_anchor"))
+add("rank_distributed_serial", on_graph("web_anchor", lambda g: out(R.levelwise_rank(g, tol=TIGHT, engine="distributed", parallel=False))), O.rank_sql("web_anchor"))
+add("rank_series_distributed", on_graph("turn_chain", lambda g: out(R.series_rank(g, tol=TIGHT, engine="distributed"))), O.rank_sql("turn_chain"))
+add("rank_dense_only", on_graph("knn2", lambda g: out(R.local_variant(g, "dense"))), O.rank_sql("knn2"))
+add("hitting_rank", on_graph("web_anchor", lambda g: out(R.local_variant(g, "hits"))), O.rank_sql("web_anchor"))
+add("rank_normalised", on_graph("web_anchor", lambda g: normalise(R.levelwise_rank(g, tol=TIGHT)).select("id", F.floor(F.col("rank_norm") * 1e9 + 0.2718281).alias("rank_e9"))), O.series_sql(O.edge_sql("web_anchor"), "SELECT id, CAST(floor(rank / (SELECT sum(rank) FROM ranks) * 1e9 + 0.2718281) AS BIGINT) AS rank_e9 FROM ranks"))
+add("rank_rescaled", on_graph("web_anchor", lambda g: out(rescale(R.power_rank(g, tol=1e-17).drop("rank"), g))), O.rank_sql("web_anchor"))
+add("rank_loops_kept", lambda s, d: out(R.levelwise_rank(graph(s, d, "web_anchor", loops="keep"), tol=TIGHT, loops="keep")), O.rank_sql("web_anchor", loops=True))
+add("rank_loops_kept_distributed", lambda s, d: out(R.levelwise_rank(graph(s, d, "web_anchor", loops="keep"), tol=TIGHT, loops="keep", engine="distributed")), O.rank_sql("web_anchor", loops=True))
+add("rank_weighted", lambda s, d: out(R.levelwise_rank(weighted_graph(s, d), tol=TIGHT)), O.rank_sql("basket_flow", prob=_WPROB))
+
+
+def _personal(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = T.table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), F.col("n_chars").cast("double").alias("w"))
+    return out(R.levelwise_rank(build_graph(edges(spark, sf_dir, "doc_copy"), docs, vertex_weight="w"), tol=TIGHT))
+
+
+add("rank_personalised", _personal, O.series_sql(O.edge_sql("doc_copy"), O.RANK_OUT, "SELECT doc_id FROM documents", weight="(SELECT n_chars FROM documents WHERE doc_id = id)"))
+add("rank_partial_levels", on_graph("trade_loop", lambda g: out(R.levelwise_rank(g, tol=TIGHT, stop_level=1))))
+add("rank_damping_99", on_graph("web_anchor", lambda g: out(R.levelwise_rank(g, 0.99, 1e-16))), O.rank_sql("web_anchor", c=0.99, terms=3000))
+add("rank_damping_50", on_graph("basket_flow", lambda g: out(R.levelwise_rank(g, 0.5, TIGHT))), O.rank_sql("basket_flow", c=0.5, terms=60))
+add("linear_solve", on_graph("basket_flow", lambda g: out(R.levelwise_solve(g.edges.withColumn("prob", F.col("prob") * 0.7), g.vertices, TIGHT))), O.rank_sql("basket_flow", c=0.7, terms=150))
+
+
+def _removed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    g = graph(spark, sf_dir, "figure_example")
+    return out(R.levelwise_rank(R.remove_vertex(g, 1, 1.0), tol=TIGHT))
+
+
+add("rank_removed_vertex", _removed, O.series_sql(O.edge_sql("figure_example"), O.RANK_OUT + " WHERE id <> 1"))
+
+
+def _updated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One in a hundred edges of the basket graph goes; ranks are brought up to date from the old ones."""
+    all_edges = materialise(edges(spark, sf_dir, "basket_flow"), "all")
+    ends = materialise(all_edges.select(F.explode(F.array("src", "dst")).alias("id")).distinct(), "ends")
+    old, new = build_graph(all_edges, ends), build_graph(all_edges.where("(src * 31 + dst) % 100 <> 7"), ends)
+    return out(R.update_rank(old, materialise(R.levelwise_rank(old, tol=TIGHT), "old"), new, tol=TIGHT))
+
+
+add("rank_update", _updated, O.series_sql(f"SELECT src, dst FROM ({O.edge_sql('basket_flow')}) a WHERE (src * 31 + dst) % 100 <> 7", O.RANK_OUT, f"SELECT src FROM ({O.edge_sql('basket_flow')}) a UNION SELECT dst FROM ({O.edge_sql('basket_flow')}) b"))
+
+
+def _aggregated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    g = graph(spark, sf_dir, "basket_flow")
+    brand = T.table(spark, sf_dir, "part").select(F.col("p_partkey").alias("id"), F.expr("cast(regexp_extract(p_brand, '[0-9]+', 0) as long)").alias("grp"))
+    return out(R.aggregated_rank(g, g.vertices.select("id").join(brand, "id", "left").fillna(-1, ["grp"])))
+
+
+add("rank_aggregated", _aggregated)
+add("walk_rank", on_graph("web_anchor", lambda g: out(R.walk_rank(g))))
+add("top_ranked", on_graph("basket_flow", lambda g: out(M.top_ranked(R.levelwise_rank(g, tol=TIGHT), 20))), O.series_sql(O.edge_sql("basket_flow"), "SELECT id, CAST(floor(rank * 1e6 + 0.2718281) AS BIGINT) AS rank_e6 FROM ranks ORDER BY rank DESC, id LIMIT 20"))
+
+# ---------------------------------------------------------------- measures
+for _n in ("basket_flow", "knn2", "web_anchor"):
+    add(f"rounds_global_{_n}", on_graph(_n, lambda g: M.run_summary(g).select(F.col("rounds_global").cast("long").alias("rounds"))), O.series_sql(O.edge_sql(_n), "SELECT CAST(min(k) AS BIGINT) AS rounds FROM (SELECT k, max(term) AS top FROM r GROUP BY k) t WHERE top <= 1e-9"))
+add("rounds_per_scc", on_graph("knn2", M.component_rounds))
+add("run_summary_knn2", on_graph("knn2", M.run_summary))
+add("rank_concentration", on_graph("basket_flow", lambda g: M.rank_concentration(R.levelwise_rank(g, tol=TIGHT))))
+add("clustering", on_graph("web_anchor", lambda g: M.clustering(g).select("triangles", "wedges")), O.base(O.edge_sql("web_anchor")) + ", u AS (SELECT DISTINCT least(src, dst) AS a, greatest(src, dst) AS b FROM e), d AS (SELECT id, count(*) AS d FROM (SELECT a AS id FROM u UNION ALL SELECT b FROM u) t GROUP BY id) SELECT (SELECT count(*) FROM u x JOIN u y ON x.b = y.a JOIN u z ON z.a = x.a AND z.b = y.b) AS triangles, CAST((SELECT sum(d * (d - 1) // 2) FROM d) AS BIGINT) AS wedges")
+add("mean_distance", on_graph("web_anchor", lambda g: M.mean_distance(g, [0, 3, 5, 9]).select("pairs")), O.base(O.edge_sql("web_anchor")) + ", hop(s, id) AS (SELECT id, id FROM v WHERE id IN (0, 3, 5, 9) UNION SELECT s, dst FROM hop JOIN e ON e.src = hop.id) SELECT count(*) AS pairs FROM hop WHERE s <> id")
+
+
+def _error_check(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Actual error against the bounds over tolerances, on the basket graph."""
+    g = graph(spark, sf_dir, "basket_flow")
+    exact, rows = materialise(R.levelwise_rank(g, tol=TIGHT), "exact"), []
+    large = partition(g).vertices.where("kind = 'scc' and size >= 100").count()
+    for tol in (1e-3, 1e-6, 1e-9, 1e-12):
+        e = M.rank_error(R.levelwise_rank(g, tol=tol), exact).first()
+        rows.append((tol, e.l1, M.error_bound_total(large, tol, 0.85), e.above, e.l1 <= M.error_bound_total(large, tol, 0.85) + 1e-9))
+    return spark.createDataFrame(rows, "tol double, l1 double, bound double, above long, holds boolean")
+
+
+add("error_bounds", _error_check)
+
+# ---------------------------------------------------------------- surface
+add("event_window_counts", lambda s, d: S.windowed_counts(S.type_edges(T.table(s, d, "events"))).select(F.date_format("start", "yyyy-MM-dd").alias("day"), "src", "dst", "n"), "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, user_id AS src, 1000000000 + CAST(json_extract_string(props, '$.k') AS BIGINT) AS dst, count(*) AS n FROM events WHERE json_extract_string(props, '$.k') IS NOT NULL AND user_id IS NOT NULL GROUP BY 1, 2, 3")
+add("event_sessions", lambda s, d: S.sessions(T.table(s, d, "events")).groupBy("user_id", "n").agg(F.count("*").alias("sessions")), "WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events WHERE user_id IS NOT NULL AND ts IS NOT NULL), s AS (SELECT user_id, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g), c AS (SELECT user_id, k, count(*) AS n FROM s GROUP BY user_id, k) SELECT user_id, n, count(*) AS sessions FROM c GROUP BY user_id, n")
+add("census_rollup", on_parts("knn2", lambda p: B.component_table(p).rollup("level", "kind").agg(F.count("*").alias("components"), F.sum("size").alias("n_vertices"))), O.partition_sql(O.edge_sql("knn2"), ", c AS (SELECT component, any_value(kind) AS kind, any_value(level) AS level, count(*) AS size FROM part GROUP BY component) SELECT level, kind, count(*) AS components, CAST(sum(size) AS BIGINT) AS n_vertices FROM c GROUP BY ROLLUP (level, kind)"))
+add("rank_top_per_component", on_parts("knn2", lambda p: R.levelwise_rank(p.graph, tol=TIGHT).join(p.vertices, "id").withColumn("r", F.row_number().over(Window.partitionBy("component").orderBy(F.desc("rank"), "id"))).where("r = 1 and size > 3").select("component", "id")))
+add("edge_set_difference", lambda s, d: edges(s, d, "knn2").exceptAll(edges(s, d, "knn1")), f"SELECT src, dst FROM ({O.edge_sql('knn2')}) a EXCEPT ALL SELECT src, dst FROM ({O.edge_sql('knn1')}) b")

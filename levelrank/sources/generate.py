@@ -80,7 +80,7 @@ def generated(spark: SparkSession, n: int, dense: bool) -> tuple[DataFrame, Data
 
 def replicate(edges: DataFrame, copies: int = 10) -> DataFrame:
     """Disjoint copies: ids of copy k are moved by k strides."""
-    k = F.explode(F.sequence(F.lit(0), F.lit(copies - 1))).cast("long")
+    k = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(copies - 1).cast("long")))
     return edges.select("src", "dst", k.alias("k")).select((F.col("src") + F.col("k") * COPY_STRIDE).alias("src"), (F.col("dst") + F.col("k") * COPY_STRIDE).alias("dst"))
 
 
