@@ -66,7 +66,7 @@ class _Ids(dict):
         self.words = words
 
     def __missing__(self, token: str) -> int:
-        if len(self) > 500_000:
+        if len(self) > 100_000:
             self.clear()
         got = self[token] = self.words.get(token.strip(EDGES), VOCABULARY)
         return got
@@ -177,7 +177,7 @@ def train(docs: DataFrame) -> Model:
                 w = ids[names[lang]].of(text)
                 held.append((names[lang] * size + w[:-1]) * size + w[1:])
                 waiting += len(w)
-            if waiting > 4_000_000:
+            if waiting > 2_000_000:
                 k, n = np.unique(np.concatenate(held), return_counts=True)
                 held, waiting = [], 0
                 yield pa.record_batch([pa.array(k), pa.array(n.astype(np.int32))], ["key", "n"])
