@@ -3,7 +3,7 @@
 A text's tokens come from pieces that the pattern cuts independently of each other. A
 single blank between two visible characters always starts a piece and a single newline
 between two visible characters is one, so the texts are cut there, each distinct piece is encoded once by the library, and a text's ids are the joined bytes of its pieces' ids. Texts in which blanks or newlines come in runs, or next to other white
-space, go to the library whole.
+space, leave odd pieces when cut and go to the library whole.
 """
 
 from __future__ import annotations
@@ -26,13 +26,17 @@ JSON_FILE, RANK_FILE = "byte_bpe_50k.json", "byte_bpe_50k.tiktoken"
 #: Pieces that a worker process remembers, from one task to the next.
 REMEMBERED = 1_000_000
 _WORKER: dict[str, Pieces] = {}
-#: Characters that some pattern engines take for white space and Python does not, and the cutting mark.
-DOUBTFUL = re.compile("[\\x00\u180e\u200b\ufeff]")
+#: Characters that some pattern engines take for white space and Python does not.
+DOUBTFUL = re.compile("[\\u180e\\u200b\\ufeff]")
 
 
-def regular(text: str) -> bool:
-    """Whether all white space is single blanks and newlines between visible characters."""
-    return " ".join(text.split()) == text.replace("\n", " ") and not DOUBTFUL.search(text)
+def odd_pieces(pieces: list[str]) -> set[str]:
+    """Pieces that are empty but for their blank, or hold white space beyond it."""
+    bare = [p[1:] if p[:1] == " " else p for p in pieces]
+    joined = " ".join(bare)
+    if joined.split() == bare and not DOUBTFUL.search(joined):
+        return set()
+    return {p for p, b in zip(pieces, bare) if b.split() != [b] or DOUBTFUL.search(b)}
 
 
 def byte_characters() -> list[str]:
@@ -82,7 +86,7 @@ class Pieces:
 
         self.tokenizer = Tokenizer.from_str(spec)
         self.tokenizer.encode_special_tokens = True  # their names in a text are ordinary text
-        self.fixed = {"": b"", "\n": self._library(["\n"])[0]}
+        self.fixed = {"\n": self._library(["\n"])[0]}
         self.stops = dict(zip(",.", self._library([",", "."])))
         self.known: dict[str, bytes] = dict(self.fixed)
 
@@ -116,18 +120,34 @@ class Pieces:
     def batch(self, bodies: list[str]) -> list[bytes]:
         if len(self.known) > REMEMBERED:
             self.known = dict(self.fixed)
-        cut, whole = {}, []
-        for i, text in enumerate(bodies):
-            if regular(text):
-                cut[i] = text.replace("\n", "\0\n\0").replace(" ", "\0 ").split("\0")
-            else:
-                whole.append(i)
-        missing = set().union(*cut.values()).difference(self.known) if cut else ()
-        self._learn_all(missing)
-        known = self.known.__getitem__
-        out = {i: b"".join(map(known, parts)) for i, parts in cut.items()}
-        out.update(zip(whole, self._library([bodies[i] for i in whole])))
-        return [out[i] for i in range(len(bodies))]
+        get, cut, new = self.known.get, [], {}
+        for text in bodies:
+            if "\0" in text:
+                cut.append(None)
+                continue
+            parts = text.replace("\n", "\0\n\0").replace(" ", "\0 ").split("\0")
+            if not parts[-1]:
+                parts.pop()  # the text is empty or ends with a newline
+            got = list(map(get, parts))
+            gaps = [i for i, g in enumerate(got) if g is None] if None in got else ()
+            new.update((parts[i], None) for i in gaps)
+            cut.append((parts, got, gaps))
+        odd = odd_pieces(list(new)) if new else set()
+        self._learn_all([p for p in new if p not in odd] if odd else list(new))
+        whole = []
+        out: list[bytes] = []
+        for k, x in enumerate(cut):
+            if x is None or odd and any(x[0][i] in odd for i in x[2]):
+                whole.append(k)
+                out.append(b"")
+                continue
+            parts, got, gaps = x
+            for i in gaps:
+                got[i] = self.known[parts[i]]
+            out.append(b"".join(got))
+        for k, raw in zip(whole, self._library([bodies[k] for k in whole])):
+            out[k] = raw
+        return out
 
 
 def pieces_of(spec: str) -> Pieces:
