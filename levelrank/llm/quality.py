@@ -22,13 +22,14 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, LongType, StringType, StructField, StructType
 
 from levelrank.llm.common import arrow_rows, texts
 from levelrank.plans.staging import materialise, small_rows
 
 VOCABULARY, MIN_COUNT, MAX_LANGUAGES, SPREAD = 4096, 2, 16, 4.0
 #: Words counted by a task before it hands a batch on.
-FLUSH = 300_000
+FLUSH = 200_000
 SYMBOLS, SPACES = "#*$%&|<>", " \t\n\v\f\r"
 EDGES = ".,;:!?\"'()[]{}|-–—«»„“”‘’¿¡"
 OTHER = "?"
@@ -66,7 +67,7 @@ class _Ids(dict):
         self.words = words
 
     def __missing__(self, token: str) -> int:
-        if len(self) > 100_000:
+        if len(self) > 60_000:
             self.clear()
         got = self[token] = self.words.get(token.strip(EDGES), VOCABULARY)
         return got
@@ -256,23 +257,32 @@ def verdicts(docs: DataFrame) -> DataFrame:
 
 
 def keep_good(docs: DataFrame) -> DataFrame:
-    """The documents that pass, all columns unchanged."""
+    """The documents that pass, all columns unchanged. Documents are written once with their
+    measures, so each is scored once and the bands are a plain filter."""
     model = train(docs)
-    limit = bands(materialise(measures(docs, model), "quality"))
-    shared = docs.sparkSession.sparkContext.broadcast((model, limit))
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+    prefix = "q_"
+    while any(c.lower().startswith(prefix) for c in docs.columns):
+        prefix += "_"
+    extra = [f"{prefix}lang", f"{prefix}words", f"{prefix}repeat", f"{prefix}surprise"]
+    schema = StructType([*docs.schema.fields, StructField(extra[0], StringType()), StructField(extra[1], LongType()), StructField(extra[2], LongType()), StructField(extra[3], DoubleType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model, limit = shared.value
+        model = shared.value
         score = model.scorer()
         for b in batches:
-            keep = []
-            for lang, text in zip(b.column("lang").to_pylist(), texts(b)):
-                n, _, _, _, repeated = text_statistics(text)
-                lang = lang if lang in model.languages else OTHER
-                ok = not base_failed(n, repeated)
-                if ok and lang in limit and (s := score(lang, text)) is not None:
-                    ok = limit[lang][0] <= s <= limit[lang][1]
-                keep.append(ok)
-            yield b.filter(pa.array(keep, pa.bool_()))
-
-    return docs.mapInArrow(run, docs.schema)
+            for k in range(0, b.num_rows, 1000):
+                part = b.slice(k, 1000)
+                langs = [x if x in model.languages else OTHER for x in part.column("lang").to_pylist()]
+                body = texts(part)
+                stats = [text_statistics(t) for t in body]
+                more = [pa.array(langs, pa.string()), pa.array([x[0] for x in stats], pa.int64()), pa.array([x[4] for x in stats], pa.int64()), pa.array([score(x, t) for x, t in zip(langs, body)], pa.float64())]
+                yield pa.record_batch([*part.columns, *more], [*part.schema.names, *extra])
+
+    scored = materialise(docs.mapInArrow(run, schema), "scored")
+    lang, words, repeat, surprise = (F.col(c) for c in extra)
+    limit = bands(scored.select(lang.alias("lang"), words.alias("n_words"), repeat.alias("n_repeat_words"), surprise.alias("surprise")))
+    inside = F.lit(True)
+    for name, (low, high) in limit.items():
+        inside = F.when(lang == name, F.coalesce(surprise.between(low, high), F.lit(True))).otherwise(inside)
+    return scored.where((words >= 50) & (100 * repeat <= 50 * words) & inside).select(*docs.columns)
