@@ -12,27 +12,28 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def arrow_rows(df: DataFrame, columns: list[str], make: Callable[[Iterator[pa.RecordBatch]], Iterable], schema: str) -> DataFrame:
-    """``mapInArrow`` over the named columns only, so the scan reads nothing else."""
-    return df.select(*columns).mapInArrow(make, schema)
+#: Bytes of a batch that a task turns into Python objects at a time.
+SLICE_BYTES = 4_000_000
 
 
-def texts(batch: pa.RecordBatch, name: str = "text") -> list[str]:
-    """A batch's texts, null as the empty text."""
-    return [t or "" for t in batch.column(name).to_pylist()]
+def sliced(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The same rows in batches of about ``SLICE_BYTES``, so a task's memory does not follow Arrow's row count."""
+    for b in batches:
+        step = max(1, b.num_rows * SLICE_BYTES // max(SLICE_BYTES, b.nbytes))
+        for k in range(0, b.num_rows, step):
+            yield b.slice(k, step)
 
 
-def filtered(df: DataFrame, keep: Callable[[Iterator[pa.RecordBatch]], Iterator[tuple[pa.RecordBatch, list[bool]]]]) -> DataFrame:
-    """Rows of ``df`` for which ``keep`` says True; all columns pass unchanged."""
+def mapped(df: DataFrame, make: Callable[[Iterator[pa.RecordBatch]], Iterable], schema) -> DataFrame:
+    """``mapInArrow`` over small batches."""
+    return df.mapInArrow(lambda batches: make(sliced(batches)), schema)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch, mask in keep(batches):
-            yield batch.filter(pa.array(mask, pa.bool_()))
 
-    return df.mapInArrow(run, df.schema)
+def arrow_rows(df: DataFrame, columns: list[str], make: Callable[[Iterator[pa.RecordBatch]], Iterable], schema: str) -> DataFrame:
+    """``mapped`` over the named columns only, so the scan reads nothing else."""
+    return mapped(df.select(*columns), make, schema)
 
 
-def tracked(batches: Iterator[pa.RecordBatch], seen: list) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        seen.append(b)
-        yield b
+def texts(batch: pa.RecordBatch, name: str = "text") -> list[str]:
+    """A batch's texts, null as the empty text."""
+    return [t or "" for t in batch.column(name).to_pylist()]

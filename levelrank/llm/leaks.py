@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from levelrank.llm.common import arrow_rows, texts
+from levelrank.llm.common import arrow_rows, mapped, texts
 
 Q, STRETCH, RATE = 10, 80, 0.05
 #: Characters of items that one block may hold.
@@ -212,5 +212,5 @@ def drop_leaking(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
             for b in batches:
                 yield b.filter(pa.array([not items.find(normal(t)) for t in texts(b)], pa.bool_()))
 
-        docs = docs.mapInArrow(run, docs.schema)
+        docs = mapped(docs, run, docs.schema)
     return docs

@@ -19,14 +19,14 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from levelrank.llm.common import arrow_rows, texts
+from levelrank.llm.common import arrow_rows, mapped, texts
 from levelrank.plans.staging import materialise
 
 MIN_DOCS, FAN_IN, BATCHES = 10, 4, 2
 #: Keys that may be sent to every task (16 bytes each); above it lines are joined by key.
 SENT_KEYS = 2_000_000
 #: Keys a task counts before handing them on.
-FLUSH = 500_000
+FLUSH = 200_000
 
 
 def key_of(line: bytes) -> bytes:
@@ -150,7 +150,7 @@ def _apply(docs: DataFrame, frequent: DataFrame, columns: list[str], make, schem
             for b in batches:
                 yield make(b, [_kept(t, drop) for t in texts(b)])
 
-        return docs.select(*columns).mapInArrow(sent, schema)
+        return mapped(docs.select(*columns), sent, schema)
     numbered = materialise(docs.withColumn("row", F.monotonically_increasing_id()), "numbered")
     placed = numbered.join(_dropped_places(numbered, frequent), "row", "left")
 
@@ -162,7 +162,7 @@ def _apply(docs: DataFrame, frequent: DataFrame, columns: list[str], make, schem
                 out.append((len(lines), len(gone), b"\n".join(x for i, x in enumerate(lines) if i not in gone)))
             yield make(b, out)
 
-    return placed.select(*columns, "places").mapInArrow(joined, schema)
+    return mapped(placed.select(*columns, "places"), joined, schema)
 
 
 def line_report(docs: DataFrame, min_docs: int = MIN_DOCS) -> DataFrame:

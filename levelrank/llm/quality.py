@@ -24,10 +24,12 @@ from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, LongType, StringType, StructField, StructType
 
-from levelrank.llm.common import arrow_rows, texts
+from levelrank.llm.common import arrow_rows, mapped, texts
 from levelrank.plans.staging import materialise, small_rows
 
 VOCABULARY, MIN_COUNT, MAX_LANGUAGES, SPREAD = 4096, 2, 16, 4.0
+#: Steps of the histogram per unit of log perplexity.
+STEPS = 500
 #: Words counted by a task before it hands a batch on.
 FLUSH = 200_000
 SYMBOLS, SPACES = "#*$%&|<>", " \t\n\v\f\r"
@@ -240,8 +242,18 @@ def measures(docs: DataFrame, model: Model, id_col: str = "doc_id") -> DataFrame
 def bands(measured: DataFrame) -> dict[str, tuple[float, float]]:
     """Lower and upper surprise per language, from the documents that pass the base rules."""
     fit = measured.where("n_words >= 50 and 100 * n_repeat_words <= 50 * n_words and surprise is not null")
-    rows = small_rows(fit.groupBy("lang").agg(F.percentile_approx("surprise", [0.25, 0.75], 2000).alias("q")), MAX_LANGUAGES + 1, "bands")
-    return {r.lang: (r.q[0] - SPREAD * max(0.05, r.q[1] - r.q[0]), r.q[1] + SPREAD * max(0.05, r.q[1] - r.q[0])) for r in rows}
+    steps = fit.groupBy("lang", F.round(F.col("surprise") * STEPS).cast("int").alias("step")).agg(F.count("*").alias("n"))  # a histogram: exact counts, so reruns agree
+    of: dict[str, list[tuple[int, int]]] = {}
+    for r in small_rows(steps, 1_000_000, "histogram"):
+        of.setdefault(r.lang, []).append((r.step, r.n))
+    out = {}
+    for lang, rows in of.items():
+        rows.sort()
+        upto = np.cumsum([n for _, n in rows])
+        low, high = (rows[int(np.searchsorted(upto, q * upto[-1]))][0] / STEPS for q in (0.25, 0.75))
+        spread = SPREAD * max(0.05, high - low)
+        out[lang] = (low - spread, high + spread)
+    return out
 
 
 def verdicts(docs: DataFrame) -> DataFrame:
@@ -271,15 +283,13 @@ def keep_good(docs: DataFrame) -> DataFrame:
         model = shared.value
         score = model.scorer()
         for b in batches:
-            for k in range(0, b.num_rows, 1000):
-                part = b.slice(k, 1000)
-                langs = [x if x in model.languages else OTHER for x in part.column("lang").to_pylist()]
-                body = texts(part)
-                stats = [text_statistics(t) for t in body]
-                more = [pa.array(langs, pa.string()), pa.array([x[0] for x in stats], pa.int64()), pa.array([x[4] for x in stats], pa.int64()), pa.array([score(x, t) for x, t in zip(langs, body)], pa.float64())]
-                yield pa.record_batch([*part.columns, *more], [*part.schema.names, *extra])
-
-    scored = materialise(docs.mapInArrow(run, schema), "scored")
+            langs = [x if x in model.languages else OTHER for x in b.column("lang").to_pylist()]
+            body = texts(b)
+            stats = [text_statistics(t) for t in body]
+            more = [pa.array(langs, pa.string()), pa.array([x[0] for x in stats], pa.int64()), pa.array([x[4] for x in stats], pa.int64()), pa.array([score(x, t) for x, t in zip(langs, body)], pa.float64())]
+            yield pa.record_batch([*b.columns, *more], [*b.schema.names, *extra])
+
+    scored = materialise(mapped(docs, run, schema), "scored")
     lang, words, repeat, surprise = (F.col(c) for c in extra)
     limit = bands(scored.select(lang.alias("lang"), words.alias("n_words"), repeat.alias("n_repeat_words"), surprise.alias("surprise")))
     inside = F.lit(True)
