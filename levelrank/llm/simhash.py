@@ -32,6 +32,8 @@ from levelrank.plans.staging import materialise
 U64 = np.uint64
 #: Members that one inner index takes; larger nodes are split by the next storey.
 NODE_LIMIT = 4096
+#: Bits of a node that name its mask; shared nodes that may be sent to every task (16 bytes each).
+SLOT_BITS, SENT_NODES = 10, 1_000_000
 #: Ids stand-ins of groups without any id start here.
 NO_ID = 1 << 62
 
@@ -126,7 +128,7 @@ def exact_scheme(radius: int, storeys: int = 4) -> list[list[tuple[int, ...]]]:
     return lists[1:]
 
 
-def sampled_scheme(lanes: int, bands: int = 64, bits: int = 20, deeper: int = 4, more: int = 12, storeys: int = 2) -> list[list[tuple[int, ...]]]:
+def sampled_scheme(lanes: int, bands: int = 96, bits: int = 24, deeper: int = 4, more: int = 12, storeys: int = 2) -> list[list[tuple[int, ...]]]:
     """Masks drawn from a wide fingerprint: recall grows with ``bands``, selectivity with ``bits``."""
     rng = np.random.default_rng(7)
     lists = [[tuple(sorted(map(int, rng.choice(64 * lanes, bits, replace=False)))) for _ in range(bands)]]
@@ -241,9 +243,11 @@ def forest(fps: np.ndarray, radius: int) -> list[tuple[int, int]]:
 
 # ---------------------------------------------------------------- links and components
 def _storey(nodes: DataFrame, masks: list[tuple[int, ...]], lanes: int, fan: int) -> DataFrame:
-    """(slot, pattern, rep): the upper nodes each print belongs to. With a ``fan`` rows
-    name the node they come from, and only its children, ``fan`` of them, are taken."""
+    """(node, rep): the upper nodes each print belongs to, the mask's number in a node's last
+    bits. With a ``fan`` rows name the mask they come from, and only its children are taken."""
     words = _mask_words(masks, lanes)
+    if len(masks) > 1 << SLOT_BITS:
+        raise ValueError("too many masks")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -252,9 +256,9 @@ def _storey(nodes: DataFrame, masks: list[tuple[int, ...]], lanes: int, fan: int
             for s in np.unique(slots):
                 own = slots == s
                 for m in range(s * fan, (s + 1) * fan) if fan else range(len(masks)):
-                    yield pa.record_batch([pa.array(np.full(own.sum(), m, np.int32)), pa.array(_patterns(fps[own], words[m])), pa.array(reps[own])], ["slot", "pattern", "rep"])
+                    yield pa.record_batch([pa.array(_patterns(fps[own], words[m]) << SLOT_BITS | m), pa.array(reps[own])], ["node", "rep"])
 
-    return arrow_rows(nodes, ["rep", "fp", *(["slot"] if fan else [])], run, "slot int, pattern long, rep long")
+    return arrow_rows(nodes, ["rep", "fp", *(["slot"] if fan else [])], run, "node long, rep long")
 
 
 def _forests(groups: DataFrame, lanes: int, radius: int) -> DataFrame:
@@ -282,17 +286,16 @@ def links(nodes: DataFrame, scheme: list[list[tuple[int, ...]]], radius: int, la
     cur = nodes
     for k, masks in enumerate(scheme):
         keys = _storey(cur, masks, lanes, len(masks) // len(scheme[k - 1]) if k else 0)
-        sizes = keys.groupBy("slot", "pattern").agg(F.count("*").alias("n")).where("n > 1")
-        sizes = materialise(sizes, "nodes")
-        most = sizes.agg(F.max("n")).first()[0] or 0
-        last = k == len(scheme) - 1
-        full = keys.join(sizes, ["slot", "pattern"]).join(nodes, "rep")
+        sizes = materialise(keys.groupBy("node").agg(F.count("*").alias("n")).where("n > 1"), "nodes")
+        seen = sizes.agg(F.count("*").alias("nodes"), F.max("n").alias("most")).first()
+        most, last = seen.most or 0, k == len(scheme) - 1
+        full = keys.join(F.broadcast(sizes) if seen.nodes <= SENT_NODES else sizes, "node").join(nodes, "rep")
         here = full if last or most <= node_limit else full.where(F.col("n") <= node_limit)
-        found = _forests(here.groupBy("slot", "pattern").agg(F.collect_list(F.struct("rep", "fp")).alias("members")), lanes, radius)
+        found = _forests(here.groupBy("node").agg(F.collect_list(F.struct("rep", "fp")).alias("members")), lanes, radius)
         edges = found if edges is None else edges.unionByName(found)
         if last or most <= node_limit:
             break
-        cur = materialise(full.where(F.col("n") > node_limit).select("slot", "rep", "fp"), "large")
+        cur = materialise(full.where(F.col("n") > node_limit).select((F.col("node").bitwiseAND((1 << SLOT_BITS) - 1)).cast("int").alias("slot"), "rep", "fp"), "large")
     return edges.distinct()
 
 
