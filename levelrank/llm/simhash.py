@@ -349,7 +349,8 @@ def one_per_group(docs: DataFrame, resemblance: float = RESEMBLANCE) -> DataFram
     labelled = components(prints, sampled_scheme(lanes), radius_for(resemblance, 64 * lanes), lanes)
     ids = materialise(labelled.where("id is not null").select("id", "component"), "labels")
     gone = ids.where("id <> component").select(F.col("id").alias("doc_id")).distinct()
-    left = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    few = gone.limit(SENT_NODES + 1).count() <= SENT_NODES
+    left = docs.join(F.broadcast(gone) if few else gone, "doc_id", "left_anti").select(*docs.columns)
     again = ids.groupBy("id").agg(F.count("*").alias("n")).where("n > 1").select(F.col("id").alias("doc_id"))
     if not again.isEmpty():
         once = left.join(again, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*docs.columns)
