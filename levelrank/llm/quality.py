@@ -167,7 +167,7 @@ def train(docs: DataFrame) -> Model:
     words: list[dict[str, int]] = [{} for _ in range(MAX_LANGUAGES + 1)]
     for r in sorted(chosen, key=lambda r: r.r):
         words[languages[r.lang]][r.word] = r.r - 1
-    unknown_types = max(1, types.get["n"] - len(chosen))
+    unknown_types = max(1, types.get["n"] - len(chosen)) if chosen else 1  # without rows nothing was observed
     size, n_lang = VOCABULARY + 1, len(words)
     shared = spark.sparkContext.broadcast((languages, words))
 

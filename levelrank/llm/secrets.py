@@ -31,7 +31,7 @@ WORDS = ("password", "passwd", "secret", "token", "api_key", "apikey")
 
 TRIGGER = re.compile(r"[A-Za-z+/_=-]{0,64}[0-9][A-Za-z0-9+/_=-]{4,}")
 TOKEN = re.compile(r"[A-Za-z0-9+/_=-]+|[^\sA-Za-z0-9]")
-BEFORE, AFTER, BUCKETS, SAMPLE, EPOCHS = 60, 30, 1 << 13, 1200, 6
+BEFORE, AFTER, BUCKETS, SAMPLE, EPOCHS, UPDATES = 60, 30, 1 << 13, 1200, 6, 6000
 BEGIN, INSIDE, OUTSIDE = 0, 1, 2
 
 
@@ -146,7 +146,7 @@ class Field:
 
     def fit(self, data: list[tuple[list[list[int]], list[int]]], rate: float = 0.3, decay: float = 1e-4) -> Field:
         square = np.full_like(self.emit, 1e-6)
-        for _ in range(EPOCHS):
+        for _ in range(max(EPOCHS, min(60, UPDATES // max(1, len(data))))):
             for feats, tags in data:
                 f = np.array(feats)
                 p, pairs = self.marginals(self.emit[f].sum(axis=1))
