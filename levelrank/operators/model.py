@@ -64,7 +64,8 @@ def encode(edges: DataFrame, src: str = "src", dst: str = "dst") -> tuple[Graph,
     keys = edges.select(F.explode(F.array(F.col(src).cast("string"), F.col(dst).cast("string"))).alias("key")).where("key is not null").distinct()
     names = materialise(keys.withColumn("id", F.monotonically_increasing_id()), "keys")
     a, b = names.select(F.col("key").alias("ka"), F.col("id").alias("src")), names.select(F.col("key").alias("kb"), F.col("id").alias("dst"))
-    coded = edges.join(a, F.col(src).cast("string") == a.ka).join(b, F.col(dst).cast("string") == b.kb).select(a.src, b.dst)
+    plain = edges.select(F.col(src).cast("string").alias("ka"), F.col(dst).cast("string").alias("kb"))
+    coded = plain.join(a, "ka").join(b, "kb").select("src", "dst")
     return build_graph(coded), names
 
 
