@@ -2,8 +2,10 @@
 
 A text's tokens come from pieces that the pattern cuts independently of each other. A
 single blank between two visible characters always starts a piece and a single newline
-between two visible characters is one, so the texts are cut there, each distinct piece is encoded once by the library, and a text's ids are the joined bytes of its pieces' ids. Texts in which blanks or newlines come in runs, or next to other white
-space, leave odd pieces when cut and go to the library whole.
+between two visible characters is one, so the texts are cut there, each distinct piece is
+encoded once by the library, and a text's ids are the joined bytes of its pieces' ids. Texts
+in which blanks or newlines come in runs, or next to other white space, leave odd pieces
+when cut and go to the library whole.
 """
 
 from __future__ import annotations
@@ -13,18 +15,22 @@ import hashlib
 import json
 import os
 import re
+import string
 from collections.abc import Iterator
 
 import numpy as np
 import public_tokenizers
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
-from levelrank.llm.common import arrow_rows, texts
+from levelrank.llm.common import arrow_rows
 
 JSON_FILE, RANK_FILE = "byte_bpe_50k.json", "byte_bpe_50k.tiktoken"
 #: Pieces that a worker process remembers, from one task to the next.
 REMEMBERED = 1_000_000
+#: Bytes of text that are cut into pieces at a time.
+BLOCK_BYTES = 16_000_000
 _WORKER: dict[str, Pieces] = {}
 #: Characters that some pattern engines take for white space and Python does not.
 DOUBTFUL = re.compile("[\\u180e\\u200b\\ufeff]")
@@ -87,68 +93,93 @@ class Pieces:
         self.tokenizer = Tokenizer.from_str(spec)
         self.tokenizer.encode_special_tokens = True  # their names in a text are ordinary text
         self.fixed = {"\n": self._library(["\n"])[0]}
-        self.stops = dict(zip(",.", self._library([",", "."])))
-        self.known: dict[str, bytes] = dict(self.fixed)
+        self.forget()
+
+    def forget(self) -> None:
+        """Known pieces and their ids, row by row, in Arrow arrays: looked up a whole batch at a time."""
+        self.known = pa.array(list(self.fixed), pa.large_string())
+        self.ids = pa.array(list(self.fixed.values()), pa.large_binary())
 
     def _library(self, bodies: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(bodies, add_special_tokens=False)]
 
-    def _learn(self, pieces: list[str]) -> None:
+    def _learn(self, pieces: list[str]) -> list[bytes]:
         """Encode many pieces as one text with a newline before each: it is a token by itself
         there, and no piece holds one, so it marks where a piece's tokens begin."""
-        mark = np.frombuffer(self.fixed["\n"], "<u4")[0]
+        mark, out = np.frombuffer(self.fixed["\n"], "<u4")[0], []
         for k in range(0, len(pieces), 4_000):
-            part = pieces[k : k + 4_000]
-            raw = self._library(["\n" + "\n".join(part)])[0]
+            raw = self._library(["\n" + "\n".join(pieces[k : k + 4_000])])[0]
             at = 4 * np.flatnonzero(np.frombuffer(raw, "<u4") == mark)
-            self.known.update(zip(part, [raw[i:j] for i, j in zip((at + 4).tolist(), [*at[1:].tolist(), len(raw)])]))
+            out += [raw[i:j] for i, j in zip((at + 4).tolist(), [*at[1:].tolist(), len(raw)])]
+        return out
 
-    def _learn_all(self, missing) -> None:
-        """A full stop or comma after a letter or digit, at a piece's end, is a token of its own: such pieces are put together."""
-        tails, bare = [], set()
+    def _learn_all(self, missing: list[str]) -> None:
+        """Punctuation after a letter or digit, up to a piece's end, is a match of its own: a word
+        and its tail are learned apart and put together."""
+        tails, bare, ends = [], set(), set()
         for p in missing:
-            if p[-1] in self.stops and p[-2:-1].isalnum():
-                tails.append(p)
-                bare.add(p[:-1])
+            word = p.rstrip(string.punctuation)
+            if len(word) < len(p) and word[-1:].isalnum():
+                tails.append((p, word, p[len(word) :]))
             else:
                 bare.add(p)
-        bare.difference_update(self.known)
-        self._learn(list(bare))
-        for p in tails:
-            self.known[p] = self.known[p[:-1]] + self.stops[p[-1]]
-
-    def batch(self, bodies: list[str]) -> list[bytes]:
+        for _, word, tail in tails:
+            ends.add(word)
+            ends.add(tail)
+        ends = list(ends - bare)
+        at = pc.index_in(pa.array(ends, pa.large_string()), self.known)
+        got = dict(zip(ends, self.ids.take(at).to_pylist()))
+        fresh = [*bare, *(p for p in ends if got[p] is None)]
+        got.update(zip(fresh, self._learn(fresh)))
+        fresh += [p for p, _, _ in tails]
+        raw = [got[p] for p in fresh[: len(fresh) - len(tails)]] + [got[word] + got[tail] for _, word, tail in tails]
+        self.known = pa.concat_arrays([self.known, pa.array(fresh, pa.large_string())])
+        self.ids = pa.concat_arrays([self.ids, pa.array(raw, pa.large_binary())])
+
+    def batch(self, bodies: pa.Array) -> list[memoryview | bytes]:
+        """Id bytes of each text (no nulls). Arrow cuts the texts, numbers their distinct pieces and
+        gathers the pieces' ids; Python sees the pieces not known yet."""
         if len(self.known) > REMEMBERED:
-            self.known = dict(self.fixed)
-        get, cut, new = self.known.get, [], {}
-        for text in bodies:
-            if "\0" in text:
-                cut.append(None)
-                continue
-            parts = text.replace("\n", "\0\n\0").replace(" ", "\0 ").split("\0")
-            if not parts[-1]:
-                parts.pop()  # the text is empty or ends with a newline
-            got = list(map(get, parts))
-            gaps = [i for i, g in enumerate(got) if g is None] if None in got else ()
-            new.update((parts[i], None) for i in gaps)
-            cut.append((parts, got, gaps))
-        odd = odd_pieces(list(new)) if new else set()
-        self._learn_all([p for p in new if p not in odd] if odd else list(new))
-        whole = []
-        out: list[bytes] = []
-        for k, x in enumerate(cut):
-            if x is None or odd and any(x[0][i] in odd for i in x[2]):
-                whole.append(k)
-                out.append(b"")
-                continue
-            parts, got, gaps = x
-            for i in gaps:
-                got[i] = self.known[parts[i]]
-            out.append(b"".join(got))
-        for k, raw in zip(whole, self._library([bodies[k] for k in whole])):
-            out[k] = raw
+            self.forget()
+        bodies = bodies.cast(pa.large_string())
+        marked = pc.replace_substring(pc.replace_substring(bodies, "\n", "\0\n\0"), " ", "\0 ")
+        cut = pc.split_pattern(marked, "\0")
+        at = cut.offsets.to_numpy()
+        coded = cut.values.slice(at[0], at[-1] - at[0]).dictionary_encode()
+        at = at - at[0]
+        distinct = coded.dictionary
+        found = pc.index_in(distinct, self.known)
+        new = distinct.filter(found.is_null()).to_pylist()
+        odd = odd_pieces(new)
+        if len(new) > len(odd):
+            before, gaps = len(self.known), found.is_null()
+            self._learn_all([p for p in new if p not in odd] if odd else new)
+            learned = pc.index_in(distinct.filter(gaps), self.known.slice(before))
+            found = pc.replace_with_mask(found, gaps, pc.add(learned, pa.scalar(before, pa.int32())))
+        ids = self.ids.take(found).fill_null(b"").take(coded.indices)
+        ends = np.frombuffer(ids.buffers()[1], np.int64, len(ids) + 1, 8 * ids.offset)
+        raw = memoryview(ids.buffers()[2] or b"")
+        bounds = ends[at].tolist()
+        out: list[memoryview | bytes] = [raw[i:j] for i, j in zip(bounds, bounds[1:])]
+        for k, body in self._whole(bodies, at, coded.indices.to_numpy(), distinct, odd).items():
+            out[k] = body
         return out
 
+    def _whole(self, bodies: pa.Array, at: np.ndarray, index: np.ndarray, distinct: pa.Array, odd: set[str]) -> dict[int, bytes]:
+        """Id bytes of the texts that hold an odd piece or the mark itself, by the library. The empty
+        piece at the end of a text, which is empty or ends with a newline, is none."""
+        taken = pc.match_substring(bodies, "\0").to_numpy(zero_copy_only=False)
+        if odd:
+            strange = pc.is_in(distinct, pa.array(list(odd), pa.large_string())).to_numpy(zero_copy_only=False)
+            hit = strange[index]
+            if "" in odd:
+                last = at[1:] - 1
+                hit[last[index[last] == pc.index(distinct, "").as_py()]] = False
+            before = np.concatenate([[0], np.cumsum(hit)])
+            taken = taken | (before[at[1:]] > before[at[:-1]])
+        rows = np.flatnonzero(taken)
+        return dict(zip(rows.tolist(), self._library(bodies.take(pa.array(rows)).to_pylist())))
+
 
 def pieces_of(spec: str) -> Pieces:
     """The worker's encoder for a tokenizer; Spark reuses worker processes, so what one task
@@ -160,16 +191,18 @@ def pieces_of(spec: str) -> Pieces:
     return _WORKER[key]
 
 
-def blocks(bodies: list[str], chars: int = 4_000_000) -> Iterator[tuple[int, int]]:
-    """Slices of a batch of about so many characters: very long texts go alone."""
+def blocks(batch: pa.RecordBatch, size: int = BLOCK_BYTES) -> Iterator[tuple[int, int, pa.Array]]:
+    """(start, end, texts) of slices of about so many bytes, null as the empty text; very long
+    texts go alone."""
+    bodies = batch.column("text").fill_null("")
     start = held = 0
-    for i, t in enumerate(bodies):
-        held += len(t)
-        if held >= chars:
-            yield start, i + 1
+    for i, n in enumerate(pc.binary_length(bodies).to_pylist()):
+        held += n
+        if held >= size:
+            yield start, i + 1, bodies.slice(start, i + 1 - start)
             start, held = i + 1, 0
     if start < len(bodies):
-        yield start, len(bodies)
+        yield start, len(bodies), bodies.slice(start)
 
 
 def encode_with_offsets(spec: str, text: str) -> list[tuple[int, int, int]]:
@@ -210,17 +243,17 @@ def round_trip(docs: DataFrame, spec: str | None = None) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pieces, table = pieces_of(shared.value), Bytes(shared.value)
         for b in batches:
-            body, ids = texts(b), b.column("doc_id")
-            for start, end in blocks(body):
+            ids = b.column("doc_id")
+            for start, end, body in blocks(b):
                 rows = [], [], []
-                for raw in pieces.batch(body[start:end]):
+                for raw in pieces.batch(body):
                     got = np.frombuffer(raw, "<u4").tolist()
                     rows[0].append(len(got))
                     rows[1].append(hashlib.sha256(table.listed(got).encode()).hexdigest())
                     rows[2].append(hashlib.sha256(table.decode(got)).hexdigest())
                 yield pa.record_batch([ids[start:end], pa.array(rows[0], pa.int64()), pa.array(rows[1], pa.string()), pa.array(rows[2], pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
-    return arrow_rows(docs, ["doc_id", "text"], run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return arrow_rows(docs, ["doc_id", "text"], run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string", BLOCK_BYTES)
 
 
 def encoded(docs: DataFrame, spec: str | None = None) -> DataFrame:
@@ -231,12 +264,12 @@ def encoded(docs: DataFrame, spec: str | None = None) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pieces, table = pieces_of(shared.value), Bytes(shared.value)
         for b in batches:
-            body, ids = texts(b), b.column("doc_id")
-            for start, end in blocks(body):
-                got = [np.frombuffer(raw, "<u4").astype(np.int32) for raw in pieces.batch(body[start:end])]
+            ids = b.column("doc_id")
+            for start, end, body in blocks(b):
+                got = [np.frombuffer(raw, "<u4").astype(np.int32) for raw in pieces.batch(body)]
                 ends = np.cumsum([0, *map(len, got)]).astype(np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(got)))
                 same = [hashlib.sha256(table.decode(x.tolist())).hexdigest() for x in got]
                 yield pa.record_batch([ids[start:end], pa.array(np.diff(ends).astype(np.int64)), lists, pa.array(same, pa.string())], ["doc_id", "n_tokens", "ids", "decoded_sha256"])
 
-    return arrow_rows(docs, ["doc_id", "text"], run, "doc_id long, n_tokens long, ids array<int>, decoded_sha256 string")
+    return arrow_rows(docs, ["doc_id", "text"], run, "doc_id long, n_tokens long, ids array<int>, decoded_sha256 string", BLOCK_BYTES)

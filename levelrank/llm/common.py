@@ -16,22 +16,22 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 SLICE_BYTES = 4_000_000
 
 
-def sliced(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The same rows in batches of about ``SLICE_BYTES``, so a task's memory does not follow Arrow's row count."""
+def sliced(batches: Iterator[pa.RecordBatch], size: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
+    """The same rows in batches of about ``size`` bytes, so a task's memory does not follow Arrow's row count."""
     for b in batches:
-        step = max(1, b.num_rows * SLICE_BYTES // max(SLICE_BYTES, b.nbytes))
+        step = max(1, b.num_rows * size // max(size, b.nbytes))
         for k in range(0, b.num_rows, step):
             yield b.slice(k, step)
 
 
-def mapped(df: DataFrame, make: Callable[[Iterator[pa.RecordBatch]], Iterable], schema) -> DataFrame:
+def mapped(df: DataFrame, make: Callable[[Iterator[pa.RecordBatch]], Iterable], schema, size: int = SLICE_BYTES) -> DataFrame:
     """``mapInArrow`` over small batches."""
-    return df.mapInArrow(lambda batches: make(sliced(batches)), schema)
+    return df.mapInArrow(lambda batches: make(sliced(batches, size)), schema)
 
 
-def arrow_rows(df: DataFrame, columns: list[str], make: Callable[[Iterator[pa.RecordBatch]], Iterable], schema: str) -> DataFrame:
+def arrow_rows(df: DataFrame, columns: list[str], make: Callable[[Iterator[pa.RecordBatch]], Iterable], schema: str, size: int = SLICE_BYTES) -> DataFrame:
     """``mapped`` over the named columns only, so the scan reads nothing else."""
-    return mapped(df.select(*columns), make, schema)
+    return mapped(df.select(*columns), make, schema, size)
 
 
 def texts(batch: pa.RecordBatch, name: str = "text") -> list[str]:

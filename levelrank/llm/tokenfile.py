@@ -20,8 +20,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from levelrank.llm.bpe import JSON_FILE, blocks, json_of_file, pieces_of
-from levelrank.llm.common import arrow_rows, texts
+from levelrank.llm.bpe import BLOCK_BYTES, JSON_FILE, blocks, json_of_file, pieces_of
+from levelrank.llm.common import arrow_rows
 from levelrank.plans.staging import shared_path, small_rows
 
 MAGIC, HEADER, SAMPLE = b"EFTOK1\0\0", struct.Struct("<8sQQBBxxxxxxQQ"), 256
@@ -130,10 +130,10 @@ def write_tokens(docs: DataFrame, path: str, spec: str | None = None) -> None:
             return pa.record_batch([pa.array([part], pa.int32()), pa.array([seq], pa.int32()), pa.array([n], pa.int64()), pa.array([keys], pa.list_(pa.int64())), pa.array([pack(held)], pa.binary())], ["part", "seq", "n_ids", "doc_ids", "payload"])
 
         for b in batches:
-            body, ids = texts(b), b.column("doc_id").to_pylist()
-            for i, j in blocks(body):
-                for key, raw in zip(ids[i:j], pieces.batch(body[i:j])):
-                    held.append(np.frombuffer(raw + end, "<u4"))
+            ids = b.column("doc_id").to_pylist()
+            for i, j, body in blocks(b):
+                for key, raw in zip(ids[i:j], pieces.batch(body)):
+                    held.append(np.frombuffer(b"".join((raw, end)), "<u4"))
                     keys.append(key)
                     n += len(held[-1])
                     if n >= SEGMENT_IDS:
@@ -143,7 +143,7 @@ def write_tokens(docs: DataFrame, path: str, spec: str | None = None) -> None:
             yield close()
 
     ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
-    arrow_rows(ordered, ["doc_id", "text"], run, "part int, seq int, n_ids long, doc_ids array<long>, payload binary").write.option("compression", "zstd").parquet(path)
+    arrow_rows(ordered, ["doc_id", "text"], run, "part int, seq int, n_ids long, doc_ids array<long>, payload binary", BLOCK_BYTES).write.option("compression", "zstd").parquet(path)
 
 
 def read_tokens(spark, path: str) -> DataFrame:
