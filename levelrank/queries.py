@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from levelrank import workloads as W
 from levelrank.functions import kernels as K
 from levelrank.functions import measures as M
 from levelrank.operators import groups as GR
@@ -232,6 +233,25 @@ def _error_check(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 add("error_bounds", _error_check)
 
+# ---------------------------------------------------------------- experiments
+_STEPS = ", ".join(f"({k}, 1e-{k}::DOUBLE)" for k in range(1, 16, 2))
+for _n in ("basket_flow", "knn2", "web_anchor", "pa_sparse", "pa_dense"):
+    add(f"sweep_tolerance_{_n}", on_graph(_n, lambda g: W.sweep(g).drop("seconds")))
+    add(f"tolerance_slopes_{_n}", on_graph(_n, lambda g: M.tolerance_slope(W.costs(W.sweep(g)))))
+for _n in ("basket_flow", "web_anchor"):
+    add(f"baseline_by_tolerance_{_n}", on_graph(_n, lambda g: W.sweep(g).where("method = 'series'").select(F.round(-F.log10("tol")).cast("int").alias("digits"), F.col("rounds").cast("long").alias("rounds"), "visits")), O.series_sql(O.edge_sql(_n), f"SELECT digits, CAST(min(k) AS BIGINT) AS rounds, CAST(min(k) * (SELECT count(*) FROM e) AS BIGINT) AS visits FROM (SELECT k, max(term) AS top FROM r GROUP BY k) t, (VALUES {_STEPS}) s(digits, tol) WHERE top <= tol GROUP BY digits"))
+for _n in ("knn2", "web_anchor"):
+    add(f"sweep_damping_{_n}", on_graph(_n, lambda g: W.sweep(g, (1e-10,), W.DAMPINGS).drop("seconds")))
+    add(f"damping_ratios_{_n}", on_graph(_n, lambda g: W.damping_ratios(W.sweep(g, (1e-10,), W.DAMPINGS))))
+add("break_even_visits", on_graph("knn2", lambda g: M.break_even(W.costs(W.sweep(g)), "levelwise_scc_cac", "series")))
+add("tail_bounds", on_graph("basket_flow", lambda g: W.tail_check(g).select("k", *[F.floor(F.col(x) * 1e6 + 0.2718281).alias(f"{x}_e6") for x in ("missing", "bound")])), O.series_sql(O.edge_sql("basket_flow"), "SELECT CAST(k AS BIGINT) AS k, CAST(floor(((SELECT sum(term) FROM r) - (SELECT sum(q.term) FROM r q WHERE q.k <= t.k)) * 1e6 + 0.2718281) AS BIGINT) AS missing_e6, CAST(floor(norm * 0.85 / (1 - 0.85) * 1e6 + 0.2718281) AS BIGINT) AS bound_e6 FROM (SELECT k, sum(term) AS norm FROM r WHERE k IN (5, 10, 20, 40, 80) GROUP BY k) t"))
+for _n in ("basket_flow", "knn2", "web_anchor", "pa_sparse"):
+    add(f"methods_{_n}", on_graph(_n, lambda g: W.compare_methods(g).drop("seconds")))
+add("scale_ten_copies", lambda s, d: W.copies_scale(graph(s, d, "basket_flow"), graph(s, d, "basket_flow_x10")))
+add("scale_ten_copies_bridged", lambda s, d: W.copies_scale(graph(s, d, "basket_flow"), graph(s, d, "basket_flow_x10_bridged")))
+add("seconds_by_step", on_graph("basket_flow", W.seconds_by_step))
+add("mean_rounds_per_edge", on_graph("knn2", lambda g: M.component_rounds(g).agg((F.sum(F.col("rounds") * F.col("edges")) / F.sum("edges")).alias("rounds_per_edge"))))
+
 # ---------------------------------------------------------------- surface
 add("event_window_counts", lambda s, d: S.windowed_counts(S.type_edges(T.table(s, d, "events"))).select(F.date_format("start", "yyyy-MM-dd").alias("day"), "src", "dst", "n"), "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, user_id AS src, 1000000000 + CAST(json_extract_string(props, '$.k') AS BIGINT) AS dst, count(*) AS n FROM events WHERE json_extract_string(props, '$.k') IS NOT NULL AND user_id IS NOT NULL GROUP BY 1, 2, 3")
 add("event_sessions", lambda s, d: S.sessions(T.table(s, d, "events")).groupBy("user_id", "n").agg(F.count("*").alias("sessions")), "WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events WHERE user_id IS NOT NULL AND ts IS NOT NULL), s AS (SELECT user_id, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g), c AS (SELECT user_id, k, count(*) AS n FROM s GROUP BY user_id, k) SELECT user_id, n, count(*) AS sessions FROM c GROUP BY user_id, n")
