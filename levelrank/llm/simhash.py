@@ -18,6 +18,7 @@ links, never all pairs; distributed components finish the job.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -44,10 +45,10 @@ def shingle_hashes(text: str, width: int) -> np.ndarray:
     if not words:
         return np.zeros(0, U64)
     if len(words) < width:
-        grams = [b" ".join(words)]
+        grams, n = [b" ".join(words)], 1
     else:
-        grams = list(map(b" ".join, zip(*(words[i:] for i in range(width)))))
-    return np.fromiter((xxhash.xxh64_intdigest(g, 42) for g in grams), U64, len(grams))
+        grams, n = map(b" ".join, zip(*(islice(words, i, None) for i in range(width)))), len(words) - width + 1
+    return np.fromiter((xxhash.xxh64_intdigest(g, 42) for g in grams), U64, n)
 
 
 def lanes_of(h: np.ndarray, lanes: int) -> np.ndarray:
@@ -106,7 +107,7 @@ def fingerprints(docs: DataFrame, width: int = 3, lanes: int = 1, id_col: str =
             prints = [fingerprint(t, width, lanes).tobytes() for t in texts(b, text_col)]
             yield pa.record_batch([b.column(id_col), pa.array(prints, pa.binary())], ["id", "fp"])
 
-    return arrow_rows(docs.withColumn(id_col, F.col(id_col).cast("long")), [id_col, text_col], run, "id long, fp binary")
+    return arrow_rows(docs.withColumn(id_col, F.col(id_col).cast("long")), [id_col, text_col], run, "id long, fp binary", 1_000_000)
 
 
 # ---------------------------------------------------------------- masks
