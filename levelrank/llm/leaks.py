@@ -5,8 +5,8 @@ blank. An item leaks into a text if a stretch of it, ``STRETCH`` characters or t
 item where that is shorter, stands in the text within an edit budget of ``RATE``. By the
 q-gram lemma such a stretch shares at least length - q + 1 - q * edits q-grams with the text, all
 on diagonals that lie at most the edits apart. So the text's q-grams look up the items', hits are
-counted in overlapping bands of diagonals, and only bands that reach the bound
-within a stretch's length are aligned.
+counted in overlapping bands of diagonals, and each stretch of an item that reaches the bound in a
+band is aligned with the text there, wherever its copy starts and ends.
 
 Items go to the tasks in blocks of bounded size; each block meets every text.
 """
@@ -73,6 +73,33 @@ def banded_distance(a: str, b: str, most: int) -> int:
     return row[len(b)]
 
 
+def nearest(piece: str, text: str, most: int) -> tuple[int, int, int] | None:
+    """(start, end, edits) of the stretch of ``text``, of any length, that is nearest to ``piece``, if
+    within ``most`` edits. Bits of whole numbers hold a column of the alignment, whose text ends are free."""
+    if (at := text.find(piece)) >= 0:
+        return at, at + len(piece), 0
+    places: dict[str, int] = {}
+    for i, c in enumerate(piece):
+        places[c] = places.get(c, 0) | 1 << i
+    whole, top = (1 << len(piece)) - 1, 1 << (len(piece) - 1)
+    more, less, far, best, end = whole, 0, len(piece), most + 1, 0
+    for j, c in enumerate(text, 1):
+        same = places.get(c, 0)
+        flat = (((same & more) + more) ^ more) | same | less
+        up, down = less | ~(flat | more), flat & more
+        far += bool(up & top) - bool(down & top)
+        up, down = up << 1, down << 1
+        more, less = (down | ~(flat | up)) & whole, up & flat & whole
+        if far < best:
+            best, end = far, j
+    if best > most:
+        return None
+    n = len(piece)
+    for start in sorted(range(max(0, end - n - best), max(0, end - n + best) + 1), key=lambda x: abs(end - n - x)):
+        if banded_distance(piece, text[start:end], best) <= best:
+            return start, end, best
+
+
 class Items:
     """A block of items: sorted q-gram hashes with their places, and a bit table before them."""
 
@@ -129,48 +156,40 @@ class Items:
             order = np.lexsort((pos, band, item))
             b, i, p, q = band[order], item[order], pos[order], place[order]
             edges = np.flatnonzero(np.r_[True, (b[1:] != b[:-1]) | (i[1:] != i[:-1])])
-            for x, y in zip(edges, np.r_[edges[1:], len(b)]):
+            ends = np.r_[edges[1:], len(b)]
+            full = ends - edges >= self.need[i[edges]]
+            for x, y in zip(edges[full], ends[full]):
                 self._band(text, int(i[x]), p[x:y], q[x:y], found)
         return found
 
     def _band(self, text: str, k: int, p: np.ndarray, q: np.ndarray, found: dict) -> None:
-        need, stretch, budget = int(self.need[k]), int(self.stretch[k]), int(self.budget[k])
-        if len(p) < need:
-            return
-        wide = stretch - Q + budget
-        starts = np.flatnonzero(p[need - 1 :] - p[: len(p) - need + 1] <= wide)
-        done = -1
-        for s in starts:
-            if p[s] <= done:
+        """Every stretch of item ``k`` that has enough of its q-grams in the band is aligned, unless a leak found here holds it."""
+        item, need, stretch, budget = self.texts[k], int(self.need[k]), int(self.stretch[k]), int(self.budget[k])
+        have = np.zeros(len(item) - Q + 1, int)
+        have[q] = 1
+        upto = np.r_[0, np.cumsum(have)]
+        starts = np.flatnonzero(upto[stretch - Q + 1 :] - upto[: len(item) - stretch + 1] >= need)
+        diagonal = p - q
+        first, last = int(diagonal.min()) - budget, int(diagonal.max()) + budget
+        held = (0, -1)
+        for a in starts.tolist():
+            if held[0] <= a and a + stretch <= held[1]:
                 continue
-            hit = self._align(text, k, int(p[s]), int(q[s]), stretch, budget)
-            if hit:
-                done = hit[1]
+            lo = max(0, a + first)
+            got = nearest(item[a : a + stretch], text[lo : max(lo, a + stretch + last)], budget)
+            if got:
+                *hit, held = self._grow(text, item, lo + got[0], lo + got[1], a, stretch, got[2])
                 if k not in found or hit[1] - hit[0] > found[k][1] - found[k][0]:
-                    found[k] = hit
-
-    def _align(self, text: str, k: int, pos: int, place: int, stretch: int, budget: int) -> tuple[int, int, int] | None:
-        """A stretch of item ``k`` around a hit, against the text on the hit's diagonals."""
-        item = self.texts[k]
-        for a in sorted({min(max(0, place - back), len(item) - stretch) for back in (0, budget, stretch // 4, stretch // 2, stretch - Q)}, key=lambda a: abs(a - place)):
-            piece = item[a : a + stretch]
-            for drift in sorted(range(-budget, budget + 1), key=abs):
-                lo = pos - (place - a) + drift
-                if lo < 0 or lo + stretch > len(text) + budget:
-                    continue
-                d = banded_distance(piece, text[lo : lo + stretch], budget)
-                if d <= budget:
-                    return self._grow(text, item, lo, a, stretch, d)
-        return None
+                    found[k] = tuple(hit)
 
     @staticmethod
-    def _grow(text: str, item: str, lo: int, a: int, n: int, edits: int) -> tuple[int, int, int]:
-        hi, b = lo + n, a + n
+    def _grow(text: str, item: str, lo: int, hi: int, a: int, n: int, edits: int) -> tuple[int, int, int, tuple[int, int]]:
+        b = a + n
         while lo > 0 and a > 0 and text[lo - 1] == item[a - 1]:
             lo, a = lo - 1, a - 1
         while hi < len(text) and b < len(item) and text[hi] == item[b]:
             hi, b = hi + 1, b + 1
-        return lo, min(hi, len(text)), edits
+        return lo, hi, edits, (a, b)
 
 
 def item_blocks(benchmark: DataFrame) -> Iterator[list[tuple[int, str]]]:
