@@ -5,13 +5,14 @@ Fingerprints are bit majorities over shingle hashes, one or more 64-bit lanes wi
 * upper nodes are masked bit patterns. A scheme lists masks; fingerprints that agree on a
   mask share a node. Nodes are rows keyed by (mask, pattern), so Spark deals them out;
   nodes with one member vanish, nodes over ``node_limit`` members are split by longer
-  masks of the next storey, so no node grows with a group of copies.
+  masks of the next storey, so no node grows with a group of copies. Past the last storey
+  large nodes are cut in blocks, and every two blocks meet that still hold unlinked pairs.
 * inside a node ``GrayIndex`` sorts members by Gray rank, factors the bits a run of
   neighbours shares into inner nodes, and a search adds up differences on its way
   down, leaving a whole run as soon as the sum passes the radius.
 
 For the exact scheme (one lane, radius r) masks follow the pigeonhole rule in every
-storey, so no pair within the radius is lost. Nodes hand back a spanning forest of their
+storey, so no pair within the radius is lost. The sampled scheme has one storey: longer masks would lose pairs. Nodes hand back a spanning forest of their
 links, never all pairs; distributed components finish the job.
 """
 
@@ -129,13 +130,10 @@ def exact_scheme(radius: int, storeys: int = 4) -> list[list[tuple[int, ...]]]:
     return lists[1:]
 
 
-def sampled_scheme(lanes: int, bands: int = 96, bits: int = 24, deeper: int = 4, more: int = 12, storeys: int = 2) -> list[list[tuple[int, ...]]]:
+def sampled_scheme(lanes: int, bands: int = 96, bits: int = 24) -> list[list[tuple[int, ...]]]:
     """Masks drawn from a wide fingerprint: recall grows with ``bands``, selectivity with ``bits``."""
     rng = np.random.default_rng(7)
-    lists = [[tuple(sorted(map(int, rng.choice(64 * lanes, bits, replace=False)))) for _ in range(bands)]]
-    for _ in range(storeys - 1):
-        lists.append([tuple(sorted({*m, *map(int, rng.choice(64 * lanes, more, replace=False))})) for m in lists[-1] for _ in range(deeper)])
-    return lists
+    return [[tuple(sorted(map(int, rng.choice(64 * lanes, bits, replace=False)))) for _ in range(bands)]]
 
 
 def _mask_words(masks: list[tuple[int, ...]], lanes: int) -> np.ndarray:
@@ -277,12 +275,37 @@ def _forests(groups: DataFrame, lanes: int, radius: int) -> DataFrame:
     return groups.select("members").mapInArrow(run, "a long, b long")
 
 
+def _block_links(large: DataFrame, edges: DataFrame, radius: int, lanes: int, node_limit: int) -> DataFrame:
+    """``edges`` and links for all pairs of the (node, rep, fp, n) rows of large nodes.
+
+    Each node is first searched in blocks of about ``node_limit`` members. Members that are
+    linked by then need no comparison: a label with many members gets blocks of its own, the
+    rest share blocks, and any two blocks meet in one search unless both hold the same label only."""
+    members, parts = F.collect_list(F.struct("rep", "fp")).alias("members"), lambda n: F.ceil(F.col(n) / node_limit)
+    of_rep = F.xxhash64("rep")
+    first = large.groupBy("node", F.pmod(of_rep, parts("n")).alias("block")).agg(members)
+    edges = materialise(edges.unionByName(_forests(first, lanes, radius)).distinct(), "links")
+    roots = connected_components(edges).select(F.col("id").alias("rep"), "component")
+    labelled = materialise(large.join(roots, "rep", "left").select("node", "rep", "fp", F.coalesce("component", "rep").alias("label")), "labelled")
+    sizes = labelled.groupBy("node", "label").agg(F.count("*").alias("own")).withColumn("pure", 2 * F.col("own") > node_limit)
+    of_node = sizes.groupBy("node").agg(F.count("*").alias("labels"), F.sum(F.when(F.col("pure"), 0).otherwise(F.col("own"))).alias("rest")).where("labels > 1")
+    shared = F.pmod(F.xxhash64("label"), F.greatest(parts("rest"), F.lit(1)))
+    label = F.when(F.col("pure"), F.col("label"))
+    block = F.when(F.col("pure"), F.xxhash64("label", F.pmod(of_rep, parts("own")))).otherwise(shared)
+    dealt = materialise(labelled.join(sizes, ["node", "label"]).join(of_node, "node").select("node", "rep", "fp", label.alias("only"), block.alias("block")), "blocks")
+    blocks = materialise(dealt.groupBy("node", "block").agg(F.first("only").alias("only")), "pairs")
+    a, b = (blocks.select("node", F.col("block").alias(x), F.col("only").alias(f"only_{x}")) for x in "ab")
+    pairs = a.join(b, "node").where("a <= b and not (only_a <=> only_b and only_a is not null)").select("node", "a", "b")
+    meet = pairs.withColumn("block", F.explode(F.array_distinct(F.array("a", "b"))))
+    found = _forests(dealt.join(meet, ["node", "block"]).groupBy("node", "a", "b").agg(members), lanes, radius)
+    return edges.unionByName(found)
+
+
 def links(nodes: DataFrame, scheme: list[list[tuple[int, ...]]], radius: int, lanes: int = 1, node_limit: int = NODE_LIMIT) -> DataFrame:
     """(a, b): a spanning forest, per index node, of all pairs of prints within ``radius``.
 
-    ``nodes`` has one row per distinct print: (rep long, fp binary), already written. The
-    last storey takes nodes of any size: under the exact scheme it has so few free bits
-    that a node is bounded by their number."""
+    ``nodes`` has one row per distinct print: (rep long, fp binary), already written. Nodes
+    of the last storey that are over ``node_limit`` go through ``_block_links``."""
     edges = None
     cur = nodes
     for k, masks in enumerate(scheme):
@@ -291,10 +314,14 @@ def links(nodes: DataFrame, scheme: list[list[tuple[int, ...]]], radius: int, la
         seen = sizes.agg(F.count("*").alias("nodes"), F.max("n").alias("most")).first()
         most, last = seen.most or 0, k == len(scheme) - 1
         full = keys.join(F.broadcast(sizes) if seen.nodes <= SENT_NODES else sizes, "node").join(nodes, "rep")
-        here = full if last or most <= node_limit else full.where(F.col("n") <= node_limit)
+        here = full if most <= node_limit else full.where(F.col("n") <= node_limit)
         found = _forests(here.groupBy("node").agg(F.collect_list(F.struct("rep", "fp")).alias("members")), lanes, radius)
         edges = found if edges is None else edges.unionByName(found)
-        if last or most <= node_limit:
+        if most <= node_limit:
+            break
+        if last:
+            large = materialise(full.where(F.col("n") > node_limit).select("node", "rep", "fp", "n"), "large")
+            edges = _block_links(large, edges, radius, lanes, node_limit)
             break
         cur = materialise(full.where(F.col("n") > node_limit).select((F.col("node").bitwiseAND((1 << SLOT_BITS) - 1)).cast("int").alias("slot"), "rep", "fp"), "large")
     return edges.distinct()
