@@ -130,7 +130,7 @@ def exact_scheme(radius: int, storeys: int = 4) -> list[list[tuple[int, ...]]]:
     return lists[1:]
 
 
-def sampled_scheme(lanes: int, bands: int = 96, bits: int = 24) -> list[list[tuple[int, ...]]]:
+def sampled_scheme(lanes: int, bands: int = 144, bits: int = 24) -> list[list[tuple[int, ...]]]:
     """Masks drawn from a wide fingerprint: recall grows with ``bands``, selectivity with ``bits``."""
     rng = np.random.default_rng(7)
     return [[tuple(sorted(map(int, rng.choice(64 * lanes, bits, replace=False)))) for _ in range(bands)]]
