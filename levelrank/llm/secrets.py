@@ -1,10 +1,10 @@
 """Secret scans: base patterns and a linear-chain conditional random field.
 
-The field tags the tokens around every trigger (a token of eight or more characters with a
-digit, or a key word) as begin, inside or outside of a secret, from token shape, length,
-spread of characters, neighbouring words and facts about the file, and Viterbi picks the best
-tags. It is fitted on a bounded sample, ``SAMPLE`` windows in hash order, whose labels are
-the values that the base patterns find. Its spans are added where no base span is.
+The field tags every token of every text as begin, inside or outside of a secret, from token
+shape, length, spread of characters, neighbouring words and facts about the file, and Viterbi
+picks the best tags. It is fitted on a bounded sample of stretches of all texts, the ``SAMPLE`` first
+in hash order with a value that the base patterns find, their label, and the ``SAMPLE`` first
+without. Its spans are added where no base span is.
 """
 
 from __future__ import annotations
@@ -21,6 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from levelrank.llm.common import arrow_rows, texts
+from levelrank.plans.staging import materialise
 
 #: The base patterns; lengths are part of the patterns where runs are whole.
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
@@ -29,9 +30,11 @@ HEXES = re.compile(r"[0-9a-f]{24,}")
 KINDS = ("assign", "access", "hex", "secret")
 WORDS = ("password", "passwd", "secret", "token", "api_key", "apikey")
 
-TRIGGER = re.compile(r"[A-Za-z+/_=-]{0,64}[0-9][A-Za-z0-9+/_=-]{4,}")
+STRETCH = re.compile(r"\S.{0,200}\S*", re.DOTALL)
 TOKEN = re.compile(r"[A-Za-z0-9+/_=-]+|[^\sA-Za-z0-9]")
-BEFORE, AFTER, BUCKETS, SAMPLE, EPOCHS, UPDATES = 60, 30, 1 << 13, 1200, 6, 6000
+BUCKETS, SAMPLE, EPOCHS, UPDATES = 1 << 13, 1200, 6, 6000
+#: Distinct tokens whose scores a task keeps.
+KNOWN = 200_000
 BEGIN, INSIDE, OUTSIDE = 0, 1, 2
 
 
@@ -47,19 +50,9 @@ def base_spans(text: str) -> list[tuple[int, int, int, int]]:
     return sorted(out)
 
 
-def windows(text: str) -> list[tuple[int, int]]:
-    """Merged stretches of text around triggers, cut at white space."""
-    out: list[list[int]] = []
-    for m in TRIGGER.finditer(text):
-        if m.end() - m.start() < 8:
-            continue
-        a, b = max(0, m.start() - BEFORE), min(len(text), m.end() + AFTER)
-        a = 0 if a == 0 else (i if 0 <= (i := text.find(" ", a, m.start())) else a)
-        if out and a <= out[-1][1]:
-            out[-1][1] = max(b, out[-1][1])
-        else:
-            out.append([a, b])
-    return [tuple(w) for w in out]
+def stretches(text: str) -> list[tuple[int, int]]:
+    """The whole text in stretches of about 200 characters, cut at white space."""
+    return [m.span() for m in STRETCH.finditer(text)]
 
 
 def _shape(t: str) -> str:
@@ -72,13 +65,25 @@ def _spread(t: str) -> int:
     return int(-sum(c / n * math.log2(c / n) for c in map(t.count, set(t))))
 
 
+def _own(t: str) -> list[str]:
+    return [f"s{_shape(t)}", f"n{min(12, len(t) // 4)}", f"e{_spread(t)}", f"w{t.lower()[:16]}" if len(t) < 12 else "w"]
+
+
+def _low(t: str) -> str:
+    return t.lower()[:16] if len(t) < 17 else "long"
+
+
+def _bucket(x: str) -> int:
+    return xxhash.xxh32_intdigest(x) % BUCKETS
+
+
 def features(tokens: list[str], file: str) -> list[list[int]]:
-    low = [t.lower()[:16] if len(t) < 17 else "long" for t in tokens]
-    own = [[f"s{_shape(t)}", f"n{min(12, len(t) // 4)}", f"e{_spread(t)}", f"w{w}" if len(t) < 12 else "w"] for t, w in zip(tokens, low)]
+    low = [_low(t) for t in tokens]
+    own = [_own(t) for t in tokens]
     out = []
     for i, f in enumerate(own):
         near = [f"p{low[i - 1]}" if i else "p^", f"q{low[i - 2]}" if i > 1 else "q^", f"r{low[i - 3]}" if i > 2 else "r^", f"f{low[i + 1]}" if i + 1 < len(low) else "f$", f"{f[0]}{f[1]}", f"{f[1]}{f[2]}", f"{file}{f[1]}"]
-        out.append([xxhash.xxh32_intdigest(x) % BUCKETS for x in (*f, *near)])
+        out.append([_bucket(x) for x in (*f, *near)])
     return out
 
 
@@ -112,18 +117,39 @@ class Field:
         return self.emit[np.array(feats)].sum(axis=1)
 
     def viterbi(self, feats: list[list[int]]) -> list[int]:
-        if not feats:
-            return []
-        e = self.scores(feats)
-        best, back = e[0].copy(), []
-        best[INSIDE] -= 1e3
-        for row in e[1:]:
-            paths = best[:, None] + self.move
-            back.append(paths.argmax(axis=0))
-            best = paths.max(axis=0) + row
-        tags = [int(best.argmax())]
-        for b in reversed(back):
-            tags.append(int(b[tags[-1]]))
+        return self.best(self.scores(feats)) if feats else []
+
+    def best(self, e: np.ndarray) -> list[int]:
+        """The best tags for one row of tag scores per token."""
+        rows = e.tolist()
+        (bb, bi, bo), (ib, ii, io), (ob, oi, oo) = self.move.tolist()
+        b, i, o = rows[0]
+        i -= 1e3
+        back = []
+        for x, y, z in rows[1:]:
+            nb, kb = b + bb, 0
+            if (v := i + ib) > nb:
+                nb, kb = v, 1
+            if (v := o + ob) > nb:
+                nb, kb = v, 2
+            ni, ki = b + bi, 0
+            if (v := i + ii) > ni:
+                ni, ki = v, 1
+            if (v := o + oi) > ni:
+                ni, ki = v, 2
+            no, ko = b + bo, 0
+            if (v := i + io) > no:
+                no, ko = v, 1
+            if (v := o + oo) > no:
+                no, ko = v, 2
+            b, i, o = nb + x, ni + y, no + z
+            back.append((kb, ki, ko))
+        last = (b, i, o)
+        tag = last.index(max(last))
+        tags = [tag]
+        for k in reversed(back):
+            tag = k[tag]
+            tags.append(tag)
         return tags[::-1]
 
     def marginals(self, e: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -163,50 +189,94 @@ class Field:
         return self
 
 
+class Scorer(dict):
+    """Token -> its row of the table of summed weights: its own in each kind of file, then what it
+    gives the tokens one, two and three after it and the one before. Sums are those of ``Field.scores``."""
+
+    FILES = ("F00", "F01", "F10", "F11")
+
+    def __init__(self, field: Field):
+        super().__init__()
+        self.field, self.table = field, np.zeros((1 << 12, 8, 3))
+        self.edges = field.emit[[_bucket(x) for x in ("p^", "q^", "r^", "f$")]]
+
+    def __missing__(self, t: str) -> int:
+        at = len(self)
+        if at == len(self.table):
+            self.table = np.concatenate([self.table, np.zeros_like(self.table)])
+        emit, f, low = self.field.emit, _own(t), _low(t)
+        own = emit[[_bucket(x) for x in (*f, f"{f[0]}{f[1]}", f"{f[1]}{f[2]}")]].sum(axis=0)
+        self.table[at] = emit[[_bucket(x) for x in (*(k + f[1] for k in self.FILES), *(k + low for k in "pqrf"))]]
+        self.table[at, :4] += own
+        self[t] = at
+        return at
+
+    def scores(self, tokens: list[str], file: str) -> np.ndarray:
+        if len(self) > KNOWN:
+            self.clear()
+        at = np.fromiter(map(self.__getitem__, tokens), np.int64, len(tokens))
+        e = self.table[at, self.FILES.index(file)]
+        for k in (1, 2, 3):
+            e[:k] += self.edges[k - 1]
+            e[k:] += self.table[at[:-k], 3 + k]
+        e[-1] += self.edges[3]
+        e[:-1] += self.table[at[1:], 7]
+        return e
+
+
 def train(docs: DataFrame, sample: int = SAMPLE) -> Field:
-    """Fit on the ``sample`` windows of all texts that come first in hash order."""
+    """Fit on the ``sample`` stretches of all texts that come first in hash order with a base value, and as many without; each once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: tuple[dict, dict] = ({}, {})
+        upto = [1 << 63, 1 << 63]  # no stretch past the sample can come first
         for b in batches:
-            rows = []
             for t in texts(b):
-                found = windows(t)
-                if not found:
-                    continue
-                base, file = base_spans(t), file_fact(t)
-                for a, z in found:
-                    body = t[a:z]
-                    own = [(s - a, k, e - a, v - a) for s, k, e, v in base if e > a and s < z]
+                base, file = base_spans(t), None
+                for a, z in stretches(t):
+                    own = [(s - a, k, e - a, v - a) for s, k, e, v in base if e > a and s < z] if base else []
+                    kind, body = int(not own), t[a:z]
+                    h = xxhash.xxh64_intdigest(body.encode("utf-8", "surrogatepass"), 1) >> 1
+                    if h >= upto[kind] or h in held[kind]:
+                        continue
                     spans = tokens_of(body, 0, len(body))
-                    if 1 < len(spans) < 400:
-                        rows.append((xxhash.xxh64_intdigest(body, 1) >> 1, [body[i:j] for i, j in spans], file, _labels(spans, own)))
-            rows = sorted(rows)[:sample]  # no window past the sample can come first
-            yield pa.record_batch([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.list_(pa.string())), pa.array([r[2] for r in rows], pa.string()), pa.array([r[3] for r in rows], pa.list_(pa.int32()))], ["h", "tokens", "file", "tags"])
-
-    found = arrow_rows(docs, ["text"], run, "h long, tokens array<string>, file string, tags array<int>")
-    rows = found.orderBy("h", "tokens").limit(sample).collect()
-    return Field().fit([(features(r.tokens, r.file), list(r.tags)) for r in rows])
-
-
-def all_spans(text: str, field: Field) -> tuple[list[tuple[int, int, int]], list[tuple[int, int, int]]]:
+                    if len(spans) > 1:
+                        file = file or file_fact(t)
+                        held[kind][h] = ([body[i:j] for i, j in spans], file, _labels(spans, own))
+                    if len(held[kind]) > 2 * sample:
+                        first = sorted(held[kind])
+                        upto[kind] = first[sample]
+                        for h in first[sample:]:
+                            del held[kind][h]
+        for kind in (0, 1):
+            rows = [(h, *held[kind][h]) for h in sorted(held[kind])[:sample]]
+            yield pa.record_batch([pa.array([kind] * len(rows), pa.int32()), pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.list_(pa.string())), pa.array([r[2] for r in rows], pa.string()), pa.array([r[3] for r in rows], pa.list_(pa.int32()))], ["kind", "h", "tokens", "file", "tags"])
+
+    found = arrow_rows(docs, ["text"], run, "kind int, h long, tokens array<string>, file string, tags array<int>")
+    once = materialise(found.groupBy("kind", "h").agg(F.min(F.struct("tokens", "file", "tags")).alias("row")).select("kind", "h", "row.*"), "stretches")
+    rows = [r for kind in (0, 1) for r in once.where(F.col("kind") == kind).orderBy("h").limit(sample).collect()]
+    return Field().fit([(features(r.tokens, r.file), list(r.tags)) for r in sorted(rows, key=lambda r: r.h)])
+
+
+def all_spans(text: str, field: Field, scorer: Scorer | None = None) -> tuple[list[tuple[int, int, int]], list[tuple[int, int, int]]]:
     """Base spans and those the field adds, as (start, kind, end)."""
     base = [(s, k, e) for s, k, e, _ in base_spans(text)]
-    added, file = [], None
-    for a, z in windows(text):
-        spans = tokens_of(text, a, z)
-        if not spans:
-            continue
-        file = file or file_fact(text)
-        tags = field.viterbi(features([text[i:j] for i, j in spans], file))
-        run: list[int] | None = None
-        for (i, j), tag in [*zip(spans, tags), ((0, 0), OUTSIDE)]:
-            if run and tag != INSIDE:
-                added.append((run[0], 3, run[1]))
-                run = None
-            if tag == BEGIN:
-                run = [i, j]
-            elif tag == INSIDE and run:
-                run[1] = j
+    tokens = TOKEN.findall(text)
+    if not tokens:
+        return base, []
+    tags = field.best((scorer or Scorer(field)).scores(tokens, file_fact(text)))
+    if all(tag == OUTSIDE for tag in tags):
+        return base, []
+    added: list[tuple[int, int, int]] = []
+    run: list[int] | None = None
+    for (i, j), tag in [*zip(tokens_of(text, 0, len(text)), tags), ((0, 0), OUTSIDE)]:
+        if run and tag != INSIDE:
+            added.append((run[0], 3, run[1]))
+            run = None
+        if tag == BEGIN:
+            run = [i, j]
+        elif tag == INSIDE and run:
+            run[1] = j
     free = [x for x in added if x[2] - x[0] >= 6 and not any(s < x[2] and x[0] < e for s, _, e in base)]
     return base, free
 
@@ -218,10 +288,11 @@ def report(docs: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         field = shared.value
+        scorer = Scorer(field)
         for b in batches:
             out = []
             for t in texts(b):
-                base, added = all_spans(t, field)
+                base, added = all_spans(t, field, scorer)
                 kinds = [k for _, k, _ in base]
                 out.append((*(kinds.count(k) for k in range(3)), hashlib.sha256(said(base).encode()).hexdigest(), said(base + added)))
             ints = [pa.array([r[c] for r in out], pa.int64()) for c in range(3)]
