@@ -1,14 +1,17 @@
 """Personal data by weak supervision, in DataFrame operations only.
 
-Candidates are the spans that the base patterns find (valid or not) and looser spans:
-spelled-out addresses and numbers without their prefix. Three labelers vote on each
-candidate: the strict pattern, a gazetteer (endings of domains, dialling codes, issuer
-digits, address ranges) and the words before it. Expectation-maximisation over the counts of vote
-patterns estimates how reliable each labeler is for each kind and how likely each
-pattern is a true span. These posteriors are the soft labels of the final span classifier, a
-naive Bayes model over the span's shape, whose weights are aggregates over all
-candidates. Valid base spans always stay; the classifier adds
-loose spans, and base matches that fail their check only where the words before ask for one.
+Candidates are the spans that the base patterns find (valid or not) and looser spans: spelled-out
+addresses, card numbers next to other digits, phone numbers without a plus, long internet addresses. Three
+labelers vote on each candidate: its form (the base check, or its like for looser spans), a gazetteer (endings
+of domains, dialling codes, issuer digits, address ranges) and the words before it. Expectation-maximisation
+over the counts of vote patterns estimates how reliable each labeler is for each kind and how likely
+each pattern is a true span. These posteriors are the soft labels of the final span classifier, a
+naive Bayes model over the span's shape, whose weights are aggregates over all candidates. Valid base
+spans always stay; the classifier adds looser spans whose form is sound, and base matches that
+fail their check only where the words before ask for one. Of looser spans that meet, the first stays.
+
+Null and empty texts have no spans; repeated rows and rows without doc_id are reported one by one; a very
+long text is one row whose candidates are rows of their own; other columns are not read.
 
 Only counts per vote pattern and per shape feature, whose number is fixed, reach the driver.
 """
@@ -34,11 +37,14 @@ PATTERNS = {
 }
 #: What a text must hold before a pattern is tried.
 SIGNS = {"email": "@", "ip": ".", "card": "", "phone": "+"}
-#: Looser spans: addresses spelled out, and numbers in groups without a plus.
-LOOSE = {
-    "email": rf"[{NAME}](?<![{NAME}]{{2}})[{NAME}]*+\x20?[(\[]at[)\]]\x20?[A-Za-z0-9-]++(?:\x20?[(\[]dot[)\]]\x20?[A-Za-z0-9-]++)++",
-    "phone": r"(?<![0-9+(.-])\([0-9]{3}\)\x20?[0-9]{3}[\x20.-][0-9]{4}(?![0-9])",
-}
+#: Looser spans, each with what a text must hold before it is tried: addresses spelled out, card numbers whose
+#: neighbours hide them from the base pattern, numbers in groups without a plus or after the exit code.
+LOOSE = (
+    ("email", "at", rf"[{NAME}](?<![{NAME}]{{2}})[{NAME}]*+\x20?[(\[{{]\x20?(?i:at)\x20?[)\]}}]\x20?[A-Za-z0-9-]++(?:\x20?[(\[{{]\x20?(?i:dot)\x20?[)\]}}]\x20?[A-Za-z0-9-]++|\.[A-Za-z0-9-]++)++"),
+    ("card", "", r"(?<![0-9])(?<![0-9]-)(?:[0-9]{13,19}|[0-9]{4}([\x20-])[0-9]{4}\1[0-9]{4}\1[0-9]{4}|3[47][0-9]{2}[\x20-][0-9]{6}[\x20-][0-9]{5})(?![0-9])"),
+    ("phone", "", r"(?<![0-9+(./-])(?<![0-9)]\x20)(?:\([0-9]{3}\)\x20?[0-9]{3}[\x20.-][0-9]{4}|[0-9]{3}([.-])[0-9]{3}\1[0-9]{4}|00[1-9][0-9]{0,2}(?:[\x20.-][0-9]{2,4}){2,4}|0[1-9][0-9]{1,3}[\x20/-][0-9]{3,4}[\x20-]?[0-9]{3,4})(?![0-9-])"),
+    ("ip", ":", r"(?<![0-9A-Fa-f:])(?:[0-9A-Fa-f]{1,4}:){7}[0-9A-Fa-f]{1,4}(?![0-9A-Fa-f:])"),
+)
 #: Gazetteers: fixed values.
 ENDINGS = ("com", "net", "org", "edu", "gov", "info", "io", "de", "fr", "es", "uk", "eu")
 DIALLING = ("1", "7", "20", "27", "30", "31", "32", "33", "34", "36", "39", "40", "41", "43", "44", "45", "46", "47", "48", "49", "52", "54", "55", "61", "62", "81", "82", "86", "90", "91", "351", "353", "358", "420")
@@ -61,16 +67,17 @@ def luhn(digits: Column) -> Column:
 
 
 def _strict(kind: str, match: Column) -> Column:
+    """The check that a well-formed value passes: that of the base pattern, or its like for looser spans."""
     digits = F.regexp_replace(match, "[^0-9]", "")
     n = F.length(digits)
     if kind == "ip":
         part = "0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[0-9]{1,2})"
-        return match.rlike(rf"^{part}(?:\.{part}){{3}}$")
+        return match.rlike(rf"^{part}(?:\.{part}){{3}}$") | (F.contains(match, F.lit(":")) & match.rlike("^[23]"))
     if kind == "card":
         return F.when(n.between(12, 19), luhn(digits)).otherwise(False)
     if kind == "phone":
-        return n.between(9, 15) & match.startswith("+")
-    return match.rlike("^[^@]+@[^@]+$")
+        return n.between(9, 15) & (match.startswith("+") | match.rlike(r"^(?:00|0|\([2-9]|[2-9])[0-9]"))
+    return match.rlike(r"^[^@]+@[^@]+$|(?i)dot|\.")
 
 
 def _gazetteer(kind: str, match: Column) -> Column:
@@ -80,7 +87,8 @@ def _gazetteer(kind: str, match: Column) -> Column:
     if kind == "phone":
         code = F.regexp_extract(match, r"^\+([0-9]{1,3})", 1)
         known = F.substring(code, 1, 1).isin(*DIALLING) | F.substring(code, 1, 2).isin(*DIALLING) | code.isin(*DIALLING)
-        return F.when(code == "", 0).when(known, 1).otherwise(-1)
+        plain = F.when(match.rlike(r"^00(?:[1-9])"), 1).when(match.rlike(r"^\(?[2-9][0-9]{2}\)?[\x20.-]?[2-9][0-9]{2}[\x20.-][0-9]{4}$"), 1).otherwise(0)
+        return F.when(code == "", plain).when(known, 1).otherwise(-1)
     if kind == "card":
         digits = F.regexp_replace(match, "[^0-9]", "")
         return F.when(digits.rlike("^(?:4|5[1-5]|2[2-7]|3[47]|6011|65)") & F.length(digits).between(13, 16), 1).when(F.length(digits) < 12, -1).otherwise(0)
@@ -108,7 +116,7 @@ def _found(kind: str, pattern: str, sign: str, base: bool) -> Column:
 def candidates(docs: DataFrame) -> DataFrame:
     """One row per candidate span, and one without a kind per document without candidates."""
     rows = docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    arrays = [_found(k, PATTERNS[k], SIGNS[k], True) for k in KINDS] + [_found("email", LOOSE["email"], "at", False), _found("phone", LOOSE["phone"], "(", False)]
+    arrays = [_found(k, PATTERNS[k], SIGNS[k], True) for k in KINDS] + [_found(k, p, sign, False) for k, sign, p in LOOSE]
     spans = rows.select("row", "doc_id", F.explode_outer(F.concat(*arrays)).alias("s")).select("row", "doc_id", "s.*")
     so_far = Window.partitionBy("row", "kind", "base").orderBy("i").rowsBetween(Window.unboundedPreceding, 0)
     placed = spans.withColumn("end", F.sum(F.col("gap") + F.length("match")).over(so_far)).withColumn("start", F.col("end") - F.length("match"))
@@ -174,10 +182,12 @@ def report(docs: DataFrame) -> DataFrame:
     """One row per document; null or empty texts have no spans."""
     spans = classify(materialise(candidates(docs), "candidates"))
     base = F.col("base") & F.col("valid")
-    kept = spans.withColumn("is_base", F.coalesce(base, F.lit(False))).withColumn("added", F.coalesce(~F.col("is_base") & (F.col("p") >= ACCEPT) & (~F.col("base") | (F.col("cue") == 1)), F.lit(False)))
+    kept = spans.withColumn("is_base", F.coalesce(base, F.lit(False))).withColumn("added", F.coalesce(~F.col("is_base") & (F.col("p") >= ACCEPT) & F.when(F.col("base"), F.col("cue") == 1).otherwise(F.col("valid")), F.lit(False)))
     order = F.array_position(F.array(*map(F.lit, KINDS)), F.col("kind"))
     item = F.struct(F.col("start").alias("start"), order.alias("o"), F.col("end").alias("end"), F.col("kind").alias("kind"))
     grouped = kept.groupBy("row", "doc_id").agg(*[F.count_if(F.col("is_base") & (F.col("kind") == k)).alias(f"n_{k}") for k in KINDS], F.array_sort(F.collect_list(F.when(F.col("is_base"), item))).alias("b"), F.collect_list(F.when(F.col("added"), item)).alias("m"))
     free = F.filter("m", lambda x: ~F.exists("b", lambda y: (y["start"] < x["end"]) & (x["start"] < y["end"])))
+    none = F.slice(F.col("m"), F.lit(1), F.lit(0))
+    free = F.aggregate(F.array_sort(free), none, lambda kept, x: F.when(F.exists(kept, lambda y: (y["start"] < x["end"]) & (x["start"] < y["end"])), kept).otherwise(F.array_append(kept, x)))
     said = lambda c: F.array_join(F.transform(c, lambda x: F.concat_ws(":", x["kind"], x["start"].cast("string"), x["end"].cast("string"))), ",")
     return grouped.select("doc_id", *(f"n_{k}" for k in KINDS), F.sha2(said(F.col("b")), 256).alias("base_sha256"), said(F.array_sort(F.concat("b", free))).alias("spans"))
