@@ -1,298 +1,433 @@
 """Quality rules: text statistics and n-gram perplexity bands.
 
-The language model is a modified Kneser-Ney bigram model per language, counted by Spark
-over every word of every document. Its vocabulary is closed (``VOCABULARY`` most frequent
-words of each language, ties by word), which bounds the model: at most
-``MAX_LANGUAGES * (VOCABULARY+1)**2`` bigrams, of which those seen ``MIN_COUNT`` times or
-more are stored as sorted key arrays next to their log probabilities; the mass of the
-rest stays in the back-off weights. Words outside share one symbol, whose probability is
-divided by the number of such words, so unknown words are as unlikely as they should be.
-
-A language's documents give its bands: quartiles of the log perplexity, widened by
-``SPREAD`` times their distance, reject what lies outside.
+The language model is a modified Kneser-Ney bigram model per language over every word and every
+bigram of every document: no vocabulary, no counts and no languages are cut. It lives in sorted hash arrays,
+dealt out by ranges of the hash, and never meets the driver or a broadcast:
+
+1. texts become streams: per batch of texts the sorted array of its words' hashes (language and word) and
+   the texts as places in it. The stream table is bucketed by batch, so later steps find it in place;
+2. each batch sends the sorted array of its bigrams' hashes and counts, cut into hash ranges. A range's task
+   merges the arrays it gets into the model's array of that range and answers each with the counts of
+   its bigrams in all documents, and which of them it owns (a bigram's first batch does);
+3. from the bigrams it owns a batch adds up what its words follow and precede; these sums go the same way,
+   by ranges of word hashes, and the totals come back;
+4. with both answers a batch knows all counts its texts need. Each document is scored by the counts of all others
+   (its own are taken off), so rare junk does not vouch for itself.
+
+What travels are deltas of sorted hashes in compressed byte planes, some three bytes a distinct
+bigram of a batch. Hashes have ``SPARE_BITS`` bits more than the text has bytes, so at any size about
+one bigram in 50,000 shares its hash with another and is counted with it.
+
+A language's documents give its bands: quartiles of the log perplexity, widened by ``SPREAD`` times
+their distance, reject what lies outside.
+
+Null and empty texts have no words and fail the base rules; texts of one word have no perplexity and pass
+the bands; null languages are a language of their own; rows with equal or null ids are judged row by row; other
+columns are carried by ``keep_good`` and ignored by ``verdicts``. A text longer than a batch is a batch.
 """
 
 from __future__ import annotations
 
-from collections import Counter
+import uuid
 from collections.abc import Iterator
-from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, Observation, Window
+import pyarrow.compute as pc
+import zstandard
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import DoubleType, LongType, StringType, StructField, StructType
-
-from levelrank.llm.common import arrow_rows, mapped, texts
-from levelrank.plans.staging import materialise, small_rows
-
-VOCABULARY, MIN_COUNT, MAX_LANGUAGES, SPREAD = 4096, 2, 16, 4.0
-#: Steps of the histogram per unit of log perplexity.
-STEPS = 500
-#: Words counted by a task before it hands a batch on.
-FLUSH = 200_000
-SYMBOLS, SPACES = "#*$%&|<>", " \t\n\v\f\r"
-EDGES = ".,;:!?\"'()[]{}|-–—«»„“”‘’¿¡"
-OTHER = "?"
-STATS = "n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long"
-
-
-# ---------------------------------------------------------------- rules
-def text_statistics(text: str) -> tuple[int, int, int, int, int]:
-    """n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words; words are runs without ASCII white space."""
-    raw = text.encode("utf-8", "surrogatepass")
-    words = raw.split()
-    lines = [x for x in raw.split(b"\n") if x.strip()]
-    repeated = 0
-    grams = list(zip(words, words[1:], words[2:]))
-    seen = set(grams)
-    if len(seen) < len(grams):
-        counts, upto = Counter(grams), 0
-        for i, g in enumerate(grams):
-            if counts[g] > 1:
-                repeated += i + 3 - max(upto, i)
-                upto = i + 3
-    return len(words), len(text) - sum(map(text.count, SPACES)), sum(map(text.count, SYMBOLS)), len(lines) - len(set(lines)), repeated
-
-
-def base_failed(n_words: int, n_repeat_words: int) -> bool:
-    return n_words < 50 or 100 * n_repeat_words > 50 * n_words
-
-
-# ---------------------------------------------------------------- language model
-class _Ids(dict):
-    """Raw token -> word number; forgets its shortcuts before they grow."""
-
-    def __init__(self, words: dict[str, int]):
-        super().__init__()
-        self.words = words
-
-    def __missing__(self, token: str) -> int:
-        if len(self) > 60_000:
-            self.clear()
-        got = self[token] = self.words.get(token.strip(EDGES), VOCABULARY)
-        return got
 
-    def of(self, text: str) -> np.ndarray:
-        tokens = text.lower().split()
-        return np.fromiter(map(self.__getitem__, tokens), np.int64, len(tokens))
-
-
-def word_counts(docs: DataFrame) -> DataFrame:
-    """(lang, word, n) over all documents, summed within tasks first."""
+from levelrank.llm.common import arrow_rows
+from levelrank.plans.staging import materialise, shared_path, small_rows
+
+SPREAD = 4.0
+#: Steps of the histogram per unit of log perplexity; rows that it and the language table may have.
+STEPS, MAX_STEPS, MAX_LANGUAGES = 500, 2_000_000, 100_000
+#: Bytes of text of a batch and of a hash range; bits of a hash beyond those of the text's size.
+BATCH_BYTES, RANGE_BYTES, SPARE_BITS = 16_000_000, 32_000_000, 12
+#: Rejected rows that may be sent to every task (8 bytes each).
+SENT_ROWS = 1_000_000
+SYMBOLS, EDGES = r"[#*$%&|<>]", ".,;:!?\"'()[]{}|-–—«»„“”‘’¿¡"
+OTHER = "?"
+STATS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
+U64 = np.uint64
+
+
+# ---------------------------------------------------------------- packed arrays
+def pack(values: np.ndarray) -> bytes:
+    """Unsigned whole numbers as compressed byte planes."""
+    values = np.ascontiguousarray(values, "<u8")
+    planes = max(1, (int(values.max()).bit_length() + 7) // 8) if len(values) else 1
+    raw = values.view(np.uint8).reshape(-1, 8)
+    press = zstandard.ZstdCompressor(3)
+    parts = [press.compress(np.ascontiguousarray(raw[:, k]).tobytes()) for k in range(planes)]
+    return np.array([len(values), planes, *map(len, parts)], "<u4").tobytes() + b"".join(parts)
+
+
+def unpack(blob: bytes) -> np.ndarray:
+    n, planes = np.frombuffer(blob, "<u4", 2).tolist()
+    sizes = np.frombuffer(blob, "<u4", planes, 8).tolist()
+    out, at, open_ = np.zeros((n, 8), np.uint8), 8 + 4 * planes, zstandard.ZstdDecompressor()
+    for k, size in enumerate(sizes):
+        out[:, k] = np.frombuffer(open_.decompress(blob[at : at + size]), np.uint8)
+        at += size
+    return out.reshape(-1).view("<u8").astype(np.int64)
+
+
+def deltas(sorted_values: np.ndarray) -> np.ndarray:
+    return np.diff(sorted_values, prepend=np.int64(0))
+
+
+def mix(x: np.ndarray) -> np.ndarray:
+    x = x ^ (x >> U64(30))
+    x = x * U64(0xBF58476D1CE4E5B9)
+    x = x ^ (x >> U64(27))
+    x = x * U64(0x94D049BB133111EB)
+    return x ^ (x >> U64(31))
+
+
+def hashed(x: np.ndarray, bits: int) -> np.ndarray:
+    return (mix(x.astype(U64)) >> U64(64 - bits)).astype(np.int64)
+
+
+# ---------------------------------------------------------------- texts to arrays
+def words_of(bodies: pa.Array) -> tuple[np.ndarray, np.ndarray, pa.Array]:
+    """(place of each word among the distinct ones, text of each word, the distinct words), by ASCII white space."""
+    cut = pc.ascii_split_whitespace(bodies.cast(pa.large_string()))
+    flat = cut.flatten()
+    owner = pc.list_parent_indices(cut).to_numpy()
+    real = pc.not_equal(pc.binary_length(flat), 0)
+    coded = flat.filter(real).dictionary_encode()
+    return coded.indices.to_numpy().astype(np.int64), owner[real.to_numpy(zero_copy_only=False)], coded.dictionary
+
+
+def _repeated(word: np.ndarray, owner: np.ndarray, kinds: int, n: int) -> np.ndarray:
+    """Per text the words in three-word windows that the text holds twice or more."""
+    if len(word) < 3:
+        return np.zeros(n, np.int64)
+    if kinds >= 1 << 21:
+        _, pair = np.unique(word[:-1] * kinds + word[1:], return_inverse=True)
+        key = pair[:-1] * kinds + word[2:]
+    else:
+        key = (word[:-2] * kinds + word[1:-1]) * kinds + word[2:]
+    at = np.flatnonzero(owner[:-2] == owner[2:])
+    at = at[np.argsort(key[at], kind="stable")]  # a text's windows of one kind stand side by side
+    same = (key[at][1:] == key[at][:-1]) & (owner[at][1:] == owner[at][:-1])
+    twice = at[np.r_[same, False] | np.r_[False, same]]
+    edge = np.zeros(len(word) + 1, np.int32)
+    np.add.at(edge, twice, 1)
+    np.subtract.at(edge, twice + 3, 1)
+    return np.bincount(owner[np.cumsum(edge)[:-1] > 0], minlength=n)
+
+
+def statistics(bodies: pa.Array, word: np.ndarray, owner: np.ndarray, kinds: pa.Array) -> np.ndarray:
+    """(texts, 5): the columns of ``STATS``."""
+    n = len(bodies)
+    chars = pc.utf8_length(kinds).to_numpy().astype(np.int64)
+    cut = pc.split_pattern(bodies.cast(pa.large_string()), "\n")
+    lines = cut.flatten()
+    full = pc.not_equal(pc.binary_length(pc.ascii_trim_whitespace(lines)), 0)
+    of = pc.list_parent_indices(cut).to_numpy()[full.to_numpy(zero_copy_only=False)]
+    line = lines.filter(full).dictionary_encode().indices.to_numpy().astype(np.int64)
+    firsts = np.unique(of * (len(lines) + 1) + line) // (len(lines) + 1)
+    out = [
+        np.bincount(owner, minlength=n), np.bincount(owner, chars[word], n).astype(np.int64), pc.count_substring_regex(bodies, SYMBOLS).to_numpy().astype(np.int64),
+        np.bincount(of, minlength=n) - np.bincount(firsts, minlength=n), _repeated(word, owner, len(kinds), n),
+    ]
+    return np.stack(out, axis=1)
+
+
+STREAM = "batch long, ids array<long>, langs array<string>, lang array<int>, stats array<long>, words binary, counts binary, tokens binary"
+
+
+def streams(docs: DataFrame, id_col: str, bits: int) -> DataFrame:
+    """One row per batch of texts: ids, languages, statistics and the texts as places in the batch's sorted word hashes.
+
+    ``counts`` says how often each word occurs; tokens number words by falling count, which keeps them small."""
+
+    def make(part: list[pa.RecordBatch], number: int) -> pa.RecordBatch:
+        table = pa.Table.from_batches(part)
+        whole = lambda name, kind: pa.concat_arrays([c.cast(kind) for c in table.column(name).chunks])
+        bodies, names = whole("text", pa.large_string()).fill_null(""), whole("lang", pa.string()).dictionary_encode()
+        word, owner, kinds = words_of(bodies)
+        stats = statistics(bodies, word, owner, kinds)
+        plain = pc.utf8_trim(pc.utf8_lower(kinds), characters=EDGES).dictionary_encode()
+        lang, langs = names.indices.to_numpy().astype(np.int64), names.dictionary.to_pylist()
+        base = pd.util.hash_array(plain.dictionary.to_numpy(zero_copy_only=False).astype(object), categorize=False)
+        salt = pd.util.hash_array(np.array([f"language {x}" for x in langs], object), categorize=False)
+        code = lang[owner] * (len(base) + 1) + plain.indices.to_numpy().astype(np.int64)[word]
+        seen, at, n = np.unique(code, return_inverse=True, return_counts=True)
+        key = hashed(base[seen % (len(base) + 1)] ^ mix(salt[seen // (len(base) + 1)]), bits) if len(seen) else np.zeros(0, np.int64)
+        order = np.argsort(key, kind="stable")
+        place = np.empty(len(order), np.int64)
+        place[order] = np.arange(len(order))
+        by_count = np.argsort(-n[order], kind="stable")
+        rank = np.empty(len(order), np.int64)
+        rank[by_count] = np.arange(len(order))
+        rows = [[number], [whole(id_col, pa.int64()).to_pylist()], [langs], [lang.tolist()], [stats.ravel().tolist()], [pack(deltas(key[order]))], [pack(n[order])], [pack(rank[place][at])]]
+        kinds_of = (pa.int64(), pa.list_(pa.int64()), pa.list_(pa.string()), pa.list_(pa.int32()), pa.list_(pa.int64()), pa.binary(), pa.binary(), pa.binary())
+        return pa.record_batch([pa.array(x, k) for x, k in zip(rows, kinds_of)], [c.split()[0] for c in STREAM.split(", ")])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[str, Counter] = {}
-
-        def flush() -> Iterator[pa.RecordBatch]:
-            for lang, raw in held.items():
-                words: Counter = Counter()
-                for token, n in raw.items():
-                    words[token.strip(EDGES)] += n
-                for i in range(0, len(keys := list(words)), 50_000):
-                    part = keys[i : i + 50_000]
-                    yield pa.record_batch([pa.array([lang] * len(part)), pa.array(part), pa.array([words[w] for w in part])], ["lang", "word", "n"])
-            held.clear()
+        from pyspark import TaskContext
 
+        number, held, size = TaskContext.get().partitionId() << 32, [], 0
         for b in batches:
-            for lang, text in zip(b.column("lang").to_pylist(), texts(b)):
-                held.setdefault(lang, Counter()).update(text.lower().split())
-            if sum(map(len, held.values())) > FLUSH:
-                yield from flush()
-        yield from flush()
-
-    return arrow_rows(docs, ["lang", "text"], run, "lang string, word string, n long").groupBy("lang", "word").agg(F.sum("n").alias("n"))
-
-
-@dataclass
-class Model:
-    """Sorted hash arrays; sent to the executors as one broadcast of bounded size."""
+            if held and size + b.nbytes > BATCH_BYTES:
+                yield make(held, number)
+                number, held, size = number + 1, [], 0
+            held.append(b)
+            size += b.nbytes
+        if size or any(len(b) for b in held):
+            yield make(held, number)
+
+    named = docs.select(F.col(id_col).cast("long").alias(id_col), F.coalesce("lang", F.lit(OTHER)).alias("lang"), "text")
+    return arrow_rows(named, [id_col, "lang", "text"], run, STREAM, BATCH_BYTES)
+
+
+class Batch:
+    """A row of the stream table: word hashes, words by text, and bigrams in the order of their hashes."""
+
+    def __init__(self, row: dict, bits: int):
+        self.ids, self.langs, self.lang = row["ids"], row["langs"], np.array(row["lang"], np.int64)
+        self.stats = np.array(row["stats"], np.int64).reshape(-1, len(STATS))
+        self.keys, counts = np.cumsum(unpack(row["words"])), unpack(row["counts"])
+        self.counts = counts
+        self.words = np.argsort(-counts, kind="stable")[unpack(row["tokens"])] if len(counts) else np.zeros(0, np.int64)
+        self.owner = np.repeat(np.arange(len(self.ids)), self.stats[:, 0])
+        first = np.flatnonzero(self.owner[1:] == self.owner[:-1])
+        self.first, self.text = first, self.owner[first]
+        size = max(1, len(self.keys))
+        seen, at, n = np.unique(self.words[first] * size + self.words[first + 1], return_inverse=True, return_counts=True)
+        u, w = seen // size, seen % size
+        key = hashed(mix(self.keys[u].astype(U64)) * U64(3) ^ self.keys[w].astype(U64), bits) if len(seen) else seen
+        order = np.argsort(key, kind="stable")
+        place = np.empty(len(order), np.int64)
+        place[order] = np.arange(len(order))
+        self.bigrams, self.n, self.u, self.w, self.at = key[order], n[order], u[order], w[order], place[at]
+        self.word_lang = np.zeros(len(self.keys), np.int64)
+        self.word_lang[self.words] = self.lang[self.owner]
+
+
+def _ranges(keys: np.ndarray, bits: int, range_bits: int) -> list[tuple[int, int, int]]:
+    """(range, start, end) of the hash ranges that sorted ``keys`` fall into."""
+    part = keys >> (bits - range_bits)
+    starts = np.flatnonzero(np.r_[True, part[1:] != part[:-1]]) if len(part) else np.zeros(0, np.int64)
+    return [(int(part[a]), int(a), int(z)) for a, z in zip(starts, np.r_[starts[1:], len(part)])]
+
+
+SENT = "kind int, batch long, part int, lang string, totals array<long>, blobs array<binary>"
+_SENT_TYPES = (pa.int32(), pa.int64(), pa.int32(), pa.string(), pa.list_(pa.int64()), pa.list_(pa.binary()))
+REQUEST, STATISTIC, BIGRAMS, WORDS = 0, 1, 2, 3
+
+
+def _sent(rows: list[tuple]) -> pa.Table:
+    return pa.table([pa.array([r[i] for r in rows], t) for i, t in enumerate(_SENT_TYPES)], names=[c.split()[0] for c in SENT.split(", ")])
+
+
+def _merge(table: pa.Table) -> tuple[list[dict], np.ndarray, np.ndarray, np.ndarray]:
+    """(requests by batch, their keys' places in the merged sorted array, first places of that array's keys, request bounds)."""
+    rows = sorted(table.select(["batch", "part", "blobs"]).to_pylist(), key=lambda r: r["batch"])
+    keys = [np.cumsum(unpack(r["blobs"][0])) for r in rows]
+    _, first, at = np.unique(np.concatenate(keys), return_index=True, return_inverse=True)
+    return rows, at, first, np.cumsum([0, *map(len, keys)])
+
+
+def bigram_counts(stream: DataFrame, bits: int, range_bits: int) -> DataFrame:
+    """Answers (kind BIGRAMS) to every batch: counts of its bigrams over all documents, and whether the batch owns them."""
+
+    def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for row in b.to_pylist():
+                x = Batch(row, bits)
+                rows = [(REQUEST, row["batch"], k, None, None, [pack(deltas(x.bigrams[a:z])), pack(x.n[a:z])]) for k, a, z in _ranges(x.bigrams, bits, range_bits)]
+                yield from _sent(rows).to_batches()
+
+    def answer(table: pa.Table) -> pa.Table:
+        rows, at, first, bounds = _merge(table)
+        total = np.bincount(at, np.concatenate([unpack(r["blobs"][1]) for r in rows])).astype(np.int64)
+        own = np.zeros(len(at), bool)
+        own[first] = True
+        return _sent([(BIGRAMS, r["batch"], r["part"], None, None, [pack(total[at[a:z]]), pack(own[a:z])]) for r, a, z in zip(rows, bounds, bounds[1:])])
+
+    return stream.mapInArrow(ask, SENT).groupBy("part").applyInArrow(answer, SENT)
+
+
+def _answers(table: pa.Table, kind: int) -> list[np.ndarray]:
+    """A batch's answers of one kind, ranges in order, as whole arrays."""
+    rows = sorted((r for r in table.select(["kind", "part", "blobs"]).to_pylist() if r["kind"] == kind), key=lambda r: r["part"])
+    return [np.concatenate([unpack(r["blobs"][k]) for r in rows]) for k in range(len(rows[0]["blobs"]))] if rows else []
+
+
+def word_requests(stream: DataFrame, answers: DataFrame, bits: int, range_bits: int) -> DataFrame:
+    """Per batch and range of word hashes (kind REQUEST): occurrences, occurrences as a context, bigrams owned by context (seen
+    once, twice, more often) and by ending; and (kind STATISTIC) how many owned bigrams of a language were seen one to four times."""
+
+    def ask(left: pa.Table, right: pa.Table) -> pa.Table:
+        out = []
+        for row in left.to_pylist():
+            x = Batch(row, bits)
+            size = len(x.keys)
+            total, own = _answers(right, BIGRAMS) or (np.zeros(0, np.int64),) * 2
+            mine = own > 0
+            u, w, c = x.u[mine], x.w[mine], np.minimum(total[mine], 5)
+            sums = [x.counts, np.bincount(x.u, x.n, size).astype(np.int64), *(np.bincount(u[(c == k) if k < 3 else (c > 2)], minlength=size) for k in (1, 2, 3)), np.bincount(w, minlength=size), x.word_lang]
+            for k, a, z in _ranges(x.keys, bits, range_bits):
+                out.append((REQUEST, row["batch"], k, None, None, [pack(deltas(x.keys[a:z])), *(pack(s[a:z]) for s in sums), "\0".join(x.langs).encode()]))
+            seen = np.bincount(x.word_lang[w] * 6 + c, minlength=6 * len(x.langs)).reshape(-1, 6)
+            out += [(STATISTIC, row["batch"], 0, name, n[1:5].tolist(), None) for name, n in zip(x.langs, seen)]
+        return _sent(out)
+
+    return stream.groupBy("batch").cogroup(answers.groupBy("batch")).applyInArrow(ask, SENT)
+
+
+def word_totals(requests: DataFrame) -> DataFrame:
+    """Answers (kind WORDS) with the sums over all batches, and (kind STATISTIC) per language: words, bigrams, words that end none to four of them."""
+
+    def answer(table: pa.Table) -> pa.Table:
+        rows, at, first, bounds = _merge(table)
+        sums = [np.bincount(at, np.concatenate([unpack(r["blobs"][k]) for r in rows])).astype(np.int64) for k in range(1, 7)]
+        names = [r["blobs"][8].decode().split("\0") for r in rows]
+        langs = sorted({x for n in names for x in n})
+        code = np.concatenate([np.array([langs.index(x) for x in n], np.int64)[unpack(r["blobs"][7])] for n, r in zip(names, rows)])[first]
+        out = [(WORDS, r["batch"], r["part"], None, None, [pack(s[at[a:z]]) for s in sums]) for r, a, z in zip(rows, bounds, bounds[1:])]
+        ends = sums[5]
+        for k, name in enumerate(langs):
+            own = ends[code == k]
+            out.append((STATISTIC, None, None, name, [len(own), int(own.sum()), *(int((own == i).sum()) for i in range(5))], None))
+        return _sent(out)
+
+    return requests.where(F.col("kind") == REQUEST).groupBy("part").applyInArrow(answer, SENT)
+
+
+def discounts(n1: int, n2: int, n3: int, n4: int) -> np.ndarray:
+    """What counts of none, one, two and more lose."""
+    if not n1 or not n2 or not n3:
+        return np.array([0.0, 0.5, 1.0, 1.5])  # too little text for the estimates
+    y = n1 / (n1 + 2 * n2)
+    d = (1 - 2 * y * n2 / n1, 2 - 3 * y * n3 / n2, 3 - 4 * y * n4 / n3)
+    return np.array([0.0, *(min(max(x, 0.05), k + 0.95) for k, x in enumerate(d))])
+
+
+def constants(requests: DataFrame, totals: DataFrame) -> dict[str, tuple]:
+    """Per language: discounts of bigrams and of endings, words, bigrams, and the mass that endings' discounts free."""
+    sums = lambda df, n: small_rows(df.where(F.col("kind") == STATISTIC).groupBy("lang").agg(*(F.sum(F.get("totals", F.lit(i))).alias(f"t{i}") for i in range(n))), MAX_LANGUAGES, "languages")
+    seen, out = {r.lang: r[1:] for r in sums(requests, 4)}, {}
+    for r in sums(totals, 7):
+        words, bigrams, none, *ends = r[1:]
+        d = discounts(*ends)
+        freed = d[1] * ends[0] + d[2] * ends[1] + d[3] * (words - none - ends[0] - ends[1])
+        out[r.lang] = (discounts(*seen.get(r.lang, (0, 0, 0, 0))), d, words, bigrams, freed / bigrams if bigrams else 1.0)
+    return out
 
-    languages: dict[str, int]
-    words: list[dict[str, int]]
-    keys: np.ndarray
-    logp: np.ndarray
-    backoff: np.ndarray
-    unigram: np.ndarray
 
-    def scorer(self):
-        ids = [_Ids(w) for w in self.words]
-        size = VOCABULARY + 1
+def surprises(stream: DataFrame, answers: DataFrame, of_lang: dict[str, tuple], bits: int, id_col: str) -> DataFrame:
+    """One row per document: id, language, statistics and the mean negative log probability of a word given the one before."""
+    shared = stream.sparkSession.sparkContext.broadcast(of_lang)
 
-        def score(lang: str, text: str) -> float | None:
-            """Mean negative log probability of a word given the one before; None under two words."""
-            at = self.languages.get(lang, self.languages[OTHER])
-            w = ids[at].of(text)
-            if len(w) < 2:
-                return None
-            key = (at * size + w[:-1]) * size + w[1:]
-            place = np.minimum(np.searchsorted(self.keys, key), max(0, len(self.keys) - 1))
-            low = self.backoff[at, w[:-1]] + self.unigram[at, w[1:]]
-            if len(self.keys):
-                low = np.where(self.keys[place] == key, self.logp[place], low)
-            return float(-low.mean())
+    def score(left: pa.Table, right: pa.Table) -> pa.Table:
+        tables = []
+        for row in left.to_pylist():
+            x = Batch(row, bits)
+            mean = np.full(len(x.ids), np.nan)
+            if len(x.first):
+                mean = document_surprise(x, _answers(right, BIGRAMS)[0], _answers(right, WORDS), [shared.value[n] for n in x.langs])
+            tables.append(pa.table([pa.array(x.ids, pa.int64()), pa.array([x.langs[k] for k in x.lang.tolist()], pa.string()), *(pa.array(x.stats[:, k]) for k in range(len(STATS))), pa.array(mean, pa.float64(), from_pandas=True)], names=[id_col, "lang", *STATS, "surprise"]))
+        return pa.concat_tables(tables)
 
-        return score
+    return stream.groupBy("batch").cogroup(answers.groupBy("batch")).applyInArrow(score, f"{id_col} long, lang string, {', '.join(f'{c} long' for c in STATS)}, surprise double")
 
 
-def _named(docs: DataFrame, languages: list[str]) -> DataFrame:
-    return docs.withColumn("lang", F.when(F.col("lang").isin(languages), F.col("lang")).otherwise(OTHER))
+def _own(text: np.ndarray, what: np.ndarray, size: int) -> np.ndarray:
+    """How often the own text holds each of ``what``."""
+    _, at, n = np.unique(text * size + what, return_inverse=True, return_counts=True)
+    return n[at]
 
 
-def _discounts(n1, n2, n3, n4) -> tuple[float, float, float]:
-    n1, n2, n3, n4 = (float(x or 0) for x in (n1, n2, n3, n4))
-    if not n1 or not n2 or not n3:
-        return 0.5, 1.0, 1.5  # too little text for the estimates
-    y = n1 / (n1 + 2 * n2)
-    d = (1 - 2 * y * n2 / n1, 2 - 3 * y * n3 / n2, 3 - 4 * y * n4 / n3)
-    return tuple(min(max(x, 0.05), k + 0.95) for k, x in enumerate(d))
+def probabilities(c, c_u, free_u, ends_w, seen_w, cut, cut_end, words, bigrams, freed) -> np.ndarray:
+    """Interpolated modified Kneser-Ney: counts of the bigram and its context, mass that the context frees, what the
+    word ends, and whether it is seen at all; then the language's constants, one row per bigram."""
+    at = np.arange(len(c))
+    high = np.where(c > 0, (c - cut[at, np.minimum(c, 3)]) / np.maximum(c_u, 1), 0.0)
+    low = np.where(seen_w, (ends_w - cut_end[at, np.minimum(ends_w, 3)]) / np.maximum(bigrams, 1), 0.0) + freed / np.maximum(words, 1)
+    return np.maximum(high, 0.0) + np.where(c_u > 0, free_u, 1.0) * np.maximum(low, 1e-300)
 
 
-def _of_counts(column: str) -> list:
-    return [F.count_if(F.col(column) == k).alias(f"n{k}") for k in (1, 2, 3, 4)]
+def document_surprise(x: Batch, total: np.ndarray, words: list[np.ndarray], of_lang: list[tuple]) -> np.ndarray:
+    """Mean over each text's bigrams, by the counts of all other texts."""
+    occurs, as_context, n1, n2, n3, ends = words
+    lang = x.lang[x.text]
+    cut, cut_end = (np.stack([k[i] for k in of_lang])[lang] for i in (0, 1))
+    many = [np.array([k[i] for k in of_lang], float)[lang] for i in (2, 3, 4)]
+    u, w, size = x.u[x.at], x.w[x.at], len(x.keys)
+    free = (cut[:, 1] * n1[u] + cut[:, 2] * n2[u] + cut[:, 3] * n3[u]) / np.maximum(as_context[u], 1)
+    c, c_u = total[x.at] - _own(x.text, x.at, len(x.bigrams)), as_context[u] - _own(x.text, u, size)
+    mine = _own(x.owner, x.words, size)[x.first + 1]
+    p = probabilities(np.maximum(c, 0), np.maximum(c_u, 0), free, ends[w], occurs[w] > mine, cut, cut_end, *many)
+    n = np.bincount(x.text, minlength=len(x.ids))
+    return np.where(n > 0, np.bincount(x.text, -np.log(p), len(x.ids)) / np.maximum(n, 1), np.nan)
 
 
-def train(docs: DataFrame) -> Model:
-    """Count all documents and build the model. Null languages and those past the
-    ``MAX_LANGUAGES`` most frequent share one model."""
+def measures(docs: DataFrame, id_col: str = "doc_id") -> DataFrame:
+    """One row per row of ``docs``: id, language, statistics and surprise (null under two words)."""
     spark = docs.sparkSession
-    top = docs.where("lang is not null").groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(MAX_LANGUAGES - 1).collect()
-    languages = {r.lang: i + 1 for i, r in enumerate(top) if r.lang != OTHER} | {OTHER: 0}
-    docs = _named(docs, list(languages))
-    types = Observation()
-    counts = word_counts(docs).observe(types, F.count("*").alias("n"))
-    rank = F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "word"))
-    chosen = small_rows(counts.withColumn("r", rank).where(F.col("r") <= VOCABULARY), MAX_LANGUAGES * VOCABULARY, "vocabulary")
-    words: list[dict[str, int]] = [{} for _ in range(MAX_LANGUAGES + 1)]
-    for r in sorted(chosen, key=lambda r: r.r):
-        words[languages[r.lang]][r.word] = r.r - 1
-    unknown_types = max(1, types.get["n"] - len(chosen)) if chosen else 1  # without rows nothing was observed
-    size, n_lang = VOCABULARY + 1, len(words)
-    shared = spark.sparkContext.broadcast((languages, words))
-
-    def pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names, vocab = shared.value
-        ids = [_Ids(w) for w in vocab]
-        held, waiting = [], 0
-        for b in batches:
-            for lang, text in zip(b.column("lang").to_pylist(), texts(b)):
-                w = ids[names[lang]].of(text)
-                held.append((names[lang] * size + w[:-1]) * size + w[1:])
-                waiting += len(w)
-            if waiting > 2_000_000:
-                k, n = np.unique(np.concatenate(held), return_counts=True)
-                held, waiting = [], 0
-                yield pa.record_batch([pa.array(k), pa.array(n.astype(np.int32))], ["key", "n"])
-        if held:
-            k, n = np.unique(np.concatenate(held), return_counts=True)
-            yield pa.record_batch([pa.array(k), pa.array(n.astype(np.int32))], ["key", "n"])
-
-    grams = materialise(arrow_rows(docs, ["lang", "text"], pairs, "key long, n int").groupBy("key").agg(F.sum("n").alias("n")), "bigrams")
-    grams = grams.withColumns({"lang": F.expr(f"cast(key div {size * size} as int)"), "u": F.expr(f"cast(key div {size} % {size} as int)"), "w": F.expr(f"cast(key % {size} as int)")})
-    rows = n_lang * size
-    of_lang = {r.lang: _discounts(r.n1, r.n2, r.n3, r.n4) for r in grams.groupBy("lang").agg(*_of_counts("n")).collect()}
-    contexts = small_rows(grams.groupBy("lang", "u").agg(F.sum("n").alias("total"), *_of_counts("n")[:2], F.count_if(F.col("n") > 2).alias("n3")), rows, "contexts")
-    endings = small_rows(grams.groupBy("lang", "w").agg(F.count("*").alias("n")), rows, "endings")
-    kept = grams.where(F.col("n") >= MIN_COUNT).select("key", "n").toArrow()
-
-    unigram = np.zeros((n_lang, size))
-    for r in endings:
-        unigram[r.lang, r.w] = r.n
-    for at in range(n_lang):
-        n = unigram[at]
-        d = np.array([0.0, *_discounts(*(int((n == k).sum()) for k in (1, 2, 3, 4)))])[np.minimum(n, 3).astype(int)]
-        total = n.sum()
-        unigram[at] = (n - d) / total + d.sum() / total / size if total else 1 / size
-    backoff, totals = np.ones((n_lang, size)), np.ones((n_lang, size))
-    for r in contexts:
-        d1, d2, d3 = of_lang[r.lang]
-        d1 = 1.0 if MIN_COUNT > 1 else d1  # single bigrams are not stored: all of their mass backs off
-        backoff[r.lang, r.u], totals[r.lang, r.u] = (d1 * r.n1 + d2 * r.n2 + d3 * r.n3) / r.total, r.total
-    key, n = kept["key"].to_numpy(), kept["n"].to_numpy()
-    order = np.argsort(key)
-    key, n = key[order], n[order]
-    at, u, w = key // (size * size), key // size % size, key % size
-    cut = np.array([(0.0, *of_lang.get(i, (0.5, 1.0, 1.5))) for i in range(n_lang)])[at, np.minimum(n, 3)]
-    p = (n - cut) / totals[at, u] + backoff[at, u] * unigram[at, w]
-    unigram = np.log(np.maximum(unigram, 1e-12))
-    p = np.log(p)
-    unigram[:, VOCABULARY] -= np.log(unknown_types)
-    p[w == VOCABULARY] -= np.log(unknown_types)
-    return Model(languages, words, key, p.astype(np.float32), np.log(np.maximum(backoff, 1e-9)).astype(np.float32), unigram.astype(np.float32))
+    size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    bits = min(60, SPARE_BITS + max(20, int(size).bit_length()))
+    range_bits = min(bits - 8, max(1, int(size // RANGE_BYTES).bit_length()))
+    name = f"lr_streams_{uuid.uuid4().hex}"
+    buckets = int(min(50_000, max(4, 2 * size // BATCH_BYTES)))
+    streams(docs, id_col, bits).write.bucketBy(buckets, "batch").option("path", shared_path(spark, "streams")).saveAsTable(name)
+    stream = spark.table(name)
+    counted = materialise(bigram_counts(stream, bits, range_bits), "bigrams")
+    requests = materialise(word_requests(stream, counted, bits, range_bits), "words")
+    totals = materialise(word_totals(requests), "totals")
+    answers = counted.unionByName(totals.where(F.col("kind") == WORDS))
+    out = materialise(surprises(stream, answers, constants(requests, totals), bits, id_col), "quality")
+    spark.sql(f"DROP TABLE {name}")
+    return out
 
 
 # ---------------------------------------------------------------- verdicts
-def measures(docs: DataFrame, model: Model, id_col: str = "doc_id") -> DataFrame:
-    """One row per document: id, language, statistics and mean negative log probability."""
-    spark, names = docs.sparkSession, list(model.languages)
-    shared = spark.sparkContext.broadcast(model)
+FAILED = "(n_words < 50 or 100 * n_repeat_words > 50 * n_words)"
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        score = shared.value.scorer()
-        for b in batches:
-            langs, body = b.column("lang").to_pylist(), texts(b)
-            stats = np.array([text_statistics(t) for t in body], np.int64).reshape(-1, 5)
-            surprise = [score(x, t) for x, t in zip(langs, body)]
-            yield pa.record_batch([b.column(id_col), b.column("lang"), *(pa.array(stats[:, i]) for i in range(5)), pa.array(surprise, pa.float64())], [id_col, "lang", *(c.split()[0] for c in STATS.split(", ")), "surprise"])
 
-    return arrow_rows(_named(docs, names), [id_col, "lang", "text"], run, f"{id_col} long, lang string, {STATS}, surprise double")
-
-
-def bands(measured: DataFrame) -> dict[str, tuple[float, float]]:
-    """Lower and upper surprise per language, from the documents that pass the base rules."""
-    fit = measured.where("n_words >= 50 and 100 * n_repeat_words <= 50 * n_words and surprise is not null")
+def bands(measured: DataFrame, spread: float = SPREAD) -> DataFrame:
+    """(lang, low, high) surprise per language, from the documents that pass the base rules."""
+    fit = measured.where(f"not {FAILED} and surprise is not null")
     steps = fit.groupBy("lang", F.round(F.col("surprise") * STEPS).cast("int").alias("step")).agg(F.count("*").alias("n"))  # a histogram: exact counts, so reruns agree
     of: dict[str, list[tuple[int, int]]] = {}
-    for r in small_rows(steps, 1_000_000, "histogram"):
+    for r in small_rows(steps, MAX_STEPS, "histogram"):
         of.setdefault(r.lang, []).append((r.step, r.n))
-    out = {}
+    out = []
     for lang, rows in of.items():
         rows.sort()
         upto = np.cumsum([n for _, n in rows])
         low, high = (rows[int(np.searchsorted(upto, q * upto[-1]))][0] / STEPS for q in (0.25, 0.75))
-        spread = SPREAD * max(0.05, high - low)
-        out[lang] = (low - spread, high + spread)
-    return out
+        wide = spread * max(0.05, high - low)
+        out.append((lang, float(low - wide), float(high + wide)))
+    return measured.sparkSession.createDataFrame(sorted(out), "lang string, low double, high double")
+
+
+def judged(measured: DataFrame) -> DataFrame:
+    """Adds base_failed and kept; documents without a perplexity stay unless the base rules reject them."""
+    inside = F.coalesce(F.col("surprise").between(F.col("low"), F.col("high")), F.lit(True))
+    return measured.join(F.broadcast(bands(measured)), "lang", "left").withColumn("base_failed", F.expr(FAILED)).withColumn("kept", ~F.col("base_failed") & inside)
 
 
 def verdicts(docs: DataFrame) -> DataFrame:
-    """doc_id, statistics, base_failed, perplexity, kept; a null text has no words and fails."""
-    measured = materialise(measures(docs, train(docs)), "quality")
-    limit = bands(measured)
-    low, high = F.lit(None).cast("double"), F.lit(None).cast("double")
-    for lang, (a, b) in limit.items():
-        low, high = F.when(F.col("lang") == lang, a).otherwise(low), F.when(F.col("lang") == lang, b).otherwise(high)
-    failed = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
-    inside = F.coalesce(F.col("surprise").between(low, high), F.lit(True))
-    return measured.select("doc_id", *(c.split()[0] for c in STATS.split(", ")), failed.alias("base_failed"), (~failed & inside).alias("kept"), F.exp("surprise").alias("perplexity"))
+    """doc_id, statistics, base_failed, kept, perplexity: one row per row of ``docs``."""
+    return judged(measures(docs)).select("doc_id", *STATS, "base_failed", "kept", F.exp("surprise").alias("perplexity"))
 
 
 def keep_good(docs: DataFrame) -> DataFrame:
-    """The documents that pass, all columns unchanged. Documents are written once with their
-    measures, so each is scored once and the bands are a plain filter."""
-    model = train(docs)
-    shared = docs.sparkSession.sparkContext.broadcast(model)
-    prefix = "q_"
-    while any(c.lower().startswith(prefix) for c in docs.columns):
-        prefix += "_"
-    extra = [f"{prefix}lang", f"{prefix}words", f"{prefix}repeat", f"{prefix}surprise"]
-    schema = StructType([*docs.schema.fields, StructField(extra[0], StringType()), StructField(extra[1], LongType()), StructField(extra[2], LongType()), StructField(extra[3], DoubleType())])
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model = shared.value
-        score = model.scorer()
-        for b in batches:
-            langs = [x if x in model.languages else OTHER for x in b.column("lang").to_pylist()]
-            body = texts(b)
-            stats = [text_statistics(t) for t in body]
-            more = [pa.array(langs, pa.string()), pa.array([x[0] for x in stats], pa.int64()), pa.array([x[4] for x in stats], pa.int64()), pa.array([score(x, t) for x, t in zip(langs, body)], pa.float64())]
-            yield pa.record_batch([*b.columns, *more], [*b.schema.names, *extra])
-
-    scored = materialise(mapped(docs, run, schema), "scored")
-    lang, words, repeat, surprise = (F.col(c) for c in extra)
-    limit = bands(scored.select(lang.alias("lang"), words.alias("n_words"), repeat.alias("n_repeat_words"), surprise.alias("surprise")))
-    inside = F.lit(True)
-    for name, (low, high) in limit.items():
-        inside = F.when(lang == name, F.coalesce(surprise.between(low, high), F.lit(True))).otherwise(inside)
-    return scored.where((words >= 50) & (100 * repeat <= 50 * words) & inside).select(*docs.columns)
+    """The rows that pass, all columns unchanged. Rows get a number that is written once with them; the
+    numbers of rejected rows come back, by broadcast up to ``SENT_ROWS`` and by a join beyond."""
+    row = "row_number"
+    while row.lower() in {c.lower() for c in docs.columns}:
+        row += "_"
+    numbered = materialise(docs.withColumn(row, F.monotonically_increasing_id()), "numbered")
+    gone = judged(measures(numbered.select(row, "lang", "text"), row)).where(~F.col("kept")).select(row)
+    few = gone.limit(SENT_ROWS + 1).count() <= SENT_ROWS
+    return numbered.join(F.broadcast(gone) if few else gone, row, "left_anti").select(*docs.columns)
