@@ -18,8 +18,8 @@ What travels are deltas of sorted hashes in compressed byte planes, some three b
 bigram of a batch. Hashes have ``SPARE_BITS`` bits more than the text has bytes, so at any size about
 one bigram in 50,000 shares its hash with another and is counted with it.
 
-A language's documents give its bands: quartiles of the log perplexity, widened by ``SPREAD`` times
-their distance, reject what lies outside.
+A language's documents give its bands: quartiles of the log perplexity, widened by ``BELOW`` and
+``ABOVE`` times their distance, reject what lies outside.
 
 Null and empty texts have no words and fail the base rules; texts of one word have no perplexity and pass
 the bands; null languages are a language of their own; rows with equal or null ids are judged row by row; other
@@ -42,7 +42,9 @@ from pyspark.sql import functions as F
 from levelrank.llm.common import arrow_rows
 from levelrank.plans.staging import materialise, shared_path, small_rows
 
-SPREAD = 4.0
+#: Distances of the quartiles by which the bands pass them. Copies make clean texts predictable, so the lower
+#: band is wide; the upper one was set where half-random texts begin (README).
+BELOW, ABOVE = 4.0, 1.5
 #: Steps of the histogram per unit of log perplexity; rows that it and the language table may have.
 STEPS, MAX_STEPS, MAX_LANGUAGES = 500, 2_000_000, 100_000
 #: Bytes of text of a batch and of a hash range; bits of a hash beyond those of the text's size.
@@ -393,7 +395,7 @@ def measures(docs: DataFrame, id_col: str = "doc_id") -> DataFrame:
 FAILED = "(n_words < 50 or 100 * n_repeat_words > 50 * n_words)"
 
 
-def bands(measured: DataFrame, spread: float = SPREAD) -> DataFrame:
+def bands(measured: DataFrame, below: float = BELOW, above: float = ABOVE) -> DataFrame:
     """(lang, low, high) surprise per language, from the documents that pass the base rules."""
     fit = measured.where(f"not {FAILED} and surprise is not null")
     steps = fit.groupBy("lang", F.round(F.col("surprise") * STEPS).cast("int").alias("step")).agg(F.count("*").alias("n"))  # a histogram: exact counts, so reruns agree
@@ -405,8 +407,8 @@ def bands(measured: DataFrame, spread: float = SPREAD) -> DataFrame:
         rows.sort()
         upto = np.cumsum([n for _, n in rows])
         low, high = (rows[int(np.searchsorted(upto, q * upto[-1]))][0] / STEPS for q in (0.25, 0.75))
-        wide = spread * max(0.05, high - low)
-        out.append((lang, float(low - wide), float(high + wide)))
+        wide = max(0.05, high - low)
+        out.append((lang, float(low - below * wide), float(high + above * wide)))
     return measured.sparkSession.createDataFrame(sorted(out), "lang string, low double, high double")
 
 
