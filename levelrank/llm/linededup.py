@@ -1,10 +1,15 @@
 """Line dedup over levelled sorted runs of line hashes.
 
 A run is a written table of (h1, h2, n): 128-bit line keys in sorted order with the number
-of documents that hold them. A batch of documents is counted, keys that the runs already
-know as settled (found in ``min_docs`` documents) are left out by a merge anti join, and the rest
-becomes a run of level 0. When a level has ``fan_in`` runs they are merged into one run
-of the next level, so n batches leave about fan_in * log(n) runs.
+of documents that hold them. The table is read once: its documents are dealt to ``BATCHES`` batches by
+their hash and each batch's keys are counted. Batch by batch, keys that the runs already know as settled
+(found in ``min_docs`` documents) are left out by a merge anti join, and the rest becomes a run of
+level 0. When a level has ``fan_in`` runs they are merged into one run of the next level, so n batches
+leave about fan_in * log(n) runs.
+
+Null and empty texts are one empty line, whose key is empty and never dropped. Repeated rows are documents of
+their own. Lines of very long texts are hashed one by one, texts are never cut. Other columns are
+carried, whatever their names; the numbers that a join needs take free names.
 """
 
 from __future__ import annotations
@@ -20,9 +25,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from levelrank.llm.common import arrow_rows, mapped, texts
-from levelrank.plans.staging import materialise
+from levelrank.plans.staging import materialise, shared_path
 
-MIN_DOCS, FAN_IN, BATCHES = 10, 4, 2
+MIN_DOCS, FAN_IN, BATCHES = 10, 4, 8
 #: Keys that may be sent to every task (16 bytes each); above it lines are joined by key.
 SENT_KEYS = 2_000_000
 #: Keys a task counts before handing them on.
@@ -39,34 +44,37 @@ def _pairs(keys: list[bytes]) -> np.ndarray:
     return np.frombuffer(b"".join(keys), "<i8").reshape(-1, 2)
 
 
-def count_lines(docs: DataFrame) -> DataFrame:
-    """(h1, h2, n): documents per line key, summed within tasks first."""
+def count_lines(docs: DataFrame, batches: int = 1) -> DataFrame:
+    """(batch, h1, h2, n): documents per line key and batch, summed within tasks first."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: Counter = Counter()
+    def run(parts: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[Counter] = [Counter() for _ in range(batches)]
 
-        def out() -> pa.RecordBatch:
-            h = _pairs(list(held))
-            return pa.record_batch([pa.array(h[:, 0]), pa.array(h[:, 1]), pa.array(list(held.values()), pa.int64())], ["h1", "h2", "n"])
+        def out() -> Iterator[pa.RecordBatch]:
+            for k, counts in enumerate(held):
+                if counts:
+                    h = _pairs(list(counts))
+                    yield pa.record_batch([pa.array(np.full(len(h), k, np.int32)), pa.array(h[:, 0]), pa.array(h[:, 1]), pa.array(list(counts.values()), pa.int64())], ["batch", "h1", "h2", "n"])
+                    counts.clear()
 
-        for b in batches:
-            for t in texts(b):
-                held.update({k for k in map(key_of, t.encode("utf-8", "surrogatepass").split(b"\n")) if k})
-                if len(held) > FLUSH:
-                    yield out()
-                    held.clear()
-        if held:
-            yield out()
+        for b in parts:
+            for k, t in zip(b.column("batch").to_pylist(), texts(b)):
+                held[k].update({x for x in map(key_of, t.encode("utf-8", "surrogatepass").split(b"\n")) if x})
+                if len(held[k]) > FLUSH // batches:
+                    yield from out()
+        yield from out()
 
-    return arrow_rows(docs, ["text"], run, "h1 long, h2 long, n long").groupBy("h1", "h2").agg(F.sum("n").alias("n"))
+    dealt = docs.select("text", F.pmod(F.xxhash64("text"), F.lit(batches)).cast("int").alias("batch"))
+    return arrow_rows(dealt, ["text", "batch"], run, "batch int, h1 long, h2 long, n long").groupBy("batch", "h1", "h2").agg(F.sum("n").alias("n"))
 
 
 class LineRuns:
-    """The levelled runs. ``add`` takes a batch; ``frequent`` lists the settled keys."""
+    """The levelled runs. ``add`` takes a batch's counted keys (h1, h2, n); ``frequent`` lists the settled keys."""
 
     def __init__(self, spark: SparkSession, min_docs: int = MIN_DOCS, fan_in: int = FAN_IN):
         self.spark, self.min_docs, self.fan_in = spark, min_docs, fan_in
         self.levels: list[list[DataFrame]] = []
+        self.compacted = 0
 
     def _merged(self, runs: list[DataFrame]) -> DataFrame:
         all_runs = runs[0]
@@ -80,8 +88,7 @@ class LineRuns:
     def runs(self) -> list[DataFrame]:
         return [r for level in self.levels for r in level]
 
-    def add(self, docs: DataFrame) -> None:
-        fresh = count_lines(docs)
+    def add(self, fresh: DataFrame) -> None:
         for known in self.runs():
             settled = known.where(F.col("n") >= self.min_docs)
             fresh = fresh.join(settled.select("h1", "h2").hint("merge"), ["h1", "h2"], "left_anti")
@@ -95,6 +102,7 @@ class LineRuns:
                 return
             run = self._write(self._merged(self.levels[level]), level + 1)
             self.levels[level] = []
+            self.compacted += 1
             level += 1
 
     def frequent(self) -> DataFrame:
@@ -129,12 +137,26 @@ def _dropped_places(docs: DataFrame, frequent: DataFrame) -> DataFrame:
     return lines.join(frequent, ["h1", "h2"], "left_semi").groupBy("row").agg(F.collect_list("place").alias("places"))
 
 
-def settled_keys(docs: DataFrame, min_docs: int = MIN_DOCS, batches: int = BATCHES) -> DataFrame:
-    """Keys found in ``min_docs`` documents of the whole table, which is added in batches."""
-    runs = LineRuns(docs.sparkSession, min_docs)
+def line_runs(docs: DataFrame, min_docs: int = MIN_DOCS, batches: int = BATCHES) -> LineRuns:
+    """The runs of a whole table: its lines are counted in one pass and added batch by batch."""
+    spark = docs.sparkSession
+    path = shared_path(spark, "counted")
+    count_lines(docs, batches).write.partitionBy("batch").parquet(path)
+    counted, runs = spark.read.schema("h1 long, h2 long, n long, batch int").parquet(path), LineRuns(spark, min_docs)
     for k in range(batches):
-        runs.add(docs.where(F.pmod(F.xxhash64("doc_id"), F.lit(batches)) == k) if batches > 1 else docs)
-    return materialise(runs.frequent(), "frequent")
+        runs.add(counted.where(F.col("batch") == k).select("h1", "h2", "n"))
+    return runs
+
+
+def settled_keys(docs: DataFrame, min_docs: int = MIN_DOCS, batches: int = BATCHES) -> DataFrame:
+    """Keys found in ``min_docs`` documents of the whole table."""
+    return materialise(line_runs(docs, min_docs, batches).frequent(), "frequent")
+
+
+def _free(name: str, columns: list[str]) -> str:
+    while name in {c.lower() for c in columns}:
+        name += "_"
+    return name
 
 
 def _apply(docs: DataFrame, frequent: DataFrame, columns: list[str], make, schema) -> DataFrame:
@@ -151,18 +173,20 @@ def _apply(docs: DataFrame, frequent: DataFrame, columns: list[str], make, schem
                 yield make(b, [_kept(t, drop) for t in texts(b)])
 
         return mapped(docs.select(*columns), sent, schema)
-    numbered = materialise(docs.withColumn("row", F.monotonically_increasing_id()), "numbered")
-    placed = numbered.join(_dropped_places(numbered, frequent), "row", "left")
+    row, lines_gone = _free("row", docs.columns), _free("places", docs.columns)
+    numbered = materialise(docs.withColumn(row, F.monotonically_increasing_id()), "numbered")
+    gone_of = _dropped_places(numbered.select(F.col(row).alias("row"), "text"), frequent).select(F.col("row").alias(row), F.col("places").alias(lines_gone))
+    placed = numbered.join(gone_of, row, "left")
 
     def joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             out = []
-            for t, places in zip(texts(b), b.column("places").to_pylist()):
+            for t, places in zip(texts(b), b.column(lines_gone).to_pylist()):
                 lines, gone = t.encode("utf-8", "surrogatepass").split(b"\n"), set(places or ())
                 out.append((len(lines), len(gone), b"\n".join(x for i, x in enumerate(lines) if i not in gone)))
             yield make(b, out)
 
-    return mapped(placed.select(*columns, "places"), joined, schema)
+    return mapped(placed.select(*columns, lines_gone), joined, schema)
 
 
 def line_report(docs: DataFrame, min_docs: int = MIN_DOCS) -> DataFrame:
