@@ -1,19 +1,19 @@
-"""SimHash near-duplicate search with a Gray-order hierarchical index.
-
-Fingerprints are bit majorities over shingle hashes, one or more 64-bit lanes wide. The index works in two storeys:
-
-* upper nodes are masked bit patterns. A scheme lists masks; fingerprints that agree on a
-  mask share a node. Nodes are rows keyed by (mask, pattern), so Spark deals them out;
-  nodes with one member vanish, nodes over ``node_limit`` members are split by longer
-  masks of the next storey, so no node grows with a group of copies. Past the last storey
-  large nodes are cut in blocks, and every two blocks meet that still hold unlinked pairs.
-* inside a node ``GrayIndex`` sorts members by Gray rank, factors the bits a run of
-  neighbours shares into inner nodes, and a search adds up differences on its way
-  down, leaving a whole run as soon as the sum passes the radius.
-
-For the exact scheme (one lane, radius r) masks follow the pigeonhole rule in every
-storey, so no pair within the radius is lost. The sampled scheme has one storey: longer masks would lose pairs. Nodes hand back a spanning forest of their
-links, never all pairs; distributed components finish the job.
+"""SimHash near-duplicate search.
+
+Fingerprints are bit majorities over shingle hashes, one or more 64-bit lanes wide. ``near_duplicates``
+links 64-bit prints within a few bits, exactly, through the Gray-order index of ``grayindex``.
+
+``one_per_group`` works at a resemblance, which takes wide prints and a radius of many bits, where the leading
+bits of a Gray order say little. Its upper nodes are masked bit patterns drawn at random: prints that agree
+on a mask share a node. Nodes are rows keyed by (mask, pattern), so Spark deals them out; nodes with one
+member vanish. Inside a node ``GrayIndex`` sorts members by Gray rank, factors the bits a run of neighbours
+shares into inner nodes, and a search adds up differences on its way down, leaving a whole run as soon as the
+sum passes the radius. Nodes over ``node_limit`` members are cut in blocks, and every two blocks meet that
+still hold unlinked pairs. Nodes hand back a spanning forest of their links, never all pairs; distributed
+components finish the job.
+
+Null and empty texts have the all-zero print and link like any other. Repeated rows and ids, ties and
+columns of any name: see the two functions.
 """
 
 from __future__ import annotations
@@ -27,12 +27,13 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from levelrank.llm import grayindex
 from levelrank.llm.common import arrow_rows, texts
 from levelrank.operators.connect import connected_components
 from levelrank.plans.staging import materialise
 
 U64 = np.uint64
-#: Members that one inner index takes; larger nodes are split by the next storey.
+#: Members that one inner index takes; larger nodes are searched in blocks.
 NODE_LIMIT = 4096
 #: Bits of a node that name its mask; shared nodes that may be sent to every task (16 bytes each).
 SLOT_BITS, SENT_NODES = 10, 1_000_000
@@ -112,28 +113,10 @@ def fingerprints(docs: DataFrame, width: int = 3, lanes: int = 1, id_col: str =
 
 
 # ---------------------------------------------------------------- masks
-def _spread(bits: list[int], parts: int) -> list[list[int]]:
-    return [bits[len(bits) * i // parts : len(bits) * (i + 1) // parts] for i in range(parts)]
-
-
-def exact_scheme(radius: int, storeys: int = 4) -> list[list[tuple[int, ...]]]:
-    """Pigeonhole masks for 64 bits: each storey splits a mask's free bits in radius+1
-    parts and fixes one more of them. The first list has two rounds of splitting."""
-
-    def split(fixed: tuple[int, ...]) -> list[tuple[int, ...]]:
-        free = [b for b in range(64) if b not in set(fixed)]
-        return [tuple(sorted((*fixed, *part))) for part in _spread(free, radius + 1)]
-
-    lists = [split(())]
-    for _ in range(storeys):
-        lists.append([m for f in lists[-1] for m in split(f)])
-    return lists[1:]
-
-
-def sampled_scheme(lanes: int, bands: int = 144, bits: int = 24) -> list[list[tuple[int, ...]]]:
+def sampled_masks(lanes: int, bands: int = 144, bits: int = 24) -> list[tuple[int, ...]]:
     """Masks drawn from a wide fingerprint: recall grows with ``bands``, selectivity with ``bits``."""
     rng = np.random.default_rng(7)
-    return [[tuple(sorted(map(int, rng.choice(64 * lanes, bits, replace=False)))) for _ in range(bands)]]
+    return [tuple(sorted(map(int, rng.choice(64 * lanes, bits, replace=False)))) for _ in range(bands)]
 
 
 def _mask_words(masks: list[tuple[int, ...]], lanes: int) -> np.ndarray:
@@ -158,20 +141,13 @@ def _prints(column: pa.Array, lanes: int) -> np.ndarray:
 
 
 # ---------------------------------------------------------------- inner index
-def gray_rank(fps: np.ndarray) -> np.ndarray:
-    x = fps.copy()
-    for s in (1, 2, 4, 8, 16, 32):
-        x ^= x >> U64(s)
-    return x
-
-
 class GrayIndex:
     """Members in Gray order under a tree of nodes that hold the bits their members share."""
 
     FAN = 8
 
     def __init__(self, fps: np.ndarray):
-        ranks = gray_rank(fps)
+        ranks = grayindex.gray_rank(fps)
         self.order = np.lexsort(tuple(ranks[:, k] for k in reversed(range(fps.shape[1]))))
         value, mask = fps[self.order], np.full_like(fps, ~U64(0))
         self.levels = [[value, mask]]
@@ -241,23 +217,19 @@ def forest(fps: np.ndarray, radius: int) -> list[tuple[int, int]]:
 
 
 # ---------------------------------------------------------------- links and components
-def _storey(nodes: DataFrame, masks: list[tuple[int, ...]], lanes: int, fan: int) -> DataFrame:
-    """(node, rep): the upper nodes each print belongs to, the mask's number in a node's last
-    bits. With a ``fan`` rows name the mask they come from, and only its children are taken."""
+def _nodes(prints: DataFrame, masks: list[tuple[int, ...]], lanes: int) -> DataFrame:
+    """(node, rep): the upper nodes each print belongs to, the mask's number in a node's last bits."""
     words = _mask_words(masks, lanes)
     if len(masks) > 1 << SLOT_BITS:
         raise ValueError("too many masks")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            fps, reps = _prints(b.column("fp"), lanes), b.column("rep").to_numpy()
-            slots = b.column("slot").to_numpy() if fan else np.zeros(len(fps), np.int32)
-            for s in np.unique(slots):
-                own = slots == s
-                for m in range(s * fan, (s + 1) * fan) if fan else range(len(masks)):
-                    yield pa.record_batch([pa.array(_patterns(fps[own], words[m]) << SLOT_BITS | m), pa.array(reps[own])], ["node", "rep"])
+            fps, reps = _prints(b.column("fp"), lanes), b.column("rep")
+            for m in range(len(masks)):
+                yield pa.record_batch([pa.array(_patterns(fps, words[m]) << SLOT_BITS | m), reps], ["node", "rep"])
 
-    return arrow_rows(nodes, ["rep", "fp", *(["slot"] if fan else [])], run, "node long, rep long")
+    return arrow_rows(prints, ["rep", "fp"], run, "node long, rep long")
 
 
 def _forests(groups: DataFrame, lanes: int, radius: int) -> DataFrame:
@@ -301,40 +273,31 @@ def _block_links(large: DataFrame, edges: DataFrame, radius: int, lanes: int, no
     return edges.unionByName(found)
 
 
-def links(nodes: DataFrame, scheme: list[list[tuple[int, ...]]], radius: int, lanes: int = 1, node_limit: int = NODE_LIMIT) -> DataFrame:
+def links(nodes: DataFrame, masks: list[tuple[int, ...]], radius: int, lanes: int = 1, node_limit: int = NODE_LIMIT) -> DataFrame:
     """(a, b): a spanning forest, per index node, of all pairs of prints within ``radius``.
 
     ``nodes`` has one row per distinct print: (rep long, fp binary), already written. Nodes
-    of the last storey that are over ``node_limit`` go through ``_block_links``."""
-    edges = None
-    cur = nodes
-    for k, masks in enumerate(scheme):
-        keys = _storey(cur, masks, lanes, len(masks) // len(scheme[k - 1]) if k else 0)
-        sizes = materialise(keys.groupBy("node").agg(F.count("*").alias("n")).where("n > 1"), "nodes")
-        seen = sizes.agg(F.count("*").alias("nodes"), F.max("n").alias("most")).first()
-        most, last = seen.most or 0, k == len(scheme) - 1
-        full = keys.join(F.broadcast(sizes) if seen.nodes <= SENT_NODES else sizes, "node").join(nodes, "rep")
-        here = full if most <= node_limit else full.where(F.col("n") <= node_limit)
-        found = _forests(here.groupBy("node").agg(F.collect_list(F.struct("rep", "fp")).alias("members")), lanes, radius)
-        edges = found if edges is None else edges.unionByName(found)
-        if most <= node_limit:
-            break
-        if last:
-            large = materialise(full.where(F.col("n") > node_limit).select("node", "rep", "fp", "n"), "large")
-            edges = _block_links(large, edges, radius, lanes, node_limit)
-            break
-        cur = materialise(full.where(F.col("n") > node_limit).select((F.col("node").bitwiseAND((1 << SLOT_BITS) - 1)).cast("int").alias("slot"), "rep", "fp"), "large")
+    over ``node_limit`` members go through ``_block_links``, so their size changes the way, not the result."""
+    keys = _nodes(nodes, masks, lanes)
+    sizes = materialise(keys.groupBy("node").agg(F.count("*").alias("n")).where("n > 1"), "nodes")
+    seen = sizes.agg(F.count("*").alias("nodes"), F.max("n").alias("most")).first()
+    full = keys.join(F.broadcast(sizes) if seen.nodes <= SENT_NODES else sizes, "node").join(nodes, "rep")
+    here = full.where(F.col("n") <= node_limit)
+    edges = _forests(here.groupBy("node").agg(F.collect_list(F.struct("rep", "fp")).alias("members")), lanes, radius)
+    if (seen.most or 0) > node_limit:
+        large = materialise(full.where(F.col("n") > node_limit).select("node", "rep", "fp", "n"), "large")
+        edges = _block_links(large, edges, radius, lanes, node_limit)
     return edges.distinct()
 
 
-def components(prints: DataFrame, scheme: list[list[tuple[int, ...]]], radius: int, lanes: int = 1) -> DataFrame:
+def components(prints: DataFrame, radius: int) -> DataFrame:
     """(id, fp) rows -> (id, fp, component): the smallest id reachable over links, and equal
     prints link. Null ids take part but never name a component; a component of null ids
     only is null. An id that several rows carry is one vertex."""
     stand_in = F.lit(NO_ID) + F.pmod(F.xxhash64("fp"), F.lit(NO_ID))
     groups = prints.groupBy("fp").agg(F.min("id").alias("rep"), F.count("*").alias("rows"))
     nodes = materialise(groups.select("fp", F.coalesce("rep", stand_in).alias("rep")), "prints")
-    found = links(nodes, scheme, radius, lanes)
+    found = grayindex.links(nodes, radius)
     own = prints.where("id is not null").join(nodes, "fp").where("id <> rep").select(F.col("id").alias("a"), F.col("rep").alias("b"))
     repeated = prints.where("id is not null").groupBy("id").agg(F.count("*").alias("n")).where("n > 1").select(F.col("id").alias("a"))
     ties = own.join(repeated, "a", "left_semi")  # the same id under several prints joins them
@@ -345,9 +308,9 @@ def components(prints: DataFrame, scheme: list[list[tuple[int, ...]]], radius: i
 
 
 def near_duplicates(docs: DataFrame, radius: int = 2, width: int = 3) -> DataFrame:
-    """doc_id, fingerprint (16 hex digits), component_id: exact search over 64-bit prints."""
+    """doc_id, fingerprint (16 hex digits), component_id: exact search over 64-bit prints, one row per row of ``docs``."""
     prints = materialise(fingerprints(docs, width), "simhash")
-    out = components(prints, exact_scheme(radius), radius)
+    out = components(prints, radius)
     return out.select(F.col("id").alias("doc_id"), F.lower(F.hex(_big_endian("fp"))).alias("fingerprint"), F.col("component").alias("component_id"))
 
 
@@ -368,19 +331,25 @@ def radius_for(resemblance: float, bits: int) -> int:
 
 
 def one_per_group(docs: DataFrame, resemblance: float = RESEMBLANCE) -> DataFrame:
-    """``docs`` without near copies: of each group linked at ``resemblance`` or more on
-    five-word shingles the document with the smallest doc_id stays.
-
-    Rows without doc_id stay. Of rows that repeat a doc_id and its text one stays."""
-    lanes = WIDE_LANES
-    prints = materialise(fingerprints(docs, WIDE_WORDS, lanes), "wide")
-    labelled = components(prints, sampled_scheme(lanes), radius_for(resemblance, 64 * lanes), lanes)
-    ids = materialise(labelled.where("id is not null").select("id", "component"), "labels")
-    gone = ids.where("id <> component").select(F.col("id").alias("doc_id")).distinct()
+    """``docs`` without near copies: of each group of rows linked at ``resemblance`` or more on five-word
+    shingles one stays, that with the smallest doc_id; rows without doc_id come after all others.
+
+    Rows are documents, whatever their doc_id: rows that repeat a doc_id with unrelated texts both stay; of rows
+    that repeat doc_id and text one stays. Ties of doc_id go by print, hash of the text, then place in the
+    table. Columns are carried unchanged, whatever their names."""
+    row, lanes = "row_number", WIDE_LANES
+    while row.lower() in {c.lower() for c in docs.columns}:
+        row += "_"
+    numbered = materialise(docs.withColumn(row, F.monotonically_increasing_id()), "numbered")
+    prints = materialise(fingerprints(numbered.select(row, "text"), WIDE_WORDS, lanes, row), "wide")
+    nodes = materialise(prints.groupBy("fp").agg(F.min("id").alias("rep")), "prints")
+    roots = connected_components(links(nodes, sampled_masks(lanes), radius_for(resemblance, 64 * lanes), lanes))
+    groups = nodes.join(roots, nodes.rep == roots.id, "left").select("fp", F.coalesce("component", "rep").alias("component"))
+    ids = numbered.select(F.col(row).alias("id"), F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("h"))
+    order = F.struct(F.col("doc_id").isNull().alias("without"), "doc_id", "fp", "h", "id")
+    rows = materialise(prints.join(groups, "fp").join(ids, "id").select("component", order.alias("order")), "groups")
+    first = rows.groupBy("component").agg(F.min("order").alias("first"), F.count("*").alias("n")).where("n > 1")
+    gone = rows.join(first, "component").where("order.id <> first.id").select(F.col("order.id").alias(row))
+    gone = materialise(gone, "gone")
     few = gone.limit(SENT_NODES + 1).count() <= SENT_NODES
-    left = docs.join(F.broadcast(gone) if few else gone, "doc_id", "left_anti").select(*docs.columns)
-    again = ids.groupBy("id").agg(F.count("*").alias("n")).where("n > 1").select(F.col("id").alias("doc_id"))
-    if not again.isEmpty():
-        once = left.join(again, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*docs.columns)
-        left = left.join(again, "doc_id", "left_anti").select(*docs.columns).unionByName(once)
-    return left
+    return numbered.join(F.broadcast(gone) if few else gone, row, "left_anti").select(*docs.columns)
