@@ -16,7 +16,7 @@ dealt out by ranges of the hash, and never meets the driver or a broadcast:
 
 What travels are deltas of sorted hashes in compressed byte planes, some three bytes a distinct
 bigram of a batch. Hashes have ``SPARE_BITS`` bits more than the text has bytes, so at any size about
-one bigram in 50,000 shares its hash with another and is counted with it.
+one bigram in 8,000 shares its hash with another and is counted with it.
 
 A language's documents give its bands: quartiles of the log perplexity, widened by ``BELOW`` and
 ``ABOVE`` times their distance, reject what lies outside.
@@ -47,8 +47,8 @@ from levelrank.plans.staging import materialise, shared_path, small_rows
 BELOW, ABOVE = 4.0, 1.5
 #: Steps of the histogram per unit of log perplexity; rows that it and the language table may have.
 STEPS, MAX_STEPS, MAX_LANGUAGES = 500, 2_000_000, 100_000
-#: Bytes of text of a batch and of a hash range; bits of a hash beyond those of the text's size.
-BATCH_BYTES, RANGE_BYTES, SPARE_BITS = 16_000_000, 32_000_000, 12
+#: Bytes of text of a batch and of a hash range; bits of a bigram's hash beyond those of the text's size, and by which a word's is shorter.
+BATCH_BYTES, RANGE_BYTES, SPARE_BITS, WORD_BITS = 8_000_000, 32_000_000, 8, 4
 #: Rejected rows that may be sent to every task (8 bytes each).
 SENT_ROWS = 1_000_000
 SYMBOLS, EDGES = r"[#*$%&|<>]", ".,;:!?\"'()[]{}|-–—«»„“”‘’¿¡"
@@ -152,23 +152,25 @@ def streams(docs: DataFrame, id_col: str, bits: int) -> DataFrame:
     def make(part: list[pa.RecordBatch], number: int) -> pa.RecordBatch:
         table = pa.Table.from_batches(part)
         whole = lambda name, kind: pa.concat_arrays([c.cast(kind) for c in table.column(name).chunks])
+        ids = whole(id_col, pa.int64())
         bodies, names = whole("text", pa.large_string()).fill_null(""), whole("lang", pa.string()).dictionary_encode()
         word, owner, kinds = words_of(bodies)
         stats = statistics(bodies, word, owner, kinds)
+        del table, bodies
         plain = pc.utf8_trim(pc.utf8_lower(kinds), characters=EDGES).dictionary_encode()
-        lang, langs = names.indices.to_numpy().astype(np.int64), names.dictionary.to_pylist()
+        lang, langs, ids = names.indices.to_numpy().astype(np.int64), names.dictionary.to_pylist(), ids.to_pylist()
         base = pd.util.hash_array(plain.dictionary.to_numpy(zero_copy_only=False).astype(object), categorize=False)
         salt = pd.util.hash_array(np.array([f"language {x}" for x in langs], object), categorize=False)
         code = lang[owner] * (len(base) + 1) + plain.indices.to_numpy().astype(np.int64)[word]
         seen, at, n = np.unique(code, return_inverse=True, return_counts=True)
-        key = hashed(base[seen % (len(base) + 1)] ^ mix(salt[seen // (len(base) + 1)]), bits) if len(seen) else np.zeros(0, np.int64)
+        key = hashed(base[seen % (len(base) + 1)] ^ mix(salt[seen // (len(base) + 1)]), bits - WORD_BITS) if len(seen) else np.zeros(0, np.int64)
         order = np.argsort(key, kind="stable")
         place = np.empty(len(order), np.int64)
         place[order] = np.arange(len(order))
         by_count = np.argsort(-n[order], kind="stable")
         rank = np.empty(len(order), np.int64)
         rank[by_count] = np.arange(len(order))
-        rows = [[number], [whole(id_col, pa.int64()).to_pylist()], [langs], [lang.tolist()], [stats.ravel().tolist()], [pack(deltas(key[order]))], [pack(n[order])], [pack(rank[place][at])]]
+        rows = [[number], [ids], [langs], [lang.tolist()], [stats.ravel().tolist()], [pack(deltas(key[order]))], [pack(n[order])], [pack(rank[place][at])]]
         kinds_of = (pa.int64(), pa.list_(pa.int64()), pa.list_(pa.string()), pa.list_(pa.int32()), pa.list_(pa.int64()), pa.binary(), pa.binary(), pa.binary())
         return pa.record_batch([pa.array(x, k) for x, k in zip(rows, kinds_of)], [c.split()[0] for c in STREAM.split(", ")])
 
@@ -179,6 +181,7 @@ def streams(docs: DataFrame, id_col: str, bits: int) -> DataFrame:
         for b in batches:
             if held and size + b.nbytes > BATCH_BYTES:
                 yield make(held, number)
+                pa.default_memory_pool().release_unused()
                 number, held, size = number + 1, [], 0
             held.append(b)
             size += b.nbytes
@@ -189,6 +192,14 @@ def streams(docs: DataFrame, id_col: str, bits: int) -> DataFrame:
     return arrow_rows(named, [id_col, "lang", "text"], run, STREAM, BATCH_BYTES)
 
 
+def one_by_one(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
+    """Rows as Python values, one at a time; memory that the last one took goes back."""
+    for b in batches:
+        for k in range(len(b)):
+            yield from b.slice(k, 1).to_pylist()
+            pa.default_memory_pool().release_unused()
+
+
 class Batch:
     """A row of the stream table: word hashes, words by text, and bigrams in the order of their hashes."""
 
@@ -222,33 +233,36 @@ def _ranges(keys: np.ndarray, bits: int, range_bits: int) -> list[tuple[int, int
 
 SENT = "kind int, batch long, part int, lang string, totals array<long>, blobs array<binary>"
 _SENT_TYPES = (pa.int32(), pa.int64(), pa.int32(), pa.string(), pa.list_(pa.int64()), pa.list_(pa.binary()))
-REQUEST, STATISTIC, BIGRAMS, WORDS = 0, 1, 2, 3
+REQUEST, STATISTIC, BIGRAMS, WORDS, TOTAL = range(5)
 
 
 def _sent(rows: list[tuple]) -> pa.Table:
     return pa.table([pa.array([r[i] for r in rows], t) for i, t in enumerate(_SENT_TYPES)], names=[c.split()[0] for c in SENT.split(", ")])
 
 
-def _merge(table: pa.Table) -> tuple[list[dict], np.ndarray, np.ndarray, np.ndarray]:
-    """(requests by batch, their keys' places in the merged sorted array, first places of that array's keys, request bounds)."""
-    rows = sorted(table.select(["batch", "part", "blobs"]).to_pylist(), key=lambda r: r["batch"])
+def _merge(rows: list[dict]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of requests: their keys' places in the merged sorted array, first places of that array's keys, request bounds."""
     keys = [np.cumsum(unpack(r["blobs"][0])) for r in rows]
     _, first, at = np.unique(np.concatenate(keys), return_index=True, return_inverse=True)
-    return rows, at, first, np.cumsum([0, *map(len, keys)])
+    return at, first, np.cumsum([0, *map(len, keys)])
+
+
+def _requests(table: pa.Table) -> list[dict]:
+    return sorted((r for r in table.select(["kind", "batch", "part", "blobs"]).to_pylist() if r["kind"] == REQUEST), key=lambda r: r["batch"])
 
 
 def bigram_counts(stream: DataFrame, bits: int, range_bits: int) -> DataFrame:
     """Answers (kind BIGRAMS) to every batch: counts of its bigrams over all documents, and whether the batch owns them."""
 
     def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for row in b.to_pylist():
-                x = Batch(row, bits)
-                rows = [(REQUEST, row["batch"], k, None, None, [pack(deltas(x.bigrams[a:z])), pack(x.n[a:z])]) for k, a, z in _ranges(x.bigrams, bits, range_bits)]
-                yield from _sent(rows).to_batches()
+        for row in one_by_one(batches):
+            x = Batch(row, bits)
+            rows = [(REQUEST, row["batch"], k, None, None, [pack(deltas(x.bigrams[a:z])), pack(x.n[a:z])]) for k, a, z in _ranges(x.bigrams, bits, range_bits)]
+            yield from _sent(rows).to_batches()
 
     def answer(table: pa.Table) -> pa.Table:
-        rows, at, first, bounds = _merge(table)
+        rows = _requests(table)
+        at, first, bounds = _merge(rows)
         total = np.bincount(at, np.concatenate([unpack(r["blobs"][1]) for r in rows])).astype(np.int64)
         own = np.zeros(len(at), bool)
         own[first] = True
@@ -257,39 +271,51 @@ def bigram_counts(stream: DataFrame, bits: int, range_bits: int) -> DataFrame:
     return stream.mapInArrow(ask, SENT).groupBy("part").applyInArrow(answer, SENT)
 
 
-def _answers(table: pa.Table, kind: int) -> list[np.ndarray]:
-    """A batch's answers of one kind, ranges in order, as whole arrays."""
-    rows = sorted((r for r in table.select(["kind", "part", "blobs"]).to_pylist() if r["kind"] == kind), key=lambda r: r["part"])
+def placed(answers: DataFrame, kind: int, buckets: int, names: list[str]) -> DataFrame:
+    """(batch, answers): one row per batch, in a table bucketed like the streams, so that joins with them move neither."""
+    spark, name = answers.sparkSession, f"lr_answers_{uuid.uuid4().hex}"
+    rows = answers.where(F.col("kind") == kind).repartition(buckets, "batch").groupBy("batch").agg(F.collect_list(F.struct("part", "blobs")).alias(f"answers{kind}"))
+    rows.write.bucketBy(buckets, "batch").option("path", shared_path(spark, "answers")).saveAsTable(name)
+    names.append(name)
+    return spark.table(name)
+
+
+def _answers(rows: list[dict] | None) -> list[np.ndarray]:
+    """A batch's answers, ranges in order, as whole arrays."""
+    rows = sorted(rows or [], key=lambda r: r["part"])
     return [np.concatenate([unpack(r["blobs"][k]) for r in rows]) for k in range(len(rows[0]["blobs"]))] if rows else []
 
 
-def word_requests(stream: DataFrame, answers: DataFrame, bits: int, range_bits: int) -> DataFrame:
+def word_requests(answered: DataFrame, bits: int, range_bits: int) -> DataFrame:
     """Per batch and range of word hashes (kind REQUEST): occurrences, occurrences as a context, bigrams owned by context (seen
-    once, twice, more often) and by ending; and (kind STATISTIC) how many owned bigrams of a language were seen one to four times."""
+    once, twice, more often) and by ending; and (kind STATISTIC) how many owned bigrams of a language were seen one to four times.
+    ``answered``: streams with their bigrams' answers."""
 
-    def ask(left: pa.Table, right: pa.Table) -> pa.Table:
-        out = []
-        for row in left.to_pylist():
-            x = Batch(row, bits)
+    def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for row in one_by_one(batches):
+            x, out = Batch(row, bits), []
             size = len(x.keys)
-            total, own = _answers(right, BIGRAMS) or (np.zeros(0, np.int64),) * 2
+            total, own = _answers(row[f"answers{BIGRAMS}"]) or (np.zeros(0, np.int64),) * 2
             mine = own > 0
             u, w, c = x.u[mine], x.w[mine], np.minimum(total[mine], 5)
             sums = [x.counts, np.bincount(x.u, x.n, size).astype(np.int64), *(np.bincount(u[(c == k) if k < 3 else (c > 2)], minlength=size) for k in (1, 2, 3)), np.bincount(w, minlength=size), x.word_lang]
-            for k, a, z in _ranges(x.keys, bits, range_bits):
+            for k, a, z in _ranges(x.keys, bits - WORD_BITS, range_bits):
                 out.append((REQUEST, row["batch"], k, None, None, [pack(deltas(x.keys[a:z])), *(pack(s[a:z]) for s in sums), "\0".join(x.langs).encode()]))
             seen = np.bincount(x.word_lang[w] * 6 + c, minlength=6 * len(x.langs)).reshape(-1, 6)
             out += [(STATISTIC, row["batch"], 0, name, n[1:5].tolist(), None) for name, n in zip(x.langs, seen)]
-        return _sent(out)
+            yield from _sent(out).to_batches()
 
-    return stream.groupBy("batch").cogroup(answers.groupBy("batch")).applyInArrow(ask, SENT)
+    return answered.mapInArrow(ask, SENT)
 
 
 def word_totals(requests: DataFrame) -> DataFrame:
-    """Answers (kind WORDS) with the sums over all batches, and (kind STATISTIC) per language: words, bigrams, words that end none to four of them."""
+    """Answers (kind WORDS) with the sums over all batches, and (kind TOTAL) per language: words, bigrams, words that end none to four of them. Rows of kind STATISTIC pass."""
 
     def answer(table: pa.Table) -> pa.Table:
-        rows, at, first, bounds = _merge(table)
+        rows, passed = _requests(table), table.filter(pc.equal(table.column("kind"), STATISTIC))
+        if not rows:
+            return passed
+        at, first, bounds = _merge(rows)
         sums = [np.bincount(at, np.concatenate([unpack(r["blobs"][k]) for r in rows])).astype(np.int64) for k in range(1, 7)]
         names = [r["blobs"][8].decode().split("\0") for r in rows]
         langs = sorted({x for n in names for x in n})
@@ -298,10 +324,10 @@ def word_totals(requests: DataFrame) -> DataFrame:
         ends = sums[5]
         for k, name in enumerate(langs):
             own = ends[code == k]
-            out.append((STATISTIC, None, None, name, [len(own), int(own.sum()), *(int((own == i).sum()) for i in range(5))], None))
-        return _sent(out)
+            out.append((TOTAL, None, None, name, [len(own), int(own.sum()), *(int((own == i).sum()) for i in range(5))], None))
+        return pa.concat_tables([_sent(out), passed.cast(_sent([]).schema)])
 
-    return requests.where(F.col("kind") == REQUEST).groupBy("part").applyInArrow(answer, SENT)
+    return requests.groupBy("part").applyInArrow(answer, SENT)
 
 
 def discounts(n1: int, n2: int, n3: int, n4: int) -> np.ndarray:
@@ -313,11 +339,11 @@ def discounts(n1: int, n2: int, n3: int, n4: int) -> np.ndarray:
     return np.array([0.0, *(min(max(x, 0.05), k + 0.95) for k, x in enumerate(d))])
 
 
-def constants(requests: DataFrame, totals: DataFrame) -> dict[str, tuple]:
+def constants(totals: DataFrame) -> dict[str, tuple]:
     """Per language: discounts of bigrams and of endings, words, bigrams, and the mass that endings' discounts free."""
-    sums = lambda df, n: small_rows(df.where(F.col("kind") == STATISTIC).groupBy("lang").agg(*(F.sum(F.get("totals", F.lit(i))).alias(f"t{i}") for i in range(n))), MAX_LANGUAGES, "languages")
-    seen, out = {r.lang: r[1:] for r in sums(requests, 4)}, {}
-    for r in sums(totals, 7):
+    sums = lambda kind, n: small_rows(totals.where(F.col("kind") == kind).groupBy("lang").agg(*(F.sum(F.get("totals", F.lit(i))).alias(f"t{i}") for i in range(n))), MAX_LANGUAGES, "languages")
+    seen, out = {r.lang: r[1:] for r in sums(STATISTIC, 4)}, {}
+    for r in sums(TOTAL, 7):
         words, bigrams, none, *ends = r[1:]
         d = discounts(*ends)
         freed = d[1] * ends[0] + d[2] * ends[1] + d[3] * (words - none - ends[0] - ends[1])
@@ -325,21 +351,20 @@ def constants(requests: DataFrame, totals: DataFrame) -> dict[str, tuple]:
     return out
 
 
-def surprises(stream: DataFrame, answers: DataFrame, of_lang: dict[str, tuple], bits: int, id_col: str) -> DataFrame:
-    """One row per document: id, language, statistics and the mean negative log probability of a word given the one before."""
-    shared = stream.sparkSession.sparkContext.broadcast(of_lang)
+def surprises(answered: DataFrame, of_lang: dict[str, tuple], bits: int, id_col: str) -> DataFrame:
+    """One row per document: id, language, statistics and the mean negative log probability of a word given the one before.
+    ``answered``: streams with their bigrams' and words' answers."""
+    shared = answered.sparkSession.sparkContext.broadcast(of_lang)
 
-    def score(left: pa.Table, right: pa.Table) -> pa.Table:
-        tables = []
-        for row in left.to_pylist():
+    def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for row in one_by_one(batches):
             x = Batch(row, bits)
             mean = np.full(len(x.ids), np.nan)
             if len(x.first):
-                mean = document_surprise(x, _answers(right, BIGRAMS)[0], _answers(right, WORDS), [shared.value[n] for n in x.langs])
-            tables.append(pa.table([pa.array(x.ids, pa.int64()), pa.array([x.langs[k] for k in x.lang.tolist()], pa.string()), *(pa.array(x.stats[:, k]) for k in range(len(STATS))), pa.array(mean, pa.float64(), from_pandas=True)], names=[id_col, "lang", *STATS, "surprise"]))
-        return pa.concat_tables(tables)
+                mean = document_surprise(x, _answers(row[f"answers{BIGRAMS}"])[0], _answers(row[f"answers{WORDS}"]), [shared.value[n] for n in x.langs])
+            yield pa.record_batch([pa.array(x.ids, pa.int64()), pa.array([x.langs[k] for k in x.lang.tolist()], pa.string()), *(pa.array(x.stats[:, k]) for k in range(len(STATS))), pa.array(mean, pa.float64(), from_pandas=True)], [id_col, "lang", *STATS, "surprise"])
 
-    return stream.groupBy("batch").cogroup(answers.groupBy("batch")).applyInArrow(score, f"{id_col} long, lang string, {', '.join(f'{c} long' for c in STATS)}, surprise double")
+    return answered.mapInArrow(score, f"{id_col} long, lang string, {', '.join(f'{c} long' for c in STATS)}, surprise double")
 
 
 def _own(text: np.ndarray, what: np.ndarray, size: int) -> np.ndarray:
@@ -376,18 +401,19 @@ def measures(docs: DataFrame, id_col: str = "doc_id") -> DataFrame:
     """One row per row of ``docs``: id, language, statistics and surprise (null under two words)."""
     spark = docs.sparkSession
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    bits = min(60, SPARE_BITS + max(20, int(size).bit_length()))
+    bits = min(60, SPARE_BITS + max(32, int(size).bit_length()))
     range_bits = min(bits - 8, max(1, int(size // RANGE_BYTES).bit_length()))
     name = f"lr_streams_{uuid.uuid4().hex}"
-    buckets = int(min(50_000, max(4, 2 * size // BATCH_BYTES)))
+    buckets, names = int(min(50_000, max(4, 2 * size // BATCH_BYTES))), [name]
     streams(docs, id_col, bits).write.bucketBy(buckets, "batch").option("path", shared_path(spark, "streams")).saveAsTable(name)
     stream = spark.table(name)
-    counted = materialise(bigram_counts(stream, bits, range_bits), "bigrams")
-    requests = materialise(word_requests(stream, counted, bits, range_bits), "words")
-    totals = materialise(word_totals(requests), "totals")
-    answers = counted.unionByName(totals.where(F.col("kind") == WORDS))
-    out = materialise(surprises(stream, answers, constants(requests, totals), bits, id_col), "quality")
-    spark.sql(f"DROP TABLE {name}")
+    counted = placed(bigram_counts(stream, bits, range_bits), BIGRAMS, buckets, names)
+    answered = stream.join(counted.hint("merge"), "batch", "left")
+    totals = materialise(word_totals(word_requests(answered, bits, range_bits)), "totals")
+    scored = answered.join(placed(totals, WORDS, buckets, names).hint("merge"), "batch", "left")
+    out = materialise(surprises(scored, constants(totals), bits, id_col), "quality")
+    for name in names:
+        spark.sql(f"DROP TABLE {name}")
     return out
 
 
