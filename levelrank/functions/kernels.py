@@ -6,6 +6,7 @@ search keeps its own stack, so depth is bounded by memory only.
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -148,6 +149,19 @@ def local_partition(n: int, src: np.ndarray, dst: np.ndarray, by_depth: bool = T
 
 
 # ---------------------------------------------------------------- solvers
+class Unfinished(RuntimeError):
+    """A loop reached its bound of rounds before its tolerance."""
+
+
+MAX_ROUNDS = 1_000_000
+
+
+def _checked(rounds: int, max_rounds: int, change: float, tol: float, scale: float) -> None:
+    """Raise unless the loop ended by its tolerance, or where doubles of this size cannot move any more."""
+    if rounds >= max_rounds and change > max(tol, 4e-16 * max(1.0, scale)):
+        raise Unfinished(f"not at {tol} after {rounds} rounds")
+
+
 def solve_acyclic(n: int, src: np.ndarray, dst: np.ndarray, prob: np.ndarray, weight: np.ndarray, c: float, loop: np.ndarray | None = None) -> np.ndarray:
     """Each edge once: a wave of vertices whose in-edges are all done hands its rank on."""
     rank = weight.astype(float)
@@ -178,7 +192,7 @@ def solve_dense(n, src, dst, prob, weight, c) -> np.ndarray:
     return np.linalg.solve(dense_matrix(n, src, dst, prob, c), weight)
 
 
-def solve_series(n, src, dst, prob, weight, c, tol, max_rounds=10_000, freeze: float = 0.0) -> tuple[np.ndarray, int, int]:
+def solve_series(n, src, dst, prob, weight, c, tol, max_rounds=MAX_ROUNDS, freeze: float = 0.0) -> tuple[np.ndarray, int, int]:
     """Sum of the terms W, MW, MMW, ...: (rank, rounds, edge visits). Stops when no entry of
     the last term is over ``tol``. With ``freeze`` entries below it wait until they have gathered more."""
     term, rank, rounds, visits, waiting = weight.astype(float), weight.astype(float), 0, 0, np.zeros(n)
@@ -198,19 +212,25 @@ def solve_series(n, src, dst, prob, weight, c, tol, max_rounds=10_000, freeze: f
             visits += len(src)
         rank += term
         rounds += 1
+        if rank.max(initial=0) + term.max(initial=0) == rank.max(initial=0) and (rank + term == rank).all() and not waiting.any():
+            break  # smaller terms leave no trace in doubles
+    _checked(rounds, max_rounds, term.max(initial=0), tol, rank.max(initial=0))
     return rank, rounds, visits
 
 
-def solve_jacobi(n, src, dst, prob, weight, c, tol, max_rounds=10_000) -> tuple[np.ndarray, int]:
+def solve_jacobi(n, src, dst, prob, weight, c, tol, max_rounds=MAX_ROUNDS) -> tuple[np.ndarray, int]:
     """x = W + Mx from x = W; the same iterates as the series."""
     x, rounds, change = weight.astype(float), 0, np.inf
     while rounds < max_rounds and change > tol:
         new = weight + np.bincount(dst, c * prob * x[src], n) if len(src) else weight.astype(float)
         change, x, rounds = np.abs(new - x).max(initial=0), new, rounds + 1
+        if change <= 4e-16 * x.max(initial=0):
+            break
+    _checked(rounds, max_rounds, change, tol, x.max(initial=0))
     return x, rounds
 
 
-def solve_gauss_seidel(n, src, dst, prob, weight, c, tol, max_rounds=10_000) -> tuple[np.ndarray, int]:
+def solve_gauss_seidel(n, src, dst, prob, weight, c, tol, max_rounds=MAX_ROUNDS) -> tuple[np.ndarray, int]:
     """Sweeps that use the newest values, one vertex after the other."""
     offsets, sources, order = rows(n, dst, src)
     p = (c * prob[order]).tolist()
@@ -229,10 +249,13 @@ def solve_gauss_seidel(n, src, dst, prob, weight, c, tol, max_rounds=10_000) ->
             change = max(change, abs(new - x[v]))
             x[v] = new
         rounds += 1
+        if change <= 4e-16 * max(x, default=0.0):
+            break
+    _checked(rounds, max_rounds, change, tol, max(x, default=0.0))
     return np.array(x), rounds
 
 
-def solve_power(n, src, dst, prob, weight, c, tol, max_rounds=10_000) -> tuple[np.ndarray, np.ndarray, int]:
+def solve_power(n, src, dst, prob, weight, c, tol, max_rounds=MAX_ROUNDS) -> tuple[np.ndarray, np.ndarray, int]:
     """Power iteration on the normalised form; all mass that leaves the block comes back by
     the start distribution. Returns (normalised, rescaled to the start weights, rounds)."""
     total = weight.sum()
@@ -243,6 +266,9 @@ def solve_power(n, src, dst, prob, weight, c, tol, max_rounds=10_000) -> tuple[n
         y = moved(x)
         new = y + (1 - y.sum()) * w
         change, x, rounds = np.abs(new - x).max(initial=0), new, rounds + 1
+        if change <= 4e-16 * x.max(initial=0):
+            break
+    _checked(rounds, max_rounds, change, tol, x.max(initial=0))
     lost = 1 - moved(x).sum()
     return x, x * total / lost if lost else x, rounds
 
@@ -267,6 +293,29 @@ class Policy:
     log: dict = field(default_factory=dict)
 
 
+def solve_components(n, src, dst, prob, weight, c, tol, component: np.ndarray, solver: np.ndarray, policy: Policy) -> np.ndarray:
+    """Ranks of components without edges between them, each by its named solver; edges may hold loops."""
+    rank, local = np.zeros(n), np.empty(n, np.int64)
+    by, e_by = np.argsort(component, kind="stable"), np.argsort(component[src], kind="stable")
+    edge = np.searchsorted(component[src][e_by], np.arange(component.max(initial=-1) + 2))
+    part = np.searchsorted(component[by], np.arange(component.max(initial=-1) + 2))
+    for k in range(len(part) - 1):
+        m, e = by[part[k] : part[k + 1]], e_by[edge[k] : edge[k + 1]]
+        local[m] = np.arange(len(m))
+        s, t, p = local[src[e]], local[dst[e]], prob[e]
+        kind, own = solver[m[0]], s == t
+        if kind == "acyclic" and policy.acyclic == "acyclic":
+            loop = np.bincount(s[own], p[own], len(m))
+            rank[m] = solve_acyclic(len(m), s[~own], t[~own], p[~own], weight[m], c, loop)
+        elif kind == "dense" and policy.small == "dense":
+            rank[m] = solve_dense(len(m), s, t, p, weight[m], c)
+        elif policy.large == "gauss_seidel":
+            rank[m] = solve_gauss_seidel(len(m), s, t, p, weight[m], c, tol)[0]
+        else:
+            rank[m] = solve_series(len(m), s, t, p, weight[m], c, tol, freeze=tol if policy.large == "adaptive" else 0.0)[0]
+    return rank
+
+
 @dataclass
 class LocalRun:
     rank: np.ndarray
@@ -276,8 +325,8 @@ class LocalRun:
     iterated: int
 
 
-def levelwise_local(n, src, dst, prob, weight, c=0.85, tol=1e-9, kind="scc_cac", loops="drop", policy: Policy | None = None, merge_below: int = 0, handover: str = "level", stop_level: int = 0) -> LocalRun:
-    """Level-by-level ranks of one block. ``kind`` 'scc' uses plain levels; ``handover`` is 'level' (one scatter
+def levelwise_local(n, src, dst, prob, weight, c=0.85, tol=1e-9, kind="scc_cac", loops="drop", policy: Policy | None = None, merge_below: int = 0, handover: str = "level", stop_level: int = 0, workers: int = 1) -> LocalRun:
+    """Level-by-level ranks of one block, the components of a level one after the other or by ``workers`` threads. ``kind`` 'scc' uses plain levels; ``handover`` is 'level' (one scatter
     per level), 'component' (a scatter per component) or 'pull' (a level gathers all it gets from above)."""
     policy = policy or Policy()
     own = src == dst
@@ -309,6 +358,31 @@ def levelwise_local(n, src, dst, prob, weight, c=0.85, tol=1e-9, kind="scc_cac",
     at_level = level[src[out_edges]] if len(out_edges) else out_edges
     into = level[dst[out_edges]] if len(out_edges) else out_edges
 
+    if handover == "component":  # between-edges by their source's component
+        out_edges = out_edges[np.argsort(comp[src[out_edges]], kind="stable")]
+    out_comp, sizes_of = comp[src[out_edges]], np.bincount(comp, minlength=n)
+
+    def solve(label: int) -> tuple[np.ndarray, int | None, int]:
+        """(ranks, rounds if iterated, edge visits) of one component."""
+        m = members[label]
+        e = e_in[np.searchsorted(e_comp, label) : np.searchsorted(e_comp, label, "right")]
+        local[m] = np.arange(len(m))
+        s, t, p = local[src[e]], local[dst[e]], prob[e]
+        if loops == "keep" and solid[m[0]]:
+            held = np.flatnonzero(loop[m] > 0)
+            s, t, p = np.r_[s, held], np.r_[t, held], np.r_[p, loop[m][held]]
+        if not solid[m[0]] and policy.acyclic == "acyclic":
+            return solve_acyclic(len(m), s, t, p, w[m], c, loop[m]), None, len(e)
+        if len(m) < policy.dense_below and policy.small == "dense":
+            return solve_dense(len(m), s, t, p, w[m], c), None, len(e)
+        if policy.large == "gauss_seidel":
+            got, done = solve_gauss_seidel(len(m), s, t, p, w[m], c, tol)
+            return got, done, len(e) * done
+        return solve_series(len(m), s, t, p, w[m], c, tol, freeze=tol if policy.large == "adaptive" else 0.0)
+
+    pool = ThreadPoolExecutor(workers) if workers > 1 else None
+    map_ = pool.map if pool else map
+
     def scatter(e: np.ndarray) -> None:
         nonlocal visits
         np.add.at(w, dst[e], c * prob[e] * rank[src[e]])
@@ -318,33 +392,22 @@ def levelwise_local(n, src, dst, prob, weight, c=0.85, tol=1e-9, kind="scc_cac",
         if handover == "pull":
             scatter(out_edges[into == k])
         here = np.flatnonzero(level == k)
-        for label in np.unique(comp[here]):
-            m = members[int(label)]
-            if len(m) == 1:
-                rank[m] = w[m] / (1 - c * loop[m])
-            else:
-                e = e_in[np.searchsorted(e_comp, label) : np.searchsorted(e_comp, label, "right")]
-                local[m] = np.arange(len(m))
-                s, t, p = local[src[e]], local[dst[e]], prob[e]
-                if loops == "keep" and solid[m[0]]:
-                    held = np.flatnonzero(loop[m] > 0)
-                    s, t, p = np.r_[s, held], np.r_[t, held], np.r_[p, loop[m][held]]
-                if not solid[m[0]] and policy.acyclic == "acyclic":
-                    rank[m] = solve_acyclic(len(m), s, t, p, w[m], c, loop[m])
-                    visits += len(e)
-                elif len(m) < policy.dense_below and policy.small == "dense":
-                    rank[m] = solve_dense(len(m), s, t, p, w[m], c)
-                    visits += len(e)
-                elif policy.large == "gauss_seidel":
-                    rank[m], rounds[int(label)] = solve_gauss_seidel(len(m), s, t, p, w[m], c, tol)
-                    visits += len(e) * rounds[int(label)]
-                else:
-                    rank[m], rounds[int(label)], seen = solve_series(len(m), s, t, p, w[m], c, tol, freeze=tol if policy.large == "adaptive" else 0.0)
-                    visits += seen
-            if handover == "component":
-                scatter(out_edges[comp[src[out_edges]] == label])
+        labels = np.unique(comp[here]).tolist()
+        alone = here[sizes_of[comp[here]] == 1]
+        rank[alone] = w[alone] / (1 - c * loop[alone])  # single vertices are pooled
+        many = [x for x in labels if len(members[x]) > 1]
+        for label, (got, done, seen) in zip(many, map_(solve, many)):
+            rank[members[label]] = got
+            visits += seen
+            if done is not None:
+                rounds[label] = done
+        if handover == "component":
+            for label in labels:
+                scatter(out_edges[np.searchsorted(out_comp, label) : np.searchsorted(out_comp, label, "right")])
         if handover == "level":
             scatter(out_edges[at_level == k])
+    if pool:
+        pool.shutdown()
     pending = level < stop_level
     rank[pending] = w[pending]  # weights handed down so far
     iterated = int((inside & solid[src]).sum()) if len(src) else 0

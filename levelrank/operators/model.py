@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 #: Edges that one task's kernels take; above it the distributed routes run.
@@ -33,7 +33,8 @@ def edge_probabilities(edges: DataFrame, weight: str | None = None, renormalise:
     if weight and not renormalise:
         return edges.select("src", "dst", F.col(weight).cast("double").alias("prob"))
     of = F.col(weight).cast("double") if weight else F.lit(1.0)
-    return edges.select("src", "dst", (of / F.sum(of).over(Window.partitionBy("src"))).alias("prob"))
+    total = edges.groupBy("src").agg(F.sum(of).alias("total"))  # summed in tasks first; a hub's edges stay dealt out
+    return edges.join(total, "src").select("src", "dst", (of / F.col("total")).alias("prob"))
 
 
 def build_graph(edges: DataFrame, vertices: DataFrame | None = None, *, src: str = "src", dst: str = "dst", edge_weight: str | None = None, vertex_weight: str | None = None, loops: str = "drop", renormalise: bool = True, keys: str = "long") -> Graph:

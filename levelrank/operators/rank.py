@@ -16,7 +16,8 @@ from pyspark.sql import functions as F
 from levelrank.functions import kernels as K
 from levelrank.operators.model import LOCAL_EDGES, Graph, Partition
 from levelrank.operators.partition import in_one_task, numbered, partition
-from levelrank.plans.blocks import MAX_LEVELS, classify_edges, plan_blocks
+from levelrank.operators.series import acyclic_distributed, gauss_seidel_distributed, round_bound, series_distributed
+from levelrank.plans.blocks import MAX_LEVELS, classify_edges, merged_partition, plan_blocks, scc_partition
 from levelrank.plans.staging import materialise, small_rows
 
 RANKS = "id long, rank double"
@@ -39,92 +40,126 @@ def local_ranks(g: Graph, solve: Callable) -> DataFrame:
     return in_one_task(g, make, RANKS)
 
 
+#: Vertices that dense n x n solvers take.
+DENSE_VERTICES = 5_000
+
+
+def one_task(g: Graph, vertices: int | None = None, local_edges: int = LOCAL_EDGES) -> Graph:
+    """``g``, if one task takes it; otherwise an error that says so."""
+    if g.edges.limit(local_edges + 1).count() > local_edges:
+        raise ValueError(f"this form takes graphs of up to {local_edges} edges")
+    if vertices is not None and g.vertices.limit(vertices + 1).count() > vertices:
+        raise ValueError(f"this form takes graphs of up to {vertices} vertices")
+    return g
+
+
 # ---------------------------------------------------------------- whole graph
 def push(ranks: DataFrame, edges: DataFrame, c: float) -> DataFrame:
     """(id, gain): one scatter of ranks along edges, summed in tasks before the shuffle."""
     return edges.join(ranks, edges.src == ranks.id).select(F.col("dst").alias("id"), (c * F.col("prob") * F.col("rank")).alias("gain")).groupBy("id").agg(F.sum("gain").alias("gain"))
 
 
-def series_distributed(vertices: DataFrame, edges: DataFrame, c: float, tol: float, max_rounds: int = 10_000, freeze: bool = False, per_job: int = 3) -> tuple[DataFrame, int]:
-    """Power series on frames: a round is a join and one partial-aggregated shuffle. State is
-    (id, term, rank, waiting), written every ``per_job`` rounds; one scalar per job reaches the driver."""
-    state = materialise(vertices.select("id", F.col("weight").alias("term"), F.col("weight").alias("rank"), F.lit(0.0).alias("waiting")), "series")
-    top, rounds = state.agg(F.max("term")).first()[0] or 0.0, 0
-    while top > tol and rounds < max_rounds:
-        for _ in range(min(per_job, max_rounds - rounds)):
-            total = F.col("waiting") + F.col("term")
-            go = total > tol if freeze else F.lit(True)
-            sent = state.select("id", F.when(go, total).otherwise(0.0).alias("rank"), F.when(go, 0.0).otherwise(total).alias("waiting"), F.col("rank").alias("so_far"))
-            gain = push(sent.where("rank > 0").select("id", "rank"), edges, c)
-            state = sent.join(gain, "id", "left").select("id", F.coalesce("gain", F.lit(0.0)).alias("term"), (F.col("so_far") + F.coalesce("gain", F.lit(0.0))).alias("rank"), "waiting")
-            rounds += 1
-        state = materialise(state, "series")
-        top = state.agg(F.max(F.col("term") + (F.col("waiting") if freeze else F.lit(0.0)))).first()[0] or 0.0
-    return state.select("id", "rank"), rounds
-
-
-def series_rank(g: Graph, c: float = 0.85, tol: float = 1e-9, engine: str = "auto", freeze: bool = False, local_edges: int = LOCAL_EDGES, max_rounds: int = 10_000) -> DataFrame:
-    """Baseline: the whole graph as one component, by power series; ``freeze`` stops converged vertices."""
+def series_rank(g: Graph, c: float = 0.85, tol: float = 1e-9, engine: str = "auto", freeze: bool = False, local_edges: int = LOCAL_EDGES, max_rounds: int | None = None) -> DataFrame:
+    """Baseline: the whole graph as one component, by power series; ``freeze`` stops converged vertices. Raises
+    ``Unfinished`` if ``max_rounds`` end before the tolerance."""
     if _engine(g, engine, local_edges) == "local":
-        return local_ranks(g, lambda n, s, t, p, w: K.solve_series(n, s, t, p, w, c, tol, max_rounds, tol if freeze else 0.0)[0])
-    return series_distributed(g.vertices, materialise(g.edges.repartition("src"), "edges"), c, tol, max_rounds, freeze)[0]
+        return local_ranks(g, lambda n, s, t, p, w: K.solve_series(n, s, t, p, w, c, tol, max_rounds or K.MAX_ROUNDS, tol if freeze else 0.0)[0])
+    return series_distributed(g.vertices, g.edges, c, tol, max_rounds, freeze)[0]
 
 
-def power_rank(g: Graph, c: float = 0.85, tol: float = 1e-12, engine: str = "auto", local_edges: int = LOCAL_EDGES, max_rounds: int = 10_000) -> DataFrame:
+def power_rank(g: Graph, c: float = 0.85, tol: float = 1e-12, engine: str = "auto", local_edges: int = LOCAL_EDGES, max_rounds: int | None = None) -> DataFrame:
     """Baseline: power iteration on the normalised form: (id, rank, rank_norm)."""
     if _engine(g, engine, local_edges) == "local":
 
         def make(vertices: pd.DataFrame, edges: pd.DataFrame) -> pd.DataFrame:
             vertices = vertices.sort_values("id")
             ids, s, t = numbered(vertices, edges)
-            x, r, _ = K.solve_power(len(ids), s, t, edges["prob"].to_numpy(), vertices["weight"].to_numpy(), c, tol, max_rounds)
+            x, r, _ = K.solve_power(len(ids), s, t, edges["prob"].to_numpy(), vertices["weight"].to_numpy(), c, tol, max_rounds or K.MAX_ROUNDS)
             return pd.DataFrame({"id": ids, "rank": r, "rank_norm": x})
 
         return in_one_task(g, make, RANKS + ", rank_norm double")
     edges, total = materialise(g.edges, "edges"), g.vertices.agg(F.sum("weight")).first()[0]
     start = materialise(g.vertices.select("id", (F.col("weight") / total).alias("w")), "start")
     x, change, lost = start.select("id", F.col("w").alias("rank")), np.inf, 1.0
-    for _ in range(max_rounds):
+    for _ in range(max_rounds or round_bound(c, tol)):
         moved = start.join(push(x, edges, c), "id", "left").select("id", "w", F.coalesce("gain", F.lit(0.0)).alias("y"))
         moved = materialise(moved, "power")
         lost = 1 - (moved.agg(F.sum("y")).first()[0] or 0.0)
         new = materialise(moved.join(x, "id").select("id", (F.col("y") + lost * F.col("w")).alias("new"), "rank"), "power")
         change = new.agg(F.max(F.abs(F.col("new") - F.col("rank")))).first()[0] or 0.0
         x = new.select("id", F.col("new").alias("rank"))
-        if change <= tol:
+        if change <= max(tol, 1e-16):
             break
+    else:
+        raise K.Unfinished(f"power iteration is not at {tol}")
     return x.select("id", (F.col("rank") * total / lost).alias("rank"), F.col("rank").alias("rank_norm"))
 
 
 def local_variant(g: Graph, method: str, c: float = 0.85, tol: float = 1e-12) -> DataFrame:
-    """Block solvers on a graph that fits one task: jacobi, gauss_seidel, dense, hits."""
+    """Block solvers on a graph that fits one task: jacobi, gauss_seidel, dense, hits. Larger graphs raise; jacobi is
+    ``series_rank`` there and gauss_seidel ``gauss_seidel_rank``."""
+    one_task(g, DENSE_VERTICES if method in ("dense", "hits") else None)
     solve = {"jacobi": lambda *a: K.solve_jacobi(*a, c, tol)[0], "gauss_seidel": lambda *a: K.solve_gauss_seidel(*a, c, tol)[0], "dense": lambda *a: K.solve_dense(*a, c), "hits": lambda *a: K.solve_hits(*a, c)}[method]
     return local_ranks(g, solve)
 
 
+def gauss_seidel_rank(g: Graph, c: float = 0.85, tol: float = 1e-12, engine: str = "auto", local_edges: int = LOCAL_EDGES, parts: int = 8) -> DataFrame:
+    """Sweeps with the newest values: vertex by vertex in one task, in ``parts`` groups of vertices on frames."""
+    if _engine(g, engine, local_edges) == "local":
+        return local_ranks(g, lambda *a: K.solve_gauss_seidel(*a, c, tol)[0])
+    return gauss_seidel_distributed(g.vertices, g.edges, c, tol, parts)[0]
+
+
 # ---------------------------------------------------------------- level by level
-def levelwise_rank(g: Graph, c: float = 0.85, tol: float = 1e-9, *, parallel: bool = True, kind: str = "scc_cac", engine: str = "auto", loops: str = "drop", policy: K.Policy | None = None, merge_below: int = 0, handover: str = "level", stop_level: int = 0, local_edges: int = LOCAL_EDGES, part: Partition | None = None) -> DataFrame:
+WORKERS = 4
+
+
+def levelwise_rank(g: Graph, c: float = 0.85, tol: float = 1e-9, *, parallel: bool = True, kind: str = "scc_cac", engine: str = "auto", loops: str = "drop", policy: K.Policy | None = None, merge_below: int = 0, handover: str = "level", stop_level: int = 0, local_edges: int = LOCAL_EDGES, bin_edges: int = 500_000, part: Partition | None = None) -> DataFrame:
     """Ranks component by component, highest level first.
 
-    Locally one task walks all levels. On frames every level is a few jobs: single vertices by an expression,
-    blocks in bins of kernels (``parallel``: one task per bin, otherwise one for the level), components over ``local_edges`` by
-    the distributed series, then one scatter to the levels below."""
+    Every option holds on both routes. Locally one task walks all levels, the components of a level one by one or,
+    with ``parallel``, by ``WORKERS`` threads. On frames every level is a few jobs: single vertices by an expression,
+    blocks in bins of kernels (``parallel``: one task per bin, otherwise one for the level), components over
+    ``local_edges`` by the distributed solvers, then a scatter to the levels below. ``kind`` 'scc' takes strongly
+    connected sets and their levels alone, ``merge_below`` joins runs of small levels, ``handover`` is 'level'
+    (a scatter per level), 'component' (one per solved part) or 'pull' (a level gathers all it gets from above)."""
+    if kind not in ("scc_cac", "scc") or handover not in ("level", "component", "pull"):
+        raise ValueError("kind is scc_cac or scc, handover level, component or pull")
     if _engine(g, engine, local_edges) == "local":
-        return local_ranks(g, lambda n, s, t, p, w: K.levelwise_local(n, s, t, p, w, c, tol, kind, loops, policy, merge_below, handover, stop_level).rank)
-    return levelwise_distributed(part or partition(g), c, tol, parallel=parallel, loops=loops, policy=policy, local_edges=local_edges, stop_level=stop_level)[0]
+        return local_ranks(g, lambda n, s, t, p, w: K.levelwise_local(n, s, t, p, w, c, tol, kind, loops, policy, merge_below, handover, stop_level, WORKERS if parallel else 1).rank)
+    p = part or partition(g, local_edges=local_edges)
+    if kind == "scc":
+        p = scc_partition(p)
+    if merge_below:
+        p = merged_partition(p, merge_below)
+    return levelwise_distributed(p, c, tol, parallel=parallel, loops=loops, policy=policy, local_edges=local_edges, bin_edges=bin_edges, handover=handover, stop_level=stop_level)[0]
+
+
+#: Written gains of levels that may wait before they are summed into one.
+WAITING = 12
+LOCAL_SOLVERS, FAR_SOLVERS = ("acyclic", "dense", "series_local"), ("series_distributed", "acyclic_distributed")
+
 
+def levelwise_distributed(p: Partition, c: float, tol: float, *, parallel: bool = True, loops: str = "drop", policy: K.Policy | None = None, local_edges: int = LOCAL_EDGES, bin_edges: int = 500_000, handover: str = "level", stop_level: int = 0) -> tuple[DataFrame, list[dict]]:
+    """(ranks, one log row per level): the frame route of ``levelwise_rank``.
 
-def levelwise_distributed(p: Partition, c: float, tol: float, *, parallel: bool = True, loops: str = "drop", policy: K.Policy | None = None, local_edges: int = LOCAL_EDGES, bin_edges: int = 500_000, stop_level: int = 0) -> tuple[DataFrame, list[dict]]:
-    """(ranks, one log row per level): the frame route of ``levelwise_rank``."""
+    What a level hands down is written once, by target and level; the start weights are never rewritten. A level
+    reads its own weights and the gains for it, and gains are summed into one table every ``WAITING`` levels."""
     policy = policy or K.Policy()
     plan = materialise(plan_blocks(p, policy, local_edges, bin_edges if parallel else 1 << 60), "plan")
-    edges = materialise(classify_edges(p), "classes")
+    edges = materialise(classify_edges(p).sortWithinPartitions("src_level"), "classes")
     v = p.vertices.join(plan.select("component", "solver", "bin"), "component").select("id", "component", "level", "solver", "bin")
     loop = edges.where("edge_class = 'loop'").select(F.col("src").alias("id"), F.col("prob").alias("loop")) if loops == "keep" else None
     w = p.graph.vertices.select("id", F.col("weight").alias("w")).join(v, "id")
     w = w.join(loop, "id", "left").fillna(0.0, ["loop"]) if loop is not None else w.withColumn("loop", F.lit(0.0))
-    todo, ranks, log = materialise(w, "weights"), [], []
-    profile = small_rows(plan.groupBy("level").agg(F.count_if(F.col("solver") == "single").alias("single"), F.count_if(F.col("solver").isin("acyclic", "dense", "series_local")).alias("block"), F.count_if(F.col("solver") == "series_distributed").alias("large")).orderBy(F.desc("level")), MAX_LEVELS, "levels")
+    start = materialise(w.sortWithinPartitions("level"), "weights")
+    between, inside = edges.where("edge_class = 'between'"), edges.where("edge_class = 'inside'")
+    local, far = F.col("solver").isin(*LOCAL_SOLVERS), F.col("solver").isin(*FAR_SOLVERS)
+    counts = plan.groupBy("level").agg(F.count_if(F.col("solver") == "single").alias("single"), F.count_if(local).alias("block"), F.count_if(F.col("solver") == "series_distributed").alias("large"), F.count_if(F.col("solver") == "acyclic_distributed").alias("forest"))
+    profile = small_rows(counts.orderBy(F.desc("level")), MAX_LEVELS, "levels")
+    handed: list[DataFrame] = []
+    ranks: list[DataFrame] = []
+    log = []
 
     def solve(key, vertices: pd.DataFrame, e: pd.DataFrame) -> pd.DataFrame:
         vertices = vertices.sort_values("id")
@@ -132,40 +167,79 @@ def levelwise_distributed(p: Partition, c: float, tol: float, *, parallel: bool
         prob, n = e["prob"].to_numpy(), len(ids)
         hold = np.flatnonzero(vertices["loop"].to_numpy() > 0)
         s, t, prob = np.r_[s, hold], np.r_[t, hold], np.r_[prob, vertices["loop"].to_numpy()[hold]]
-        run = K.levelwise_local(n, s.astype(np.int64), t.astype(np.int64), prob, vertices["w"].to_numpy(), c, tol, "scc_cac", loops, policy)
-        return pd.DataFrame({"id": ids, "rank": run.rank})
+        comp = np.unique(vertices["component"].to_numpy(), return_inverse=True)[1]
+        rank = K.solve_components(n, s.astype(np.int64), t.astype(np.int64), prob, vertices["w"].to_numpy(), c, tol, comp, vertices["solver"].to_numpy(), policy)
+        return pd.DataFrame({"id": ids, "rank": rank})
+
+    def hand_down(part: DataFrame, level: int) -> None:
+        sent = between.where(F.col("src_level") == level).join(part, F.col("src") == F.col("id"))
+        gain = sent.select(F.col("dst").alias("to"), F.col("dst_level").alias("to_level"), (c * F.col("prob") * F.col("rank")).alias("gain"))
+        handed.append(materialise(gain.groupBy("to", "to_level").agg(F.sum("gain").alias("gain")), "gains"))
+        if len(handed) > WAITING:
+            handed[:] = [materialise(all_of(handed).groupBy("to", "to_level").agg(F.sum("gain").alias("gain")), "gains")]
+
+    def weights(level: int) -> DataFrame:
+        here = start.where(F.col("level") == level)
+        if handover == "pull":
+            if not ranks:
+                return here
+            e = between.where(F.col("dst_level") == level).join(all_of(ranks), F.col("src") == F.col("id"))
+            got = e.groupBy(F.col("dst").alias("to")).agg(F.sum(c * F.col("prob") * F.col("rank")).alias("gain"))
+        elif not handed:
+            return here
+        else:
+            got = all_of(handed).where(F.col("to_level") == level).groupBy("to").agg(F.sum("gain").alias("gain"))
+        return here.join(got, here["id"] == got["to"], "left").withColumn("w", F.col("w") + F.coalesce("gain", F.lit(0.0))).drop("to", "gain")
 
     for r in profile:
         if r.level < stop_level:
             break
-        here, parts = todo.where(F.col("level") == r.level), []
-        inside = edges.where((F.col("edge_class") == "inside") & (F.col("src_level") == r.level))
+        here, parts, rounds = materialise(weights(r.level), "level"), [], 0
         if r.single:
             parts.append(here.where("solver = 'single'").select("id", (F.col("w") / (1 - c * F.col("loop"))).alias("rank")))
         if r.block:
-            bins = plan.where((F.col("level") == r.level) & F.col("solver").isin("acyclic", "dense", "series_local")).select(F.col("component").alias("src_component"), "bin")
-            block = here.where(F.col("solver").isin("acyclic", "dense", "series_local")).select("bin", "id", "w", "loop")
-            e = inside.join(bins, "src_component").select("bin", "src", "dst", "prob")
+            bins = plan.where((F.col("level") == r.level) & local).select(F.col("component").alias("src_component"), "bin")
+            block = here.where(local).select("bin", "id", "component", "solver", "w", "loop")
+            e = inside.where(F.col("src_level") == r.level).join(bins, "src_component").select("bin", "src", "dst", "prob")
             parts.append(block.groupBy("bin").cogroup(e.groupBy("bin")).applyInPandas(solve, RANKS))
-        rounds = 0
-        if r.large:
-            big = here.where("solver = 'series_distributed'").select("id", F.col("w").alias("weight"), "loop")
-            e = inside.join(big.select(F.col("id").alias("src")), "src", "left_semi").select("src", "dst", "prob").unionByName(big.where("loop > 0").select(F.col("id").alias("src"), F.col("id").alias("dst"), F.col("loop").alias("prob")))
-            got, rounds = series_distributed(big, materialise(e, "inside"), c, tol, freeze=policy.large == "adaptive")
-            parts.append(got)
-        level = parts[0]
-        for x in parts[1:]:
-            level = level.unionByName(x)
-        level = materialise(level, "ranks")
-        ranks.append(level)
-        log.append({"level": r.level, "single": r.single, "block": r.block, "large": r.large, "rounds": rounds})
-        gain = push(level, edges.where((F.col("edge_class") == "between") & (F.col("src_level") == r.level)), c)
-        below = todo.where(F.col("level") < r.level)
-        todo = materialise(below.join(gain, "id", "left").withColumn("w", F.col("w") + F.coalesce("gain", F.lit(0.0))).drop("gain"), "weights")
-    out = todo.select("id", F.col("w").alias("rank")) if stop_level else None
-    for x in ranks:
-        out = x if out is None else out.unionByName(x)
-    return (out if out is not None else p.graph.vertices.select("id", F.col("weight").alias("rank"))), log
+        for solver, n in (("series_distributed", r.large), ("acyclic_distributed", r.forest)):
+            if n:
+                big = here.where(F.col("solver") == solver).select("id", F.col("w").alias("weight"), "loop")
+                e = inside.where(F.col("src_level") == r.level).join(big.select(F.col("id").alias("src")), "src", "left_semi").select("src", "dst", "prob")
+                held = big.where("loop > 0").select(F.col("id").alias("src"), F.col("id").alias("dst"), F.col("loop").alias("prob"))
+                if solver == "acyclic_distributed":
+                    got, rounds = acyclic_distributed(big, e, c)
+                elif policy.large == "gauss_seidel":
+                    got, rounds = gauss_seidel_distributed(big.select("id", "weight"), e.unionByName(held), c, tol)
+                else:
+                    got, rounds = series_distributed(big, e.unionByName(held), c, tol, freeze=policy.large == "adaptive")
+                parts.append(got)
+        if handover == "component":
+            parts = [materialise(x, "ranks") for x in parts]
+            for x in parts:
+                hand_down(x, r.level)
+            ranks += parts
+        else:
+            level = materialise(all_of(parts), "ranks")
+            ranks.append(level)
+            if handover == "level" and r.level:
+                hand_down(level, r.level)
+        log.append({"level": r.level, "single": r.single, "block": r.block, "large": r.large + r.forest, "rounds": rounds})
+    if stop_level:  # weights handed down so far
+        got = all_of(handed).groupBy("to").agg(F.sum("gain").alias("gain")) if handed else None
+        if handover == "pull" and ranks:
+            got = between.join(all_of(ranks), F.col("src") == F.col("id")).groupBy(F.col("dst").alias("to")).agg(F.sum(c * F.col("prob") * F.col("rank")).alias("gain"))
+        rest = start.where(F.col("level") < stop_level)
+        rest = rest.join(got, rest["id"] == got["to"], "left").select("id", (F.col("w") + F.coalesce("gain", F.lit(0.0))).alias("rank")) if got is not None else rest.select("id", F.col("w").alias("rank"))
+        ranks.append(rest)
+    return (all_of(ranks) if ranks else p.graph.vertices.select("id", F.col("weight").alias("rank"))), log
+
+
+def all_of(frames: list[DataFrame]) -> DataFrame:
+    out = frames[0]
+    for x in frames[1:]:
+        out = out.unionByName(x)
+    return out
 
 
 # ---------------------------------------------------------------- related baselines
@@ -202,7 +276,8 @@ def recursive_dangling(g: Graph, c: float = 0.85, tol: float = 1e-12, max_rounds
         cur_e = materialise(cur_e.join(sources.withColumnRenamed("id", "dst"), "dst", "left_semi").select("src", "dst", "prob"), "core")
     ranks = materialise(series_rank(Graph(cur_v, cur_e), c, tol), "ranks")
     for wave in reversed(waves):
-        got = wave.join(push(ranks, g.edges, c), "id", "left").select("id", (F.col("weight") + F.coalesce("gain", F.lit(0.0))).alias("rank"))
+        into = g.edges.join(wave.select(F.col("id").alias("dst")), "dst", "left_semi")  # no other edge is read further
+        got = wave.join(push(ranks, into, c), "id", "left").select("id", (F.col("weight") + F.coalesce("gain", F.lit(0.0))).alias("rank"))
         ranks = materialise(ranks.unionByName(got), "ranks")
     return ranks
 
@@ -233,7 +308,7 @@ def solve_permuted(g: Graph, c: float = 0.85, tol: float = 1e-12, kind: str = "s
         x, _ = K.solve_gauss_seidel(n, place[s], place[t], p, w[order], c, tol)
         return x[place]
 
-    return local_ranks(g, solve)
+    return local_ranks(one_task(g), solve)
 
 
 # ---------------------------------------------------------------- forms around the methods
@@ -249,7 +324,7 @@ def levelwise_solve(coefficients: DataFrame, right: DataFrame, tol: float = 1e-1
     return levelwise_rank(Graph(right, coefficients), 1.0, tol, **how)
 
 
-def walk_rank(g: Graph, walks: int = 20, c: float = 0.85, seed: int = 7, max_steps: int = 200) -> DataFrame:
+def walk_rank(g: Graph, walks: int = 20, c: float = 0.85, seed: int = 7, max_steps: int = 100_000) -> DataFrame:
     """Monte-Carlo: ``walks`` walkers per vertex, each worth its weight over ``walks``; every visit counts.
 
     Choices are hashes of walker and step, so reruns agree. A step is a range join on the cumulated probabilities of a source."""
@@ -265,6 +340,8 @@ def walk_rank(g: Graph, walks: int = 20, c: float = 0.85, seed: int = 7, max_ste
         cur = materialise(going.join(table, (going["at"] == table.src) & (F.col("u") >= F.col("lo")) & (F.col("u") < F.col("hi"))).select("id", "k", "worth", F.col("dst").alias("at")), "walkers")
         if cur.isEmpty():
             break
+        if step == max_steps - 1:
+            raise K.Unfinished(f"walkers are still under way after {max_steps} steps")
         visits.append(cur.groupBy(F.col("at").alias("id")).agg(F.sum("worth").alias("rank")))
     out = visits[0]
     for x in visits[1:]:
@@ -279,12 +356,15 @@ def update_rank(old: Graph, ranks: DataFrame, new: Graph, c: float = 0.85, tol:
     come = new.edges.select("src", "dst", "prob").exceptAll(old.edges.select("src", "dst", "prob"))
     fresh = new.vertices.join(old.vertices, ["id", "weight"], "left_anti").select("id")
     cone = front = materialise(gone.select(F.col("dst").alias("id")).union(come.select(F.col("dst").alias("id"))).union(fresh).distinct(), "cone")
-    both = materialise(new.edges.select("src", "dst"), "edges")
-    for _ in range(max_rounds):
-        front = materialise(both.join(front, both.src == front.id, "left_semi").select(F.col("dst").alias("id")).distinct().join(cone, "id", "left_anti"), "front")
-        if front.isEmpty():
-            break
-        cone = materialise(cone.union(front), "cone")
+    if _engine(new, how.get("engine", "auto"), how.get("local_edges", LOCAL_EDGES)) == "local":
+        cone = materialise(in_one_task(Graph(front, new.edges), _reached, "id long"), "cone")
+    else:
+        both = materialise(new.edges.select("src", "dst"), "edges")
+        for _ in range(max_rounds):
+            front = materialise(both.join(front, both.src == front.id, "left_semi").select(F.col("dst").alias("id")).distinct().join(cone, "id", "left_anti"), "front")
+            if front.isEmpty():
+                break
+            cone = materialise(cone.union(front), "cone")
     kept = ranks.join(new.vertices, "id", "left_semi").join(cone, "id", "left_anti")
     inside = new.edges.join(cone.withColumnRenamed("id", "dst"), "dst", "left_semi")
     gain = push(kept, inside, c)
@@ -293,6 +373,15 @@ def update_rank(old: Graph, ranks: DataFrame, new: Graph, c: float = 0.85, tol:
     return kept.select("id", "rank").unionByName(levelwise_rank(Graph(weights, within), c, tol, **how))
 
 
-def singletons(w: DataFrame, c: float = 0.85) -> DataFrame:
-    """Pooled single vertices (id, w, loop): an expression, no shuffle."""
-    return w.select("id", (F.col("w") / (1 - c * F.col("loop"))).alias("rank"))
+def _reached(start: pd.DataFrame, edges: pd.DataFrame) -> pd.DataFrame:
+    """All that edges lead to from the start, which is included."""
+    ids = np.unique(np.r_[start["id"].to_numpy(), edges["src"].to_numpy(), edges["dst"].to_numpy()]).astype(np.int64)
+    offsets, targets, _ = K.rows(len(ids), np.searchsorted(ids, edges["src"].to_numpy()), np.searchsorted(ids, edges["dst"].to_numpy()))
+    seen = np.zeros(len(ids), bool)
+    front = np.searchsorted(ids, start["id"].to_numpy())
+    while len(front):
+        seen[front] = True
+        sizes = offsets[front + 1] - offsets[front]
+        near = np.unique(targets[np.repeat(offsets[front] - (np.cumsum(sizes) - sizes), sizes) + np.arange(sizes.sum())])
+        front = near[~seen[near]]
+    return pd.DataFrame({"id": ids[seen]})
