@@ -16,7 +16,7 @@ dealt out by ranges of the hash, and never meets the driver or a broadcast:
 
 What travels are deltas of sorted hashes in compressed byte planes, some three bytes a distinct
 bigram of a batch. Hashes have ``SPARE_BITS`` bits more than the text has bytes, so at any size about
-one bigram in 8,000 shares its hash with another and is counted with it.
+one bigram in 2,000 shares its hash with another and is counted with it.
 
 A language's documents give its bands: quartiles of the log perplexity, widened by ``BELOW`` and
 ``ABOVE`` times their distance, reject what lies outside.
@@ -48,7 +48,7 @@ BELOW, ABOVE = 4.0, 1.5
 #: Steps of the histogram per unit of log perplexity; rows that it and the language table may have.
 STEPS, MAX_STEPS, MAX_LANGUAGES = 500, 2_000_000, 100_000
 #: Bytes of text of a batch and of a hash range; bits of a bigram's hash beyond those of the text's size, and by which a word's is shorter.
-BATCH_BYTES, RANGE_BYTES, SPARE_BITS, WORD_BITS = 8_000_000, 32_000_000, 8, 4
+BATCH_BYTES, RANGE_BYTES, SPARE_BITS, WORD_BITS = 8_000_000, 32_000_000, 6, 2
 #: Rejected rows that may be sent to every task (8 bytes each).
 SENT_ROWS = 1_000_000
 SYMBOLS, EDGES = r"[#*$%&|<>]", ".,;:!?\"'()[]{}|-–—«»„“”‘’¿¡"
@@ -271,15 +271,19 @@ def bigram_counts(stream: DataFrame, bits: int, range_bits: int) -> DataFrame:
     return stream.mapInArrow(ask, SENT).groupBy("part").applyInArrow(answer, SENT)
 
 
-def placed(answers: DataFrame, kind: int, buckets: int, names: list[str]) -> DataFrame:
-    """(batch, answers): one row per batch, in a table bucketed like the streams, so that joins with them move neither."""
+def placed(answers: DataFrame, buckets: int, names: list[str]) -> DataFrame:
+    """The answers written once, dealt by batch into as many buckets as the streams, so that joins with them move neither."""
     spark, name = answers.sparkSession, f"lr_answers_{uuid.uuid4().hex}"
-    rows = answers.where(F.col("kind") == kind).repartition(buckets, "batch").groupBy("batch").agg(F.collect_list(F.struct("part", "blobs")).alias(f"answers{kind}"))
-    rows.write.bucketBy(buckets, "batch").option("path", shared_path(spark, "answers")).saveAsTable(name)
+    answers.repartition(buckets, "batch").write.bucketBy(buckets, "batch").option("path", shared_path(spark, "answers")).saveAsTable(name)
     names.append(name)
     return spark.table(name)
 
 
+def by_batch(answers: DataFrame, kind: int) -> DataFrame:
+    """(batch, answers): one row per batch, grouped in place."""
+    return answers.where(F.col("kind") == kind).groupBy("batch").agg(F.collect_list(F.struct("part", "blobs")).alias(f"answers{kind}")).hint("merge")
+
+
 def _answers(rows: list[dict] | None) -> list[np.ndarray]:
     """A batch's answers, ranges in order, as whole arrays."""
     rows = sorted(rows or [], key=lambda r: r["part"])
@@ -401,16 +405,16 @@ def measures(docs: DataFrame, id_col: str = "doc_id") -> DataFrame:
     """One row per row of ``docs``: id, language, statistics and surprise (null under two words)."""
     spark = docs.sparkSession
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    bits = min(60, SPARE_BITS + max(32, int(size).bit_length()))
+    bits = min(60, SPARE_BITS + max(28, int(size).bit_length()))
     range_bits = min(bits - 8, max(1, int(size // RANGE_BYTES).bit_length()))
     name = f"lr_streams_{uuid.uuid4().hex}"
     buckets, names = int(min(50_000, max(4, 2 * size // BATCH_BYTES))), [name]
     streams(docs, id_col, bits).write.bucketBy(buckets, "batch").option("path", shared_path(spark, "streams")).saveAsTable(name)
     stream = spark.table(name)
-    counted = placed(bigram_counts(stream, bits, range_bits), BIGRAMS, buckets, names)
-    answered = stream.join(counted.hint("merge"), "batch", "left")
-    totals = materialise(word_totals(word_requests(answered, bits, range_bits)), "totals")
-    scored = answered.join(placed(totals, WORDS, buckets, names).hint("merge"), "batch", "left")
+    counted = placed(bigram_counts(stream, bits, range_bits), buckets, names)
+    answered = stream.join(by_batch(counted, BIGRAMS), "batch", "left")
+    totals = placed(word_totals(word_requests(answered, bits, range_bits)), buckets, names)
+    scored = answered.join(by_batch(totals, WORDS), "batch", "left")
     out = materialise(surprises(scored, constants(totals), bits, id_col), "quality")
     for name in names:
         spark.sql(f"DROP TABLE {name}")
