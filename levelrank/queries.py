@@ -77,7 +77,7 @@ for _n in ("basket_flow_x10", "basket_flow_x10_bridged"):
 for _n in ("basket_flow", "web_anchor", "pa_sparse"):
     add(f"degrees_{_n}", on_graph(_n, GR.degrees), O.base(O.edge_sql(_n), O.vertex_sql(_n)) + " SELECT v.id, coalesce(o.n, 0) AS out_degree, coalesce(i.n, 0) AS in_degree FROM v LEFT JOIN (SELECT src, count(*) AS n FROM e GROUP BY src) o ON o.src = v.id LEFT JOIN (SELECT dst, count(*) AS n FROM e GROUP BY dst) i ON i.dst = v.id")
 add("degree_ccdf", on_graph("pa_dense", lambda g: M.degree_distribution(g).select("degree", "n", F.floor(F.col("ccdf") * 1e6 + 0.2718281).alias("ccdf_e6"))), O.base(O.edge_sql("pa_dense"), O.vertex_sql("pa_dense")) + ", d AS (SELECT degree, count(*) AS n FROM (SELECT dst, count(*) AS degree FROM e GROUP BY dst) t GROUP BY degree) SELECT degree, n, CAST(floor(sum(n) OVER (ORDER BY degree DESC) / sum(n) OVER ()::DOUBLE * 1e6 + 0.2718281) AS BIGINT) AS ccdf_e6 FROM d")
-add("tail_exponent", on_graph("pa_dense", M.tail_exponent))
+add("tail_exponent", on_graph("pa_dense", lambda g: M.tail_exponent(g).select(F.floor(F.col("slope") * 1e6 + 0.2718281).alias("slope_e6"))), O.base(O.edge_sql("pa_dense"), O.vertex_sql("pa_dense")) + ", d AS (SELECT degree, count(*) AS n FROM (SELECT dst, count(*) AS degree FROM e GROUP BY dst) t GROUP BY degree), q AS (SELECT degree, sum(n) OVER (ORDER BY degree DESC) / sum(n) OVER ()::DOUBLE AS ccdf FROM d) SELECT CAST(floor(regr_slope(ln(ccdf), ln(degree::DOUBLE)) * 1e6 + 0.2718281) AS BIGINT) AS slope_e6 FROM q WHERE degree >= 2")
 add("edge_probabilities", on_graph("basket_flow", lambda g: g.edges.select("src", "dst", F.floor(F.col("prob") * 1e6 + 0.2718281).alias("prob_e6"))), O.base(O.edge_sql("basket_flow")) + " SELECT src, dst, CAST(floor(1e6::DOUBLE / count(*) OVER (PARTITION BY src) + 0.2718281) AS BIGINT) AS prob_e6 FROM e")
 
 _WEIGHTED = "SELECT l_partkey AS src, dst, CAST(sum(q) AS DOUBLE) AS w FROM (SELECT l_partkey, LEAD(l_partkey) OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_quantity) AS dst, l_quantity AS q FROM lineitem) t WHERE dst IS NOT NULL AND q <= 4 AND dst <> l_partkey GROUP BY l_partkey, dst"
@@ -128,8 +128,13 @@ add("permutation", on_parts("knn2", B.reorder), O.partition_sql(O.edge_sql("knn2
 _CELLS = " SELECT CAST(floor(a.position * 64 / n) AS INTEGER) AS row_bin, CAST(floor(b.position * 64 / n) AS INTEGER) AS col_bin, count(*) AS n FROM e JOIN {p} a ON a.id = e.src JOIN {p} b ON b.id = e.dst, (SELECT max(position) + 1 AS n FROM {p}) s GROUP BY 1, 2"
 add("density_after", on_parts("knn2", lambda p: B.density_map(p.graph, B.reorder(p))), O.partition_sql(O.edge_sql("knn2"), _POS + _CELLS.format(p="pos").replace("* 64 / n", "* 64.0 / n")))
 add("density_before", on_graph("knn2", lambda g: B.density_map(g, g.vertices.select("id", F.col("id").alias("position")))), O.base(O.edge_sql("knn2")) + ", pos AS (SELECT id, id AS position FROM v)" + _CELLS.format(p="pos").replace("* 64 / n", "* 64.0 / n"))
-add("block_bins", on_parts("knn2", lambda p: B.plan_blocks(p, bin_edges=40)))
-add("merge_small_levels", on_parts("knn2", B.merge_small_levels))
+_PLAN = _INSIDE + """, n AS (SELECT x.component, count(*) AS inside_edges FROM ins JOIN part x ON x.id = ins.src GROUP BY x.component),
+ cs AS (SELECT component, any_value(kind) AS kind, count(*) AS size, any_value(level) AS level FROM part GROUP BY component),
+ cost AS (SELECT cs.*, coalesce(n.inside_edges, 0) AS inside_edges, CASE WHEN size = 1 THEN 'single' WHEN kind = 'cac' THEN 'acyclic' WHEN size < 100 THEN 'dense' ELSE 'series_local' END AS solver FROM cs LEFT JOIN n ON n.component = cs.component)
+ SELECT component, kind, size, level, inside_edges, solver, CAST(CASE WHEN size = 1 THEN -1 ELSE floor(coalesce(sum(CASE WHEN size > 1 THEN inside_edges + size ELSE 0 END) OVER (PARTITION BY level, size = 1 ORDER BY inside_edges DESC, component ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) / 40) END AS INTEGER) AS bin FROM cost"""
+add("block_bins", on_parts("knn2", lambda p: B.plan_blocks(p, bin_edges=40)), O.partition_sql(O.edge_sql("knn2"), _PLAN))
+_MERGED = ", l AS (SELECT level, count(*) < 100 AS small FROM part GROUP BY level), g AS (SELECT level, sum(CASE WHEN small AND before THEN 0 ELSE 1 END) OVER (ORDER BY level) - 1 AS block_level FROM (SELECT level, small, coalesce(lag(small) OVER (ORDER BY level), false) AS before FROM l) t) SELECT part.id, CAST(g.block_level AS INTEGER) AS block_level FROM part JOIN g ON g.level = part.level"
+add("merge_small_levels", on_parts("knn2", B.merge_small_levels), O.partition_sql(O.edge_sql("knn2"), _MERGED))
 
 # ---------------------------------------------------------------- ranks
 RANKED = ("figure_example", "basket_flow", "trade_loop", "fk_forest", "square_map", "affine_map", "event_handoff", "turn_chain", "doc_copy", "web_anchor", "page_paths", "knn1", "knn2", "pa_sparse", "pa_dense", "basket_flow_x10", "basket_flow_x10_bridged")
@@ -159,6 +164,13 @@ for _k, _f in _FORMS.items():
 add("rank_recursive_dangling", on_graph("web_anchor", lambda g: out(R.recursive_dangling(g, tol=TIGHT))), O.rank_sql("web_anchor"))
 add("rank_distributed", on_graph("web_anchor", lambda g: out(R.levelwise_rank(g, tol=TIGHT, engine="distributed"))), O.rank_sql("web_anchor"))
 add("rank_distributed_serial", on_graph("web_anchor", lambda g: out(R.levelwise_rank(g, tol=TIGHT, engine="distributed", parallel=False))), O.rank_sql("web_anchor"))
+_FAR = {
+    "rank_scc_only_distributed": {"kind": "scc"}, "rank_merged_levels_distributed": {"merge_below": 100}, "rank_handover_pull_distributed": {"handover": "pull"}, "rank_handover_component_distributed": {"handover": "component"},
+    "rank_far_solvers": {"local_edges": 50}, "rank_far_gauss_seidel": {"local_edges": 50, "policy": K.Policy(large="gauss_seidel")}, "rank_all_series_distributed": {"policy": K.Policy(dense_below=0, acyclic="series")},
+}
+for _k, _how in _FAR.items():
+    add(_k, on_graph("web_anchor", lambda g, how=_how: out(R.levelwise_rank(g, tol=1e-12, engine="distributed", **how))), O.rank_sql("web_anchor"))
+add("rank_gauss_seidel_distributed", on_graph("web_anchor", lambda g: out(R.gauss_seidel_rank(g, tol=1e-11, engine="distributed", parts=4))), O.rank_sql("web_anchor"))
 add("rank_series_distributed", on_graph("turn_chain", lambda g: out(R.series_rank(g, tol=TIGHT, engine="distributed"))), O.rank_sql("turn_chain"))
 add("rank_dense_only", on_graph("knn2", lambda g: out(R.local_variant(g, "dense"))), O.rank_sql("knn2"))
 add("hitting_rank", on_graph("web_anchor", lambda g: out(R.local_variant(g, "hits"))), O.rank_sql("web_anchor"))
@@ -175,7 +187,10 @@ def _personal(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 add("rank_personalised", _personal, O.series_sql(O.edge_sql("doc_copy"), O.RANK_OUT, "SELECT doc_id FROM documents", weight="(SELECT n_chars FROM documents WHERE doc_id = id)"))
-add("rank_partial_levels", on_graph("trade_loop", lambda g: out(R.levelwise_rank(g, tol=TIGHT, stop_level=1))))
+_RANKS_TOO = f", prob AS MATERIALIZED (SELECT src, dst, 1.0::DOUBLE / count(*) OVER (PARTITION BY src) AS p FROM e), r(k, id, term) AS (SELECT 0, id, 1.0::DOUBLE FROM v UNION ALL SELECT r.k + 1, prob.dst, sum(r.term * prob.p * {O.C}) FROM r JOIN prob ON r.id = prob.src WHERE r.k < {O.TERMS} GROUP BY r.k, prob.dst), ranks AS MATERIALIZED (SELECT id, sum(term) AS rank FROM r GROUP BY id)"
+_PENDING = _RANKS_TOO + f", down AS (SELECT prob.dst AS id, sum({O.C} * prob.p * ranks.rank) AS gain FROM prob JOIN part ON part.id = prob.src JOIN ranks ON ranks.id = prob.src WHERE part.level >= 1 GROUP BY prob.dst) SELECT part.id, CAST(floor(CASE WHEN part.level >= 1 THEN ranks.rank ELSE 1 + coalesce(down.gain, 0) END * 1e6 + 0.2718281) AS BIGINT) AS rank_e6 FROM part JOIN ranks ON ranks.id = part.id LEFT JOIN down ON down.id = part.id"
+add("rank_partial_levels", on_graph("trade_loop", lambda g: out(R.levelwise_rank(g, tol=TIGHT, stop_level=1))), O.partition_sql(O.edge_sql("trade_loop"), _PENDING))
+add("rank_partial_levels_distributed", on_graph("web_anchor", lambda g: out(R.levelwise_rank(g, tol=1e-12, stop_level=1, engine="distributed"))), O.partition_sql(O.edge_sql("web_anchor"), _PENDING))
 add("rank_damping_99", on_graph("web_anchor", lambda g: out(R.levelwise_rank(g, 0.99, 1e-16))), O.rank_sql("web_anchor", c=0.99, terms=3000))
 add("rank_damping_50", on_graph("basket_flow", lambda g: out(R.levelwise_rank(g, 0.5, TIGHT))), O.rank_sql("basket_flow", c=0.5, terms=60))
 add("linear_solve", on_graph("basket_flow", lambda g: out(R.levelwise_solve(g.edges.withColumn("prob", F.col("prob") * 0.7), g.vertices, TIGHT))), O.rank_sql("basket_flow", c=0.7, terms=150))
@@ -215,20 +230,21 @@ for _n in ("basket_flow", "knn2", "web_anchor"):
     add(f"rounds_global_{_n}", on_graph(_n, lambda g: M.run_summary(g).select(F.col("rounds_global").cast("long").alias("rounds"))), O.series_sql(O.edge_sql(_n), "SELECT CAST(min(k) AS BIGINT) AS rounds FROM (SELECT k, max(term) AS top FROM r GROUP BY k) t WHERE top <= 1e-9"))
 add("rounds_per_scc", on_graph("knn2", M.component_rounds))
 add("run_summary_knn2", on_graph("knn2", M.run_summary))
-add("rank_concentration", on_graph("basket_flow", lambda g: M.rank_concentration(R.levelwise_rank(g, tol=TIGHT))))
-add("clustering", on_graph("web_anchor", lambda g: M.clustering(g).select("triangles", "wedges")), O.base(O.edge_sql("web_anchor")) + ", u AS (SELECT DISTINCT least(src, dst) AS a, greatest(src, dst) AS b FROM e), d AS (SELECT id, count(*) AS d FROM (SELECT a AS id FROM u UNION ALL SELECT b FROM u) t GROUP BY id) SELECT (SELECT count(*) FROM u x JOIN u y ON x.b = y.a JOIN u z ON z.a = x.a AND z.b = y.b) AS triangles, CAST((SELECT sum(d * (d - 1) // 2) FROM d) AS BIGINT) AS wedges")
-add("mean_distance", on_graph("web_anchor", lambda g: M.mean_distance(g, [0, 3, 5, 9]).select("pairs")), O.base(O.edge_sql("web_anchor")) + ", hop(s, id) AS (SELECT id, id FROM v WHERE id IN (0, 3, 5, 9) UNION SELECT s, dst FROM hop JOIN e ON e.src = hop.id) SELECT count(*) AS pairs FROM hop WHERE s <> id")
+add("rank_concentration", on_graph("basket_flow", lambda g: M.rank_concentration(R.levelwise_rank(g, tol=TIGHT)).select(F.floor(F.col("top_share") * 1e6 + 0.2718281).alias("top_share_e6"))), O.series_sql(O.edge_sql("basket_flow"), "SELECT CAST(floor((SELECT sum(rank) FROM (SELECT rank, row_number() OVER (ORDER BY rank DESC) AS k, count(*) OVER () AS n FROM ranks) t WHERE k <= ceil(0.01 * n)) / sum(rank) * 1e6 + 0.2718281) AS BIGINT) AS top_share_e6 FROM ranks"))
+add("clustering", on_graph("web_anchor", lambda g: M.clustering(g).select("triangles", "wedges", F.floor(F.col("coefficient") * 1e6 + 0.2718281).alias("coefficient_e6"))), O.base(O.edge_sql("web_anchor")) + ", u AS (SELECT DISTINCT least(src, dst) AS a, greatest(src, dst) AS b FROM e), d AS (SELECT id, count(*) AS d FROM (SELECT a AS id FROM u UNION ALL SELECT b FROM u) t GROUP BY id), c AS (SELECT (SELECT count(*) FROM u x JOIN u y ON x.b = y.a JOIN u z ON z.a = x.a AND z.b = y.b) AS triangles, CAST((SELECT sum(d * (d - 1) // 2) FROM d) AS BIGINT) AS wedges) SELECT triangles, wedges, CAST(floor(3.0::DOUBLE * triangles / wedges * 1e6 + 0.2718281) AS BIGINT) AS coefficient_e6 FROM c")
+add("mean_distance", on_graph("web_anchor", lambda g: M.mean_distance(g, [0, 3, 5, 9]).select("pairs", F.floor(F.col("mean") * 1e6 + 0.2718281).alias("mean_e6"))), O.base(O.edge_sql("web_anchor")) + ", hop(s, id, h) AS (SELECT id, id, 0 FROM v WHERE id IN (0, 3, 5, 9) UNION SELECT s, dst, h + 1 FROM hop JOIN e ON e.src = hop.id WHERE h < 60), far AS (SELECT s, id, min(h) AS h FROM hop GROUP BY s, id) SELECT count(*) AS pairs, CAST(floor(avg(h::DOUBLE) * 1e6 + 0.2718281) AS BIGINT) AS mean_e6 FROM far WHERE h > 0")
 
 
 def _error_check(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Actual error against the bounds over tolerances, on the basket graph."""
+    """Actual error, total and mean, against the bounds over tolerances, on the basket graph."""
     g = graph(spark, sf_dir, "basket_flow")
     exact, rows = materialise(R.levelwise_rank(g, tol=TIGHT), "exact"), []
-    large = partition(g).vertices.where("kind = 'scc' and size >= 100").count()
+    large, n = partition(g).vertices.where("kind = 'scc' and size >= 100").count(), g.vertices.count()
     for tol in (1e-3, 1e-6, 1e-9, 1e-12):
         e = M.rank_error(R.levelwise_rank(g, tol=tol), exact).first()
-        rows.append((tol, e.l1, M.error_bound_total(large, tol, 0.85), e.above, e.l1 <= M.error_bound_total(large, tol, 0.85) + 1e-9))
-    return spark.createDataFrame(rows, "tol double, l1 double, bound double, above long, holds boolean")
+        total, mean = M.error_bound_total(large, tol, 0.85), M.error_bound_avg(n, large, tol, 0.85)
+        rows.append((tol, e.l1, total, e.mean, mean, e.above, e.l1 <= total + 1e-9 and e.mean <= mean + 1e-12))
+    return spark.createDataFrame(rows, "tol double, l1 double, bound double, mean double, mean_bound double, above long, holds boolean")
 
 
 add("error_bounds", _error_check)
@@ -247,6 +263,14 @@ add("break_even_visits", on_graph("knn2", lambda g: M.break_even(W.costs(W.sweep
 add("tail_bounds", on_graph("basket_flow", lambda g: W.tail_check(g).select("k", *[F.floor(F.col(x) * 1e6 + 0.2718281).alias(f"{x}_e6") for x in ("missing", "bound")])), O.series_sql(O.edge_sql("basket_flow"), "SELECT CAST(k AS BIGINT) AS k, CAST(floor(((SELECT sum(term) FROM r) - (SELECT sum(q.term) FROM r q WHERE q.k <= t.k)) * 1e6 + 0.2718281) AS BIGINT) AS missing_e6, CAST(floor(norm * 0.85 / (1 - 0.85) * 1e6 + 0.2718281) AS BIGINT) AS bound_e6 FROM (SELECT k, sum(term) AS norm FROM r WHERE k IN (5, 10, 20, 40, 80) GROUP BY k) t"))
 for _n in ("basket_flow", "knn2", "web_anchor", "pa_sparse"):
     add(f"methods_{_n}", on_graph(_n, lambda g: W.compare_methods(g).drop("seconds")))
+for _n in ("web_anchor", "knn2"):
+    add(f"scale_ten_copies_{_n}", lambda s, d, n=_n: W.copies_scale(graph(s, d, n), graph(s, d, f"{n}_x10")))
+    add(f"scale_ten_copies_bridged_{_n}", lambda s, d, n=_n: W.copies_scale(graph(s, d, n), graph(s, d, f"{n}_x10_bridged")))
+    add(f"rank_{_n}_x10_bridged", on_graph(f"{_n}_x10_bridged", lambda g: out(R.levelwise_rank(g, tol=TIGHT))), O.rank_sql(f"{_n}_x10_bridged"))
+add("break_even_parallel", on_graph("knn2", lambda g: M.break_even(W.costs(W.sweep(g)), "levelwise_parallel", "series")))
+add("break_even_seconds", on_graph("knn2", lambda g: M.break_even(W.costs(W.sweep(g), "seconds"), "levelwise_scc_cac", "series")))
+add("tolerance_slopes_seconds", on_graph("knn2", lambda g: M.tolerance_slope(W.costs(W.sweep(g), "seconds"))))
+add("damping_slopes", on_graph("knn2", lambda g: M.damping_slope(W.costs(W.sweep(g, (1e-10,), W.DAMPINGS)))))
 add("scale_ten_copies", lambda s, d: W.copies_scale(graph(s, d, "basket_flow"), graph(s, d, "basket_flow_x10")))
 add("scale_ten_copies_bridged", lambda s, d: W.copies_scale(graph(s, d, "basket_flow"), graph(s, d, "basket_flow_x10_bridged")))
 add("seconds_by_step", on_graph("basket_flow", W.seconds_by_step))
@@ -256,5 +280,74 @@ add("mean_rounds_per_edge", on_graph("knn2", lambda g: M.component_rounds(g).agg
 add("event_window_counts", lambda s, d: S.windowed_counts(S.type_edges(T.table(s, d, "events"))).select(F.date_format("start", "yyyy-MM-dd").alias("day"), "src", "dst", "n"), "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, user_id AS src, 1000000000 + CAST(json_extract_string(props, '$.k') AS BIGINT) AS dst, count(*) AS n FROM events WHERE json_extract_string(props, '$.k') IS NOT NULL AND user_id IS NOT NULL GROUP BY 1, 2, 3")
 add("event_sessions", lambda s, d: S.sessions(T.table(s, d, "events")).groupBy("user_id", "n").agg(F.count("*").alias("sessions")), "WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events WHERE user_id IS NOT NULL AND ts IS NOT NULL), s AS (SELECT user_id, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g), c AS (SELECT user_id, k, count(*) AS n FROM s GROUP BY user_id, k) SELECT user_id, n, count(*) AS sessions FROM c GROUP BY user_id, n")
 add("census_rollup", on_parts("knn2", lambda p: B.component_table(p).rollup("level", "kind").agg(F.count("*").alias("components"), F.sum("size").alias("n_vertices"))), O.partition_sql(O.edge_sql("knn2"), ", c AS (SELECT component, any_value(kind) AS kind, any_value(level) AS level, count(*) AS size FROM part GROUP BY component) SELECT level, kind, count(*) AS components, CAST(sum(size) AS BIGINT) AS n_vertices FROM c GROUP BY ROLLUP (level, kind)"))
-add("rank_top_per_component", on_parts("knn2", lambda p: R.levelwise_rank(p.graph, tol=TIGHT).join(p.vertices, "id").withColumn("r", F.row_number().over(Window.partitionBy("component").orderBy(F.desc("rank"), "id"))).where("r = 1 and size > 3").select("component", "id")))
+add("rank_top_per_component", on_parts("knn2", lambda p: R.levelwise_rank(p.graph, tol=TIGHT).join(p.vertices, "id").withColumn("r", F.row_number().over(Window.partitionBy("component").orderBy(F.desc(F.round("rank", 9)), "id"))).where("r = 1").select("component", "id")), O.partition_sql(O.edge_sql("knn2"), _RANKS_TOO + " SELECT component, id FROM (SELECT part.component, part.id, row_number() OVER (PARTITION BY part.component ORDER BY round(ranks.rank, 9) DESC, part.id) AS k FROM part JOIN ranks ON ranks.id = part.id) t WHERE k = 1"))
 add("edge_set_difference", lambda s, d: edges(s, d, "knn2").exceptAll(edges(s, d, "knn1")), f"SELECT src, dst FROM ({O.edge_sql('knn2')}) a EXCEPT ALL SELECT src, dst FROM ({O.edge_sql('knn1')}) b")
+
+
+def _agreement(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(method, top_overlap, pair_agreement) of the approximate forms against the exact ranks."""
+    g = graph(spark, sf_dir, "basket_flow")
+    exact = materialise(R.levelwise_rank(g, tol=TIGHT), "exact")
+    brand = T.table(spark, sf_dir, "part").select(F.col("p_partkey").alias("id"), F.expr("cast(regexp_extract(p_brand, '[0-9]+', 0) as long)").alias("grp"))
+    near = {"aggregated": R.aggregated_rank(g, g.vertices.select("id").join(brand, "id", "left").fillna(-1, ["grp"])), "series_3_digits": R.series_rank(g, tol=1e-3)}
+    rows = [(k, M.topk_overlap(x, exact), M.pair_agreement(x, exact)) for k, x in ((k, materialise(x, "near")) for k, x in near.items())]
+    return spark.createDataFrame(rows, "method string, top_overlap double, pair_agreement double")
+
+
+add("rank_agreement", _agreement)
+
+
+def _costs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(method, jobs, stages, shuffle_bytes, spill_bytes) of the whole-graph series and the level-by-level method."""
+    g, rows = graph(spark, sf_dir, "web_anchor"), []
+    for name, run in (("series", lambda: R.series_rank(g)), ("levelwise", lambda: R.levelwise_rank(g)), ("levelwise_distributed", lambda: R.levelwise_rank(g, tol=1e-6, engine="distributed"))):
+        cost = M.job_cost(spark, lambda run=run: run().write.format("noop").mode("overwrite").save())
+        rows.append((name, *(cost[k] for k in ("jobs", "stages", "shuffle_bytes", "spill_bytes"))))
+    return spark.createDataFrame(rows, "method string, jobs long, stages long, shuffle_bytes long, spill_bytes long")
+
+
+add("job_costs", _costs)
+
+_EPOCH = "CAST(floor(epoch_us({}) / 1000000) AS BIGINT)"
+
+
+def _asof(spark: SparkSession, sf_dir: str) -> DataFrame:
+    e = T.table(spark, sf_dir, "events").where("user_id is not null and ts is not null").select("event_id", "user_id", "ts", "event_type")
+    clicks = e.where("event_type = 'click'").select("user_id", "ts", F.col("ts").alias("click"))
+    got = T.asof_join(e.where("event_type = 'purchase'").drop("event_type"), clicks, "user_id", "ts", "click")
+    return got.select("event_id", (F.unix_seconds(F.col("ts").cast("timestamp")) - F.unix_seconds(F.col("last_click").cast("timestamp"))).alias("seconds"))
+
+
+add("event_asof_click", _asof, f"SELECT p.event_id, {_EPOCH.format('any_value(p.ts)')} - {_EPOCH.format('max(c.ts)')} AS seconds FROM events p LEFT JOIN events c ON c.user_id = p.user_id AND c.event_type = 'click' AND c.ts <= p.ts WHERE p.event_type = 'purchase' AND p.user_id IS NOT NULL AND p.ts IS NOT NULL GROUP BY p.event_id")
+
+
+def _interval(spark: SparkSession, sf_dir: str) -> DataFrame:
+    e = T.table(spark, sf_dir, "events").where("user_id is not null and ts is not null").select("event_id", "user_id", "ts", "event_type")
+    return T.interval_join(e.where("event_type = 'error'"), e, "user_id", "ts", 7200).select("event_id", "next_event_id")
+
+
+add("event_after_error", _interval, "SELECT a.event_id, b.event_id AS next_event_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 2 HOUR WHERE a.event_type = 'error'")
+_BANDS = ((0, 0, "none"), (1, 1, "one"), (2, 9, "some"), (10, 1_000_000_000, "many"))
+add("degree_bands", lambda s, d: T.band_join(GR.degrees(graph(s, d, "basket_flow")), s.createDataFrame(_BANDS, "lo long, hi long, band string"), "in_degree").groupBy("band").agg(F.count("*").alias("n")), O.base(O.edge_sql("basket_flow")) + ", g AS (SELECT v.id, count(e.src) AS deg FROM v LEFT JOIN e ON e.dst = v.id GROUP BY v.id), b(lo, hi, band) AS (VALUES " + ", ".join(f"({a}, {b}, '{c}')" for a, b, c in _BANDS) + ") SELECT band, count(*) AS n FROM g JOIN b ON g.deg BETWEEN b.lo AND b.hi GROUP BY band")
+_TYPES = ("view", "signup", "error", "click", "purchase")
+add("event_pivot", lambda s, d: T.table(s, d, "events").groupBy("user_id").pivot("event_type", list(_TYPES)).agg(F.count(F.lit(1))).fillna(0, list(_TYPES)), "SELECT user_id, " + ", ".join(f"count(*) FILTER (event_type = '{t}') AS \"{t}\"" for t in _TYPES) + " FROM events GROUP BY user_id")
+add("census_cube", on_parts("knn2", lambda p: B.component_table(p).cube("level", "kind").agg(F.count("*").alias("components"), F.sum("size").alias("n_vertices"))), O.partition_sql(O.edge_sql("knn2"), ", c AS (SELECT component, any_value(kind) AS kind, any_value(level) AS level, count(*) AS size FROM part GROUP BY component) SELECT level, kind, count(*) AS components, CAST(sum(size) AS BIGINT) AS n_vertices FROM c GROUP BY CUBE (level, kind)"))
+add("distinct_targets_estimated", lambda s, d: edges(s, d, "fk_forest").agg(F.countDistinct("dst").alias("n"), (F.abs(F.approx_count_distinct("dst", 0.02) / F.countDistinct("dst") - 1) < 0.08).alias("near")), f"SELECT count(DISTINCT dst) AS n, true AS near FROM ({O.edge_sql('fk_forest')}) q")
+
+
+def _table_function(spark: SparkSession, sf_dir: str) -> DataFrame:
+    GEN.register_copies(spark)
+    edges(spark, sf_dir, "turn_chain").distinct().createOrReplaceTempView("one_copy")
+    return spark.sql("SELECT c.src_copy AS src, c.dst_copy AS dst FROM one_copy, LATERAL edge_copies(src, dst, 3) c")
+
+
+add("copies_by_table_function", _table_function, f"SELECT CAST(src AS BIGINT) AS src, CAST(dst AS BIGINT) AS dst FROM ({O.copies_sql(O.edge_sql('turn_chain'), 3)}) q")
+
+
+def _views(spark: SparkSession, sf_dir: str) -> DataFrame:
+    p = parted(spark, sf_dir, "knn2")
+    T.register_views(spark, p.graph.edges, p.graph.vertices, p.vertices, materialise(R.levelwise_rank(p.graph, tol=TIGHT), "ranks"))
+    return spark.sql("SELECT level, kind, count(*) AS n, CAST(floor(sum(rank) * 1e3 + 0.2718281) AS BIGINT) AS rank_e3 FROM lr_partition JOIN lr_ranks USING (id) GROUP BY level, kind")
+
+
+add("views_rank_by_level", _views, O.partition_sql(O.edge_sql("knn2"), _RANKS_TOO + " SELECT level, kind, count(*) AS n, CAST(floor(sum(rank) * 1e3 + 0.2718281) AS BIGINT) AS rank_e3 FROM part JOIN ranks ON ranks.id = part.id GROUP BY level, kind"))

@@ -55,11 +55,15 @@ def preferential_graph(spark: SparkSession, n: int) -> DataFrame:
     return both.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
-def _keep(und: DataFrame, kept: Column | str) -> DataFrame:
+def _keep(und: DataFrame, kept: str) -> DataFrame:
+    """Directed edges to the neighbours of smallest hash. Degrees are counted in tasks first, and a hub's neighbours over
+    the first of its share never meet: only what may be kept is sorted by vertex."""
     near = und.select(F.col("a").alias("src"), F.col("b").alias("dst")).unionByName(und.select(F.col("b").alias("src"), F.col("a").alias("dst")))
-    w = Window.partitionBy("src")
-    ranked = near.withColumn("h", F.expr(mixed("src * 1000003 + dst", KEEP_SALT))).withColumn("d", F.count("*").over(w)).withColumn("r", F.row_number().over(w.orderBy("h", "dst")))
-    return ranked.where(F.expr(f"r <= {kept}")).select("src", "dst")
+    degree = near.groupBy("src").agg(F.count("*").alias("d"))
+    ranked = near.join(degree, "src").withColumn("h", F.expr(mixed("src * 1000003 + dst", KEEP_SALT)))
+    w = Window.partitionBy("src", F.pmod("dst", F.lit(64))).orderBy("h", "dst")
+    some = ranked.withColumn("r", F.row_number().over(w)).where(F.expr(f"r <= {kept}"))  # the first of each of 64 shares hold the first of all
+    return some.withColumn("r", F.row_number().over(Window.partitionBy("src").orderBy("h", "dst"))).where(F.expr(f"r <= {kept}")).select("src", "dst")
 
 
 def keep_log_edges(und: DataFrame) -> DataFrame:
@@ -102,6 +106,18 @@ def bridge(copies: DataFrame, one: DataFrame, extra: int = 20) -> DataFrame:
     return copies.unionByName(spark.createDataFrame(rows, "src long, dst long")) if rows else copies
 
 
+def register_copies(spark: SparkSession) -> None:
+    """The table function ``edge_copies(src, dst, copies)``: an edge once per copy, for LATERAL joins in SQL."""
+    from pyspark.sql.functions import udtf
+
+    class EdgeCopies:
+        def eval(self, src: int, dst: int, copies: int):
+            for k in range(copies):
+                yield src + k * COPY_STRIDE, dst + k * COPY_STRIDE
+
+    spark.udtf.register("edge_copies", udtf(EdgeCopies, returnType="src_copy: long, dst_copy: long"))
+
+
 # ---------------------------------------------------------------- as a data source
 class _Range(InputPartition):
     def __init__(self, lo: int, hi: int):

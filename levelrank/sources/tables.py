@@ -7,7 +7,8 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-KNN_BLOCK = 20_000
+#: Vectors that are sent to all rows at a time, and rows that meet them in one product.
+KNN_BLOCK, KNN_ROWS = 20_000, 500
 
 #: SQL that both engines run unchanged.
 COMMON = {
@@ -66,8 +67,11 @@ def _anchors(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _paths(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Paths numbered by rank among the distinct ones, which are counted in range partitions."""
+    from levelrank.plans.blocks import running
+
     links = _links(spark, sf_dir).distinct()
-    ids = links.select("path").distinct().select("path", F.row_number().over(Window.orderBy("path")).alias("r"))  # distinct paths only
+    paths = links.select("path", F.lit(1).alias("one")).distinct()
+    ids = running(paths, [F.col("path")], "one").select("path", (F.col("place") + 1).alias("r"))
     return links.join(ids, "path").select(F.col("page_id").alias("src"), (F.lit(1_000_000_000) + F.col("r")).cast("long").alias("dst"))
 
 
@@ -88,14 +92,15 @@ def nearest(vectors: DataFrame, k: int) -> DataFrame:
             for x in batches:
                 if not len(x) or not len(ids):
                     continue
-                q = np.stack(x["embedding"].to_numpy()).astype(float)
-                q /= np.maximum(np.linalg.norm(q, axis=1, keepdims=True), 1e-300)
-                sim = q @ unit.T
-                own = x["vec_id"].to_numpy()
-                sim[own[:, None] == ids[None, :]] = -np.inf
-                top = np.argsort(-sim, axis=1, kind="stable")[:, :k]
-                got = np.take_along_axis(sim, top, 1).ravel()
-                yield pd.DataFrame({"src": np.repeat(own, top.shape[1]), "dst": ids[top].ravel(), "sim": got})[np.isfinite(got)]
+                for lo in range(0, len(x), KNN_ROWS):
+                    some = x.iloc[lo : lo + KNN_ROWS]
+                    q = np.stack(some["embedding"].to_numpy()).astype(float)
+                    q /= np.maximum(np.linalg.norm(q, axis=1, keepdims=True), 1e-300)
+                    sim, own = q @ unit.T, some["vec_id"].to_numpy()
+                    sim[own[:, None] == ids[None, :]] = -np.inf
+                    least = -np.partition(-sim, min(k, sim.shape[1]) - 1, axis=1)[:, min(k, sim.shape[1]) - 1]
+                    row, col = np.nonzero((sim >= least[:, None]) & np.isfinite(sim))  # ties at the last place included
+                    yield pd.DataFrame({"src": own[row], "dst": ids[col], "sim": sim[row, col]})
 
         part_out = v.mapInPandas(run, "src long, dst long, sim double")
         out = part_out if out is None else out.unionByName(part_out)
@@ -127,3 +132,36 @@ def write_partition(vertices: DataFrame, path: str) -> None:
 def write_bucketed(edges: DataFrame, name: str, buckets: int) -> None:
     """Edges as a table bucketed by source: joins on the source need no exchange."""
     edges.write.mode("overwrite").bucketBy(buckets, "src").sortBy("src").saveAsTable(name)
+
+
+# ---------------------------------------------------------------- joins that Spark has no name for
+def asof_join(left: DataFrame, right: DataFrame, key: str, at: str, value: str) -> DataFrame:
+    """``left`` with the ``value`` of the latest row of ``right`` of the same key at or before its ``at``: one shuffle of
+    both tables together, no pair of rows is made."""
+    rows = left.withColumns({"_v": F.lit(None).cast(right.schema[value].dataType), "_left": F.lit(True)})
+    marks = right.select(*[F.col(c) if c in (key, at) else F.lit(None).cast(left.schema[c].dataType).alias(c) for c in left.columns], F.col(value).alias("_v"), F.lit(False).alias("_left"))
+    latest = F.last("_v", ignorenulls=True).over(Window.partitionBy(key).orderBy(at).rangeBetween(Window.unboundedPreceding, Window.currentRow))
+    return rows.unionByName(marks).withColumn(f"last_{value}", latest).where("_left").drop("_v", "_left")
+
+
+def interval_join(left: DataFrame, right: DataFrame, key: str, at: str, seconds: int) -> DataFrame:
+    """Pairs of rows of one key where ``right`` follows ``left`` within ``seconds``: both are cut in time bins of that
+    width, a row of ``left`` meets its own bin and the next one only. Columns of ``right`` come as ``next_...``."""
+    micros = lambda c: F.unix_micros(F.col(c).cast("timestamp"))
+    second = micros(at) / 1e6
+    bin_ = F.floor(second / seconds)
+    a = left.withColumn("_bin", F.explode(F.array(bin_, bin_ + 1)))
+    b = right.select(F.col(key), bin_.alias("_bin"), *[F.col(c).alias(f"next_{c}") for c in right.columns if c != key])
+    gap = (micros(f"next_{at}") - micros(at)) / 1e6
+    return a.join(b, [key, "_bin"]).where((gap > 0) & (gap <= seconds)).drop("_bin")
+
+
+def band_join(rows: DataFrame, bands: DataFrame, value: str) -> DataFrame:
+    """``rows`` with the band (lo, hi, name) that holds ``value``, both ends included; bands are few and sent to all tasks."""
+    return rows.join(F.broadcast(bands), F.col(value).between(F.col("lo"), F.col("hi"))).drop("lo", "hi")
+
+
+def register_views(spark: SparkSession, edges: DataFrame, vertices: DataFrame, partition: DataFrame, ranks: DataFrame) -> None:
+    """The views lr_edges, lr_vertices, lr_partition and lr_ranks, for SQL."""
+    for name, df in (("edges", edges), ("vertices", vertices), ("partition", partition), ("ranks", ranks)):
+        df.createOrReplaceTempView(f"lr_{name}")
