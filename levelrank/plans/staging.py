@@ -3,7 +3,7 @@
 Iterative plans grow without bound, so every loop writes its small state as Parquet and
 reads it back: one computation per round, and a lost executor costs only the tasks of
 the current round. The folder comes from ``spark.checkpoint.dir``; only where that is
-unset (tests, a laptop) is a local one chosen.
+unset and the master is local (tests, a laptop) is a local one chosen.
 """
 
 from __future__ import annotations
@@ -22,6 +22,8 @@ def shared_folder(spark: SparkSession) -> str:
     known = spark.sparkContext.getCheckpointDir()
     if known:
         return known.rstrip("/")
+    if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
     local = tempfile.mkdtemp(prefix="levelrank-")
     spark.sparkContext.setCheckpointDir(local)
     return spark.sparkContext.getCheckpointDir().rstrip("/")
@@ -43,6 +45,14 @@ def materialise(df: DataFrame, name: str = "stage") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def discard(spark: SparkSession, *paths: str) -> None:
+    """Remove intermediate tables of this run that no later plan reads."""
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    for p in paths:
+        path = jvm.org.apache.hadoop.fs.Path(p)
+        path.getFileSystem(conf).delete(path, True)
+
+
 def small_rows(df: DataFrame, limit: int, what: str) -> list:
     """Collect a frame that must be small by design; fail loudly if it is not."""
     rows = df.limit(limit + 1).collect()
