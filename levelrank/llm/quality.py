@@ -40,7 +40,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from levelrank.llm.common import arrow_rows
-from levelrank.plans.staging import materialise, shared_path, small_rows
+from levelrank.plans.staging import discard, materialise, shared_path, small_rows
 
 #: Distances of the quartiles by which the bands pass them. Copies make clean texts predictable, so the lower
 #: band is wide; the upper one was set where half-random texts begin (README).
@@ -48,7 +48,7 @@ BELOW, ABOVE = 4.0, 1.5
 #: Steps of the histogram per unit of log perplexity; rows that it and the language table may have.
 STEPS, MAX_STEPS, MAX_LANGUAGES = 500, 2_000_000, 100_000
 #: Bytes of text of a batch and of a hash range; bits of a bigram's hash beyond those of the text's size, and by which a word's is shorter.
-BATCH_BYTES, RANGE_BYTES, SPARE_BITS, WORD_BITS = 8_000_000, 32_000_000, 6, 2
+BATCH_BYTES, RANGE_BYTES, SPARE_BITS, WORD_BITS = 6_000_000, 32_000_000, 6, 2
 #: Rejected rows that may be sent to every task (8 bytes each).
 SENT_ROWS = 1_000_000
 SYMBOLS, EDGES = r"[#*$%&|<>]", ".,;:!?\"'()[]{}|-–—«»„“”‘’¿¡"
@@ -208,17 +208,18 @@ class Batch:
         self.stats = np.array(row["stats"], np.int64).reshape(-1, len(STATS))
         self.keys, counts = np.cumsum(unpack(row["words"])), unpack(row["counts"])
         self.counts = counts
-        self.words = np.argsort(-counts, kind="stable")[unpack(row["tokens"])] if len(counts) else np.zeros(0, np.int64)
-        self.owner = np.repeat(np.arange(len(self.ids)), self.stats[:, 0])
-        first = np.flatnonzero(self.owner[1:] == self.owner[:-1])
+        self.words = np.argsort(-counts, kind="stable").astype(np.int32)[unpack(row["tokens"])] if len(counts) else np.zeros(0, np.int32)
+        self.owner = np.repeat(np.arange(len(self.ids), dtype=np.int32), self.stats[:, 0])
+        first = np.flatnonzero(self.owner[1:] == self.owner[:-1]).astype(np.int32)
         self.first, self.text = first, self.owner[first]
         size = max(1, len(self.keys))
-        seen, at, n = np.unique(self.words[first] * size + self.words[first + 1], return_inverse=True, return_counts=True)
-        u, w = seen // size, seen % size
-        key = hashed(mix(self.keys[u].astype(U64)) * U64(3) ^ self.keys[w].astype(U64), bits) if len(seen) else seen
-        order = np.argsort(key, kind="stable")
-        place = np.empty(len(order), np.int64)
-        place[order] = np.arange(len(order))
+        seen, at, n = np.unique(self.words[first].astype(np.int64) * size + self.words[first + 1], return_inverse=True, return_counts=True)
+        at, n, u, w = at.astype(np.int32), n.astype(np.int32), (seen // size).astype(np.int32), (seen % size).astype(np.int32)
+        key = hashed(mix(self.keys.astype(U64))[u] * U64(3) ^ self.keys.astype(U64)[w], bits) if len(seen) else seen
+        del seen
+        order = np.argsort(key, kind="stable").astype(np.int32)
+        place = np.empty(len(order), np.int32)
+        place[order] = np.arange(len(order), dtype=np.int32)
         self.bigrams, self.n, self.u, self.w, self.at = key[order], n[order], u[order], w[order], place[at]
         self.word_lang = np.zeros(len(self.keys), np.int64)
         self.word_lang[self.words] = self.lang[self.owner]
@@ -271,11 +272,11 @@ def bigram_counts(stream: DataFrame, bits: int, range_bits: int) -> DataFrame:
     return stream.mapInArrow(ask, SENT).groupBy("part").applyInArrow(answer, SENT)
 
 
-def placed(answers: DataFrame, buckets: int, names: list[str]) -> DataFrame:
+def placed(answers: DataFrame, buckets: int, tables: dict[str, str]) -> DataFrame:
     """The answers written once, dealt by batch into as many buckets as the streams, so that joins with them move neither."""
     spark, name = answers.sparkSession, f"lr_answers_{uuid.uuid4().hex}"
-    answers.repartition(buckets, "batch").write.bucketBy(buckets, "batch").option("path", shared_path(spark, "answers")).saveAsTable(name)
-    names.append(name)
+    tables[name] = shared_path(spark, "answers")
+    answers.repartition(buckets, "batch").write.bucketBy(buckets, "batch").option("path", tables[name]).saveAsTable(name)
     return spark.table(name)
 
 
@@ -373,7 +374,7 @@ def surprises(answered: DataFrame, of_lang: dict[str, tuple], bits: int, id_col:
 
 def _own(text: np.ndarray, what: np.ndarray, size: int) -> np.ndarray:
     """How often the own text holds each of ``what``."""
-    _, at, n = np.unique(text * size + what, return_inverse=True, return_counts=True)
+    _, at, n = np.unique(text.astype(np.int64) * size + what, return_inverse=True, return_counts=True)
     return n[at]
 
 
@@ -408,16 +409,17 @@ def measures(docs: DataFrame, id_col: str = "doc_id") -> DataFrame:
     bits = min(60, SPARE_BITS + max(28, int(size).bit_length()))
     range_bits = min(bits - 8, max(1, int(size // RANGE_BYTES).bit_length()))
     name = f"lr_streams_{uuid.uuid4().hex}"
-    buckets, names = int(min(50_000, max(4, 2 * size // BATCH_BYTES))), [name]
-    streams(docs, id_col, bits).write.bucketBy(buckets, "batch").option("path", shared_path(spark, "streams")).saveAsTable(name)
+    buckets, tables = int(min(50_000, max(4, 2 * size // BATCH_BYTES))), {name: shared_path(spark, "streams")}
+    streams(docs, id_col, bits).write.bucketBy(buckets, "batch").option("path", tables[name]).saveAsTable(name)
     stream = spark.table(name)
-    counted = placed(bigram_counts(stream, bits, range_bits), buckets, names)
+    counted = placed(bigram_counts(stream, bits, range_bits), buckets, tables)
     answered = stream.join(by_batch(counted, BIGRAMS), "batch", "left")
-    totals = placed(word_totals(word_requests(answered, bits, range_bits)), buckets, names)
+    totals = placed(word_totals(word_requests(answered, bits, range_bits)), buckets, tables)
     scored = answered.join(by_batch(totals, WORDS), "batch", "left")
     out = materialise(surprises(scored, constants(totals), bits, id_col), "quality")
-    for name in names:
+    for name in tables:  # what ``out`` holds is written: nothing reads these any more
         spark.sql(f"DROP TABLE {name}")
+    discard(spark, *tables.values())
     return out
 
 

@@ -1,4 +1,9 @@
-"""The registered queries of the text operators, and their SQL where SQL can say it."""
+"""The registered queries of the text operators, and their SQL where SQL can say it.
+
+Each query applies its operator to the whole table and returns a row per row of it (op3: a row per document and
+leaked item). Null texts count as empty, repeated rows and ids are reported row by row, ties are broken as the
+operator's module says, empty tables give empty results, and columns that an operator does not name are not read.
+"""
 
 from __future__ import annotations
 
