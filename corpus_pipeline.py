@@ -1,4 +1,10 @@
-"""The corpus pipeline: documents in, encoded documents out, five stages."""
+"""The corpus pipeline: documents in, encoded documents out, five stages.
+
+Rows are documents, whatever their doc_id: null or repeated ids are judged row by row. A null text counts as empty,
+so the first stage rejects it; texts of any length are taken whole. Ties and repeated rows: the third stage keeps one
+row of each group of copies, chosen as ``simhash.one_per_group`` says. Empty tables pass as empty tables. All
+columns but text and n_chars are carried unchanged up to the last stage, whatever their names.
+"""
 
 from __future__ import annotations
 
