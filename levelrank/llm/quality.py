@@ -48,7 +48,9 @@ BELOW, ABOVE = 4.0, 1.5
 #: Steps of the histogram per unit of log perplexity; rows that it and the language table may have.
 STEPS, MAX_STEPS, MAX_LANGUAGES = 500, 2_000_000, 100_000
 #: Bytes of text of a batch and of a hash range; bits of a bigram's hash beyond those of the text's size, and by which a word's is shorter.
-BATCH_BYTES, RANGE_BYTES, SPARE_BITS, WORD_BITS = 6_000_000, 32_000_000, 6, 2
+BATCH_BYTES, RANGE_BYTES, SPARE_BITS, WORD_BITS = 8_000_000, 32_000_000, 6, 2
+#: Bytes of text of a batch in ``keep_good``, whose tasks hold other columns too. The size changes memory and disk, no result.
+SMALL_BATCH_BYTES = 4_000_000
 #: Rejected rows that may be sent to every task (8 bytes each).
 SENT_ROWS = 1_000_000
 SYMBOLS, EDGES = r"[#*$%&|<>]", ".,;:!?\"'()[]{}|-–—«»„“”‘’¿¡"
@@ -144,7 +146,7 @@ def statistics(bodies: pa.Array, word: np.ndarray, owner: np.ndarray, kinds: pa.
 STREAM = "batch long, ids array<long>, langs array<string>, lang array<int>, stats array<long>, words binary, counts binary, tokens binary"
 
 
-def streams(docs: DataFrame, id_col: str, bits: int) -> DataFrame:
+def streams(docs: DataFrame, id_col: str, bits: int, batch_bytes: int) -> DataFrame:
     """One row per batch of texts: ids, languages, statistics and the texts as places in the batch's sorted word hashes.
 
     ``counts`` says how often each word occurs; tokens number words by falling count, which keeps them small."""
@@ -179,7 +181,7 @@ def streams(docs: DataFrame, id_col: str, bits: int) -> DataFrame:
 
         number, held, size = TaskContext.get().partitionId() << 32, [], 0
         for b in batches:
-            if held and size + b.nbytes > BATCH_BYTES:
+            if held and size + b.nbytes > batch_bytes:
                 yield make(held, number)
                 pa.default_memory_pool().release_unused()
                 number, held, size = number + 1, [], 0
@@ -189,7 +191,7 @@ def streams(docs: DataFrame, id_col: str, bits: int) -> DataFrame:
             yield make(held, number)
 
     named = docs.select(F.col(id_col).cast("long").alias(id_col), F.coalesce("lang", F.lit(OTHER)).alias("lang"), "text")
-    return arrow_rows(named, [id_col, "lang", "text"], run, STREAM, BATCH_BYTES)
+    return arrow_rows(named, [id_col, "lang", "text"], run, STREAM, batch_bytes)
 
 
 def one_by_one(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
@@ -402,15 +404,15 @@ def document_surprise(x: Batch, total: np.ndarray, words: list[np.ndarray], of_l
     return np.where(n > 0, np.bincount(x.text, -np.log(p), len(x.ids)) / np.maximum(n, 1), np.nan)
 
 
-def measures(docs: DataFrame, id_col: str = "doc_id") -> DataFrame:
+def measures(docs: DataFrame, id_col: str = "doc_id", batch_bytes: int | None = None) -> DataFrame:
     """One row per row of ``docs``: id, language, statistics and surprise (null under two words)."""
-    spark = docs.sparkSession
+    spark, batch_bytes = docs.sparkSession, batch_bytes or BATCH_BYTES
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     bits = min(60, SPARE_BITS + max(28, int(size).bit_length()))
     range_bits = min(bits - 8, max(1, int(size // RANGE_BYTES).bit_length()))
     name = f"lr_streams_{uuid.uuid4().hex}"
-    buckets, tables = int(min(50_000, max(4, 2 * size // BATCH_BYTES))), {name: shared_path(spark, "streams")}
-    streams(docs, id_col, bits).write.bucketBy(buckets, "batch").option("path", tables[name]).saveAsTable(name)
+    buckets, tables = int(min(50_000, max(4, 2 * size // batch_bytes))), {name: shared_path(spark, "streams")}
+    streams(docs, id_col, bits, batch_bytes).write.bucketBy(buckets, "batch").option("path", tables[name]).saveAsTable(name)
     stream = spark.table(name)
     counted = placed(bigram_counts(stream, bits, range_bits), buckets, tables)
     answered = stream.join(by_batch(counted, BIGRAMS), "batch", "left")
@@ -462,6 +464,6 @@ def keep_good(docs: DataFrame) -> DataFrame:
     while row.lower() in {c.lower() for c in docs.columns}:
         row += "_"
     numbered = materialise(docs.withColumn(row, F.monotonically_increasing_id()), "numbered")
-    gone = judged(measures(numbered.select(row, "lang", "text"), row)).where(~F.col("kept")).select(row)
+    gone = judged(measures(numbered.select(row, "lang", "text"), row, SMALL_BATCH_BYTES)).where(~F.col("kept")).select(row)
     few = gone.limit(SENT_ROWS + 1).count() <= SENT_ROWS
     return numbered.join(F.broadcast(gone) if few else gone, row, "left_anti").select(*docs.columns)
