@@ -348,8 +348,8 @@ def one_per_group(docs: DataFrame, resemblance: float = RESEMBLANCE) -> DataFram
     ids = numbered.select(F.col(row).alias("id"), F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("h"))
     order = F.struct(F.col("doc_id").isNull().alias("without"), "doc_id", "fp", "h", "id")
     rows = materialise(prints.join(groups, "fp").join(ids, "id").select("component", order.alias("order")), "groups")
-    first = rows.groupBy("component").agg(F.min("order").alias("first"), F.count("*").alias("n")).where("n > 1")
-    gone = rows.join(first, "component").where("order.id <> first.id").select(F.col("order.id").alias(row))
+    kept = rows.groupBy("component").agg(F.min("order").alias("first")).select(F.col("first.id").alias(row))
+    gone = rows.select(F.col("order.id").alias(row)).join(kept, row, "left_anti")  # by row number: no group of copies lands in one task
     gone = materialise(gone, "gone")
     few = gone.limit(SENT_NODES + 1).count() <= SENT_NODES
     return numbered.join(F.broadcast(gone) if few else gone, row, "left_anti").select(*docs.columns)
