@@ -26,8 +26,8 @@ from levelrank.llm.common import arrow_rows, mapped, texts
 Q, STRETCH, RATE = 10, 80, 0.05
 #: Characters of items that one block may hold.
 BLOCK_CHARS = 4_000_000
-#: Characters of text that are hashed at a time.
-SLICE = 2_000_000
+#: Characters of text that are searched at a time; pairs of equal q-grams in text and items above which a slice is halved.
+SLICE, PAIRS = 2_000_000, 4_000_000
 BREAK = re.compile(r"[\W_]+")
 MIX = np.uint64(0x9E3779B97F4A7C15)
 TABLE_BITS = 22
@@ -126,29 +126,38 @@ class Items:
         self.table = np.zeros(1 << TABLE_BITS, bool)
         self.table[self.h >> np.uint64(64 - TABLE_BITS)] = True
 
-    def find(self, text: str) -> dict[int, tuple[int, int, int]]:
-        """item number -> (start, end, edits) in the normal form; the longest stretch wins."""
-        hits = []
-        codes = codes_of(text)
-        for s in range(0, max(1, len(codes) - Q + 1), SLICE):
-            g = grams(codes[s : s + SLICE + Q - 1])
+    def find(self, text: str, first: bool = False) -> dict[int, tuple[int, int, int]]:
+        """item number -> (start, end, edits) in the normal form; the longest stretch wins. ``first`` stops at
+        any leak. Slices of the text overlap by the longest copy of a stretch, so each copy lies whole in one; a slice
+        whose q-grams meet too many of the items' is halved, so memory does not follow the product of repeats."""
+        found: dict[int, tuple[int, int, int]] = {}
+        if not len(self.h):
+            return found
+        codes, reach = codes_of(text), int((self.stretch + self.budget).max())
+        todo = [(s, min(len(codes), s + SLICE + reach)) for s in range(0, len(codes), SLICE)][::-1]
+        while todo and not (first and found):
+            lo, hi = todo.pop()
+            g = grams(codes[lo:hi])
             at = np.flatnonzero(self.table[g >> np.uint64(64 - TABLE_BITS)])
-            if len(at):
-                lo, hi = np.searchsorted(self.h, g[at]), np.searchsorted(self.h, g[at], "right")
-                n = hi - lo
-                if n.any():
-                    own = np.repeat(lo, n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-                    hits.append((np.repeat(at + s, n), own))
-        if not hits:
-            return {}
-        pos, own = np.concatenate([x[0] for x in hits]), np.concatenate([x[1] for x in hits])
+            if not len(at):
+                continue
+            start, end = np.searchsorted(self.h, g[at]), np.searchsorted(self.h, g[at], "right")
+            n = end - start
+            if n.sum() > PAIRS and hi - lo > 4 * reach:
+                mid = (lo + hi) // 2
+                todo += [(mid, hi), (lo, mid + reach)]
+            elif n.any():
+                self._slice(text, np.repeat(at + lo, n), np.repeat(start, n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n), found, first)
+        return found
+
+    def _slice(self, text: str, pos: np.ndarray, own: np.ndarray, found: dict, first: bool) -> None:
+        """Leaks among pairs of equal q-grams: places in the text, and rows of the sorted table."""
         item, place = self.item[own], self.place[own]
         enough = np.bincount(item, minlength=len(self.ids)) >= self.need
         keep = enough[item]
         pos, item, place = pos[keep], item[keep], place[keep]
-        found: dict[int, tuple[int, int, int]] = {}
         if not len(pos):
-            return found
+            return
         diagonal = pos - place + int(self.length.max())
         width = 2 * int(self.budget.max()) + 2
         for shift in (0, width // 2):  # overlapping bands: any budget of diagonals fits one of them
@@ -160,7 +169,8 @@ class Items:
             full = ends - edges >= self.need[i[edges]]
             for x, y in zip(edges[full], ends[full]):
                 self._band(text, int(i[x]), p[x:y], q[x:y], found)
-        return found
+                if first and found:
+                    return
 
     def _band(self, text: str, k: int, p: np.ndarray, q: np.ndarray, found: dict) -> None:
         """Every stretch of item ``k`` that has enough of its q-grams in the band is aligned, unless a leak found here holds it."""
@@ -229,7 +239,7 @@ def drop_leaking(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
             items = shared.value
             for b in batches:
-                yield b.filter(pa.array([not items.find(normal(t)) for t in texts(b)], pa.bool_()))
+                yield b.filter(pa.array([not items.find(normal(t), True) for t in texts(b)], pa.bool_()))
 
         docs = mapped(docs, run, docs.schema)
     return docs
