@@ -27,8 +27,8 @@ from pyspark.sql import DataFrame
 from levelrank.llm.common import arrow_rows
 
 JSON_FILE, RANK_FILE = "byte_bpe_50k.json", "byte_bpe_50k.tiktoken"
-#: Pieces that a worker process remembers, from one task to the next.
-REMEMBERED = 1_000_000
+#: Pieces, and bytes of them and their ids, that a worker process remembers from one task to the next.
+REMEMBERED, REMEMBERED_BYTES = 1_000_000, 200_000_000
 #: Bytes of text that are cut into pieces at a time.
 BLOCK_BYTES = 16_000_000
 _WORKER: dict[str, Pieces] = {}
@@ -139,7 +139,7 @@ class Pieces:
     def batch(self, bodies: pa.Array) -> list[memoryview | bytes]:
         """Id bytes of each text (no nulls). Arrow cuts the texts, numbers their distinct pieces and
         gathers the pieces' ids; Python sees the pieces not known yet."""
-        if len(self.known) > REMEMBERED:
+        if len(self.known) > REMEMBERED or self.known.nbytes + self.ids.nbytes > REMEMBERED_BYTES:
             self.forget()
         bodies = bodies.cast(pa.large_string())
         marked = pc.replace_substring(pc.replace_substring(bodies, "\n", "\0\n\0"), " ", "\0 ")
@@ -205,13 +205,6 @@ def blocks(batch: pa.RecordBatch, size: int = BLOCK_BYTES) -> Iterator[tuple[int
         yield start, len(bodies), bodies.slice(start)
 
 
-def encode_with_offsets(spec: str, text: str) -> list[tuple[int, int, int]]:
-    """(id, start, end) per token, in characters of the text; tokens that hold a part of a
-    character name the whole of it."""
-    e = Pieces(spec).tokenizer.encode(text, add_special_tokens=False)
-    return [(i, a, b) for i, (a, b) in zip(e.ids, e.offsets)]
-
-
 class Bytes:
     """Decoding: ids back to bytes through the reversed byte table, so characters that
     several tokens share come back whole."""
@@ -227,6 +220,7 @@ class Bytes:
         for token, i in special.items():
             self.table[i] = token.encode()
         self.names = [str(i) for i in range(len(self.table))]
+        self.lengths = np.array([len(t) for t in self.table])
 
     def decode(self, ids: list[int]) -> bytes:
         return b"".join(map(self.table.__getitem__, ids))
@@ -235,8 +229,24 @@ class Bytes:
         return " ".join(map(self.names.__getitem__, ids))
 
 
+    def offsets(self, ids: np.ndarray, body: bytes) -> np.ndarray:
+        """(start, end) of each token in characters of the text whose UTF-8 bytes are ``body``; a token that holds
+        a part of a character names the whole of it."""
+        ends = np.cumsum(self.lengths[ids])
+        character = np.cumsum(np.frombuffer(body, np.uint8) & 0xC0 != 0x80)  # of each byte, from 1
+        return np.stack([character[ends - self.lengths[ids]] - 1, character[ends - 1]], axis=1)
+
+
+def encode_with_offsets(spec: str, text: str) -> list[tuple[int, int, int]]:
+    """(id, start, end) per token, in characters of the text."""
+    table, body = Bytes(spec), pa.array([text], pa.string())
+    ids = np.frombuffer(pieces_of(spec).batch(body)[0], "<u4")
+    return [(int(i), int(a), int(b)) for i, (a, b) in zip(ids, table.offsets(ids, text.encode()))]
+
+
 def round_trip(docs: DataFrame, spec: str | None = None) -> DataFrame:
-    """doc_id, n_tokens, ids_sha256, decoded_sha256. Null texts count as empty: no tokens."""
+    """doc_id, n_tokens, ids_sha256, decoded_sha256, and offsets_sha256: of the tokens' starts and ends in
+    characters, in turn, as little-endian 32-bit integers. Null texts count as empty: no tokens."""
     spec = spec or json_of_ranks(public_tokenizers.path(RANK_FILE))
     shared = docs.sparkSession.sparkContext.broadcast(spec)
 
@@ -245,15 +255,18 @@ def round_trip(docs: DataFrame, spec: str | None = None) -> DataFrame:
         for b in batches:
             ids = b.column("doc_id")
             for start, end, body in blocks(b):
-                rows = [], [], []
+                rows = [], [], [], []
                 for raw in pieces.batch(body):
-                    got = np.frombuffer(raw, "<u4").tolist()
+                    coded = np.frombuffer(raw, "<u4")
+                    got = coded.tolist()
+                    decoded = table.decode(got)
                     rows[0].append(len(got))
                     rows[1].append(hashlib.sha256(table.listed(got).encode()).hexdigest())
-                    rows[2].append(hashlib.sha256(table.decode(got)).hexdigest())
-                yield pa.record_batch([ids[start:end], pa.array(rows[0], pa.int64()), pa.array(rows[1], pa.string()), pa.array(rows[2], pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+                    rows[2].append(hashlib.sha256(decoded).hexdigest())
+                    rows[3].append(hashlib.sha256(table.offsets(coded, decoded).astype("<i4").tobytes()).hexdigest())
+                yield pa.record_batch([ids[start:end], pa.array(rows[0], pa.int64()), *(pa.array(r, pa.string()) for r in rows[1:])], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "offsets_sha256"])
 
-    return arrow_rows(docs, ["doc_id", "text"], run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string", BLOCK_BYTES)
+    return arrow_rows(docs, ["doc_id", "text"], run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string, offsets_sha256 string", BLOCK_BYTES)
 
 
 def encoded(docs: DataFrame, spec: str | None = None) -> DataFrame:
