@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Callable, Iterable, Iterator
 
 import pyarrow as pa
@@ -12,6 +13,17 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+_TRIM = getattr(ctypes.CDLL(None), "malloc_trim", None)
+
+
+def release() -> None:
+    """Give memory that Arrow and the C library hold for later back to the system: worker processes outlive their
+    tasks, and what they keep counts against the executor."""
+    pa.default_memory_pool().release_unused()
+    if _TRIM:
+        _TRIM(0)
+
+
 #: Bytes of a batch that a task turns into Python objects at a time.
 SLICE_BYTES = 4_000_000
 
@@ -25,8 +37,13 @@ def sliced(batches: Iterator[pa.RecordBatch], size: int = SLICE_BYTES) -> Iterat
 
 
 def mapped(df: DataFrame, make: Callable[[Iterator[pa.RecordBatch]], Iterable], schema, size: int = SLICE_BYTES) -> DataFrame:
-    """``mapInArrow`` over small batches."""
-    return df.mapInArrow(lambda batches: make(sliced(batches, size)), schema)
+    """``mapInArrow`` over small batches; a task that ends gives its memory back."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from make(sliced(batches, size))
+        release()
+
+    return df.mapInArrow(run, schema)
 
 
 def arrow_rows(df: DataFrame, columns: list[str], make: Callable[[Iterator[pa.RecordBatch]], Iterable], schema: str, size: int = SLICE_BYTES) -> DataFrame:

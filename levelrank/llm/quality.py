@@ -39,7 +39,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from levelrank.llm.common import arrow_rows
+from levelrank.llm.common import arrow_rows, release
 from levelrank.plans.staging import discard, materialise, shared_path, small_rows
 
 #: Distances of the quartiles by which the bands pass them. Copies make clean texts predictable, so the lower
@@ -183,7 +183,7 @@ def streams(docs: DataFrame, id_col: str, bits: int, batch_bytes: int) -> DataFr
         for b in batches:
             if held and size + b.nbytes > batch_bytes:
                 yield make(held, number)
-                pa.default_memory_pool().release_unused()
+                release()
                 number, held, size = number + 1, [], 0
             held.append(b)
             size += b.nbytes
@@ -199,7 +199,7 @@ def one_by_one(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
     for b in batches:
         for k in range(len(b)):
             yield from b.slice(k, 1).to_pylist()
-            pa.default_memory_pool().release_unused()
+            release()
 
 
 class Batch:
@@ -264,6 +264,7 @@ def bigram_counts(stream: DataFrame, bits: int, range_bits: int) -> DataFrame:
             yield from _sent(rows).to_batches()
 
     def answer(table: pa.Table) -> pa.Table:
+        release()
         rows = _requests(table)
         at, first, bounds = _merge(rows)
         total = np.bincount(at, np.concatenate([unpack(r["blobs"][1]) for r in rows])).astype(np.int64)
@@ -319,6 +320,7 @@ def word_totals(requests: DataFrame) -> DataFrame:
     """Answers (kind WORDS) with the sums over all batches, and (kind TOTAL) per language: words, bigrams, words that end none to four of them. Rows of kind STATISTIC pass."""
 
     def answer(table: pa.Table) -> pa.Table:
+        release()
         rows, passed = _requests(table), table.filter(pc.equal(table.column("kind"), STATISTIC))
         if not rows:
             return passed
